@@ -21,12 +21,10 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from setvec.llm.common import arrow_map, documents, new_path, rows_out, stored, texts_of
+from setvec.llm.common import bounded_batches, documents, new_path, rows_out, slices, stored, texts_of
 from setvec.llm.tokens import END_ID, coder
 
 LONGEST, STEP, BLOCK_IDS = 16, 256, 1 << 18
-_IDS = pa.schema([("doc_id", pa.int64()), ("n_tokens", pa.int64()), ("ids", pa.binary())])
-IDS_DDL = "doc_id bigint, n_tokens bigint, ids binary"
 _BLOCKS = pa.schema(
     [("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64())]
     + [("doc_ids", pa.binary()), ("doc_tokens", pa.binary()), ("checkpoints", pa.binary()), ("bits", pa.binary())]
@@ -128,28 +126,11 @@ def unpack_bits(bits: bytes, checkpoints: np.ndarray, n: int, table: tuple[np.nd
     return out.reshape(-1)[:n]
 
 
-def token_ids(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:
-    """doc_id, n_tokens, ids: little-endian ids with the end id, 16-bit where the vocabulary allows."""
-    end = np.array([END_ID], "<u4").tobytes()
-
-    def code(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-        got = coder(tokenizer)
-        kind = "<u2" if got.size <= 1 << 16 else "<u4"
-        rows = [np.frombuffer(x + end, "<u4") for x in got.encode(texts_of(batch))]
-        yield rows_out(_IDS, doc_id=batch.column("doc_id"), n_tokens=[len(x) for x in rows], ids=[x.astype(kind).tobytes() for x in rows])
-
-    return arrow_map(docs.select(F.col("doc_id").cast("long"), "text"), code, IDS_DDL)
-
-
-def _as_ids(raw: pa.Array, n: int) -> np.ndarray:
-    """All ids of a batch's rows in one array."""
-    data = b"".join(raw.to_pylist())
-    return np.frombuffer(data, "<u2" if n and len(data) == 2 * n else "<u4").astype(np.int64)
-
-
 def raw_blocks(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:
-    """Blocks of plain ids in ascending order of documents. Ids are dealt by range of doc_id once, sorted, and gathered
-    in the same stage; a block is one row, so later readers may split or join files as they like."""
+    """Blocks of plain ids in ascending order of documents. Texts are dealt by range of doc_id once, sorted, coded and
+    gathered in the same stage; a block is one row, so later readers may split or join files as they like."""
+
+    end = np.array([END_ID], "<u4").tobytes()
 
     def row(nth: int, docs: list, counts: list, ids: list) -> pa.RecordBatch:
         names = np.array([np.iinfo(np.int64).min if x is None else x for x in docs], "<i8")
@@ -159,21 +140,26 @@ def raw_blocks(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:
         )
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        got = coder(tokenizer)
+        kind = "<u2" if got.size <= 1 << 16 else "<u4"
         docs, counts, held, n, nth = [], [], [], 0, 0
-        for batch in batches:
-            for doc, count, raw in zip(*(batch.column(c).to_pylist() for c in ("doc_id", "n_tokens", "ids")), strict=True):
+        for part in (part for batch in batches for part in slices(batch)):
+            for doc, raw in zip(part.column("doc_id").to_pylist(), got.encode(texts_of(part)), strict=True):
                 if n >= BLOCK_IDS:
                     yield row(nth, docs, counts, held)
                     docs, counts, held, n, nth = [], [], [], 0, nth + 1
+                ids = np.frombuffer(raw + end, "<u4")
                 docs.append(doc)
-                counts.append(count)
-                held.append(raw)
-                n += count
+                counts.append(len(ids))
+                held.append(ids.astype(kind).tobytes())
+                n += len(ids)
         if docs:
             yield row(nth, docs, counts, held)
 
-    rows = token_ids(docs, tokenizer).repartitionByRange("doc_id").sortWithinPartitions("doc_id", "ids")
-    return rows.mapInArrow(gather, RAW_DDL)
+    bounded_batches(docs.sparkSession)
+    # Texts are dealt before they are coded: finding the ranges reads the ids alone and codes nothing.
+    rows = docs.select(F.col("doc_id").cast("long"), F.coalesce("text", F.lit("")).alias("text"))
+    return rows.repartitionByRange("doc_id").sortWithinPartitions("doc_id", "text").mapInArrow(gather, RAW_DDL)
 
 
 def _as_ids(raw: bytes, n: int) -> np.ndarray:

@@ -103,7 +103,7 @@ def ranked(rows: DataFrame) -> DataFrame:
 def packed(docs: DataFrame, width: int = WIDTH, tokenizer: str | None = None) -> DataFrame:
     """Every piece with its sequence and offset. Whole sequences come after the packed ones."""
     spark = docs.sparkSession
-    rows = stored(ranked(pieces(docs, width, tokenizer)), "ranked")
+    rows = stored(ranked(stored(pieces(docs, width, tokenizer), "cut")), "ranked")
     histogram = {r["length"]: r["n"] for r in rows.groupBy("length").agg(F.count("*").alias("n")).collect()}
     histogram.pop(width, None)
     patterns = shortest_pack_first(histogram, width)

@@ -2,7 +2,7 @@
 
 The tokenizer's own pattern cuts a text into pieces that are coded one by one, so equal pieces have equal ids. Texts
 of plain letters, digits, marks and white space are cut here by the same pattern over those characters; every new piece
-is coded by the tokenizers library once and its ids kept as bytes. Any other text is coded whole by the library.
+is coded by the tokenizer's own model and its ids kept as bytes. Any other text is coded whole by the library.
 """
 
 from __future__ import annotations
@@ -21,47 +21,47 @@ KEPT = 250_000
 _PLAIN = re.compile(r"[\t\n\r\x20-\x7e\xc0-\xd6\xd8-\xf6\xf8-\xff]*")
 _PIECE = re.compile(r"'s|'t|'re|'ve|'m|'ll|'d|[a-z\xdf-\xf6\xf8-\xff]+|[0-9]|[^\sa-z0-9\xdf-\xf6\xf8-\xff]+")
 
+#: Bytes that the byte-level alphabet shows as other characters: those from 256 on, in order.
+_HIDDEN = [b for b in range(256) if not (33 <= b <= 126 or 161 <= b <= 172 or b >= 174)]
+_SHOWN = {b: 256 + i for i, b in enumerate(_HIDDEN)}
+
+
+class _Pieces(dict):
+    """Ids of pieces as bytes; a piece that isn't there is looked up among the older ones, or else coded."""
+
+    def __init__(self, model, old: dict):
+        self.model, self.old = model, old
+
+    def __missing__(self, piece: str) -> bytes:
+        got = self.old.get(piece)
+        if got is None:
+            shown = piece if piece.isascii() else piece.encode().decode("latin-1").translate(_SHOWN)
+            got = np.array([t.id for t in self.model.tokenize(shown)], "<u4").tobytes()
+        self[piece] = got
+        return got
+
 
 class Coder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer
 
         self.tokenizer = Tokenizer.from_file(path)
-        vocabulary = self.tokenizer.get_vocab()
-        self.size = max(vocabulary.values()) + 1
-        self.ends = np.zeros(self.size, bool)
-        self.ends[[i for x, i in vocabulary.items() if x.endswith("</w>")]] = True
-        self.new: dict[str, bytes] = {}
-        self.old: dict[str, bytes] = {}
+        self.size = max(self.tokenizer.get_vocab().values()) + 1
+        self.model = self.tokenizer.model
+        self.pieces = _Pieces(self.model, {})
 
     def whole(self, text: str) -> bytes:
         return np.array(self.tokenizer.encode(text, add_special_tokens=False).ids, "<u4").tobytes()
 
-    def learn(self, pieces: list[str]) -> None:
-        """Codes new pieces in one text; each ends with the only id that closes a piece. If that fails, one by one."""
-        ids = np.array(self.tokenizer.encode(" ".join(pieces), add_special_tokens=False).ids, "<u4")
-        cuts = np.flatnonzero(self.ends[ids]) + 1
-        if len(cuts) == len(pieces) and (not len(cuts) or cuts[-1] == len(ids)):
-            raw, at = ids.tobytes(), [0, *(cuts * 4).tolist()]
-            self.new.update(zip(pieces, (raw[a:b] for a, b in zip(at, at[1:], strict=False)), strict=True))
-        else:
-            self.new.update((p, self.whole(p)) for p in pieces)
-
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text, as little-endian unsigned 32-bit integers."""
-        plain = [_PIECE.findall(x.lower()) if _PLAIN.fullmatch(x) and "<|" not in x else None for x in texts]
-        wanted = set().union(*(x for x in plain if x is not None))
-        if len(self.new) > KEPT:
-            self.old, self.new = self.new, {}
-        missing = wanted.difference(self.new)
-        if self.old:
-            again = missing.intersection(self.old)
-            self.new.update((p, self.old[p]) for p in again)
-            missing -= again
-        if missing:
-            self.learn(list(missing))
-        known = self.new.__getitem__
-        return [self.whole(x) if p is None else b"".join(map(known, p)) for x, p in zip(texts, plain, strict=True)]
+        if len(self.pieces) > KEPT:
+            self.pieces = _Pieces(self.model, self.pieces)
+            self.pieces.old.old = {}
+        ids = self.pieces.__getitem__
+        return [
+            b"".join(map(ids, _PIECE.findall(x.lower()))) if _PLAIN.fullmatch(x) and "<|" not in x else self.whole(x) for x in texts
+        ]
 
 
 @lru_cache(maxsize=2)
