@@ -66,14 +66,14 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def arrow_map(
-    df: DataFrame, kernel: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], schema: str
+    df: DataFrame, kernel: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], schema: str, most: int = SLICE_BYTES
 ) -> DataFrame:
-    """``mapInArrow`` for a kernel that turns one bounded slice of rows into rows. Slices hold about SLICE_BYTES."""
+    """``mapInArrow`` for a kernel that turns one bounded slice of rows into rows. Slices hold about ``most`` bytes of text."""
     bounded_batches(df.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch):
+            for part in slices(batch, most=most):
                 yield from kernel(part)
 
     return df.mapInArrow(run, schema)

@@ -25,6 +25,8 @@ from setvec.llm.common import arrow_map, bounded_batches, documents, held_fold,
 
 BITS, SMOOTH, PENALTY, ROUNDS = 16, 0.5, 4.0, 12
 PARTS = 64
+#: Bytes of text at once: each byte of a word becomes several numbers for each language.
+SLICE = 1 << 20
 UNKNOWN = "und"
 _FIELDS = pa.schema(
     [("doc_id", pa.int64()), ("held_out", pa.bool_()), ("lang_pred", pa.string()), ("score", pa.float64())]
@@ -108,6 +110,32 @@ def em(ll: np.ndarray, owner: np.ndarray, n: int, allowed: np.ndarray, rounds: i
     return share, total
 
 
+def pair(ll: np.ndarray, owner: np.ndarray, best: np.ndarray, some: np.ndarray, rounds: int = ROUNDS) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
+    """For documents ``some`` the second language that most raises the likelihood, the rise, and its share.
+
+    With two languages only the ratio of a word's likelihoods counts, so a round is a few operations on one number a word.
+    """
+    here = np.zeros(len(best), bool)
+    here[some] = True
+    at = np.flatnonzero(here[owner])
+    number = np.cumsum(here) - 1
+    own = number[owner[at]]
+    firsts = np.flatnonzero(np.diff(own, prepend=-1))
+    count = np.diff([*firsts, len(own)])
+    base = ll[at, best[owner[at]]]
+    top, lang, part = np.full(len(some), -np.inf), np.zeros(len(some), np.int64), np.zeros(len(some))
+    for other in range(ll.shape[1]):
+        ratio = np.exp(np.minimum(ll[at, other] - base, 60.0))
+        p = np.full(len(some), 0.5)
+        for _ in range(rounds):
+            mass = ratio * p[own]
+            p = np.add.reduceat(mass / (mass + (1 - p)[own]), firsts) / count
+        rise = np.add.reduceat(np.log1p(p[own] * (ratio - 1)), firsts)
+        better = (best[some] != other) & (rise > top)
+        top[better], lang[better], part[better] = rise[better], other, p[better]
+    return top, lang, part
+
+
 def mixture(ll: np.ndarray, owner: np.ndarray, n: int, penalty: float = PENALTY) -> np.ndarray:
     """Each document's language shares after the penalised choice of its set of languages."""
     k = ll.shape[1]
@@ -124,9 +152,17 @@ def mixture(ll: np.ndarray, owner: np.ndarray, n: int, penalty: float = PENALTY)
     share = np.zeros((n, k))
     share[docs, best[docs]] = 1
     value = single[rows, best]
-    allowed = share > 0
     open_docs = np.zeros(n, bool)
     open_docs[docs] = bound[docs] - value[docs] > cost[docs]
+    if k > 1 and open_docs.any():
+        some = np.flatnonzero(open_docs)
+        gain, second, part = pair(ll, owner, best, some)
+        won, second, part = (x[gain > cost[some]] for x in (some, second, part))
+        value[won] += gain[gain > cost[some]]
+        share[won, best[won]], share[won, second] = 1 - part, part
+        open_docs[:] = False
+        open_docs[won] = (bound[won] - value[won] > cost[won]) & (k > 2)
+    allowed = share > 0
     while open_docs.any():
         some = np.flatnonzero(open_docs)
         renumber = np.full(n, -1)
@@ -135,6 +171,8 @@ def mixture(ll: np.ndarray, owner: np.ndarray, n: int, penalty: float = PENALTY)
         sub, sub_owner = ll[here], renumber[owner[here]]
         top, top_share, top_lang = np.full(len(some), -np.inf), np.zeros((len(some), k)), np.zeros(len(some), np.int64)
         for lang in range(k):
+            if allowed[some, lang].all():
+                continue
             grown = allowed[some].copy()
             fresh = ~grown[:, lang]
             grown[:, lang] = True
@@ -162,7 +200,7 @@ def learn(docs: DataFrame, languages: int = 256) -> Model:
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         total: dict[str, np.ndarray] = {}
         for batch in batches:
-            for part in slices(batch):
+            for part in slices(batch, most=SLICE):
                 codes, words, owner, _ = grams(part.column("text"))
                 if not len(words):
                     continue
@@ -215,7 +253,7 @@ def predict(docs: DataFrame, model: Model, held_out: F.Column | None = None) ->
             langs=[[m.langs[j] for j in s] for s in sets], shares=[[float(share[i, j]) for j in s] for i, s in enumerate(sets)],
         )
 
-    return arrow_map(rows, run, DDL)
+    return arrow_map(rows, run, DDL, SLICE)
 
 
 def trained(docs: DataFrame) -> Model:
@@ -230,7 +268,7 @@ def accepted(docs: DataFrame, model: Model) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch):
+            for part in slices(batch, most=SLICE):
                 ll, owner, has = shared.value.words(part.column("text"))
                 keep = has & (mixture(ll, owner, part.num_rows).sum(1) > 0)
                 yield part.filter(pa.array(keep))
