@@ -1,4 +1,7 @@
 """Queries over the given tables by name, and the SQL that each is compared with."""
 
-QUERIES: dict = {}
-SQL: dict = {}
+from setvec import oracle, workloads
+
+QUERIES = workloads.QUERIES
+SQL = {name: text for name, text in oracle.SQL.items() if name in QUERIES}
+flagship = workloads.flagship
