@@ -196,10 +196,10 @@ def _forest(i: np.ndarray, j: np.ndarray) -> list[tuple[int, int]]:
 
 
 def _compare(table: pa.Table) -> pa.Table:
-    """Links within one group of rows (comp, rep, k1, k2, copies, chunk, second, text), neighbourhood by neighbourhood."""
+    """Links within one group of rows (comp, rep, k1, k2, copies, chunk, first, second, text), neighbourhood by neighbourhood."""
     ids: list[tuple] = []
     sets: list[np.ndarray] = []
-    meta = zip(*(table.column(c).to_pylist() for c in ("comp", "rep", "k1", "k2", "copies", "chunk", "second")), strict=True)
+    meta = zip(*(table.column(c).to_pylist() for c in ("comp", "rep", "k1", "k2", "copies", "chunk", "first", "second")), strict=True)
     whole = table.select(["text"]).combine_chunks().to_batches()
     items = (s for b in whole for part in slices(b) for s in shingle_sets(part.column("text")))
     seen = set()
@@ -215,9 +215,9 @@ def _compare(table: pa.Table) -> pa.Table:
     out: list[tuple] = []
     for members in by_comp.values():
         members.sort(key=lambda n: ids[n][1])
-        chunk, second = np.array([ids[n][5] for n in members]), ids[members[0]][6]
-        across = second >= 0 and len(set(chunk.tolist())) > 1
-        if len(members) < 2 or (second >= 0 and not across and second != chunk[0]):
+        chunk, (first, second) = np.array([ids[n][5] for n in members]), ids[members[0]][6:]
+        across = first != second
+        if len(members) < 2 or (across and len(set(chunk.tolist())) < 2):
             continue
         i, j = linked([sets[n] for n in members], marks[members], chunk == second if across else None)
         copies = np.array([ids[n][4] for n in members], np.int64)
