@@ -47,7 +47,7 @@ def vec_axpy(by: Column | float, a: Column | str, b: Column | str) -> Column:
 def vec_normalize(a: Column | str) -> Column:
     """Unit length; a zero vector stays."""
     norm = vec_norm(a)
-    return F.when(norm > 0, F.transform(a, lambda x: x / norm)).otherwise(a)
+    return F.transform(a, lambda x: F.when(norm > 0, x / norm).otherwise(x.cast("double")))
 
 
 def vec_argmax(a: Column | str) -> Column:

@@ -270,10 +270,47 @@ def _pruned(points: np.ndarray, node: int, pool: np.ndarray, degree: int, alpha:
     return np.array(kept, np.int64)
 
 
+def _reach_all(links: list[np.ndarray], entry: int, degree: int) -> None:
+    """Links every lost node from a reached one, over room or over a link that no first visit used; so a reached node is
+    never lost again and each step reaches at least one more."""
+    n = len(links)
+    if not n:
+        return
+    parent = np.full(n, -1)
+    parent[entry] = entry
+    stack, hosts = [entry], []
+
+    def visit() -> None:
+        while stack:
+            node = stack.pop()
+            hosts.append(node)
+            for x in links[node].tolist():
+                if parent[x] < 0:
+                    parent[x] = node
+                    stack.append(x)
+
+    visit()
+    while len(lost := np.flatnonzero(parent < 0)):
+        host = hosts[-1]
+        spare = np.flatnonzero(parent[links[host]] != host)
+        if len(links[host]) < degree:
+            links[host] = np.append(links[host], lost[0])
+        elif len(spare):
+            links[host][spare[-1]] = lost[0]
+        else:
+            hosts.pop()
+            continue
+        parent[lost[0]] = host
+        stack.append(int(lost[0]))
+        visit()
+
+
 def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed: int) -> tuple[list[np.ndarray], int]:
     """Out-links of each node, at most ``degree``, and the entry. Lengths are completed by one coordinate, so that near
     means a large product. Nodes that the entry doesn't reach get a link from a reached one with room."""
     n = len(points)
+    if degree < 2:
+        raise ValueError("degree is at least 2")
     square = (points**2).sum(1)
     full = np.concatenate([points, np.sqrt(np.maximum(0, square.max(initial=0) - square))[:, None]], 1) if n else points
     rng = seeds.generator("shard", seed)
@@ -287,20 +324,7 @@ def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed:
             if node not in links[other]:
                 pool = np.append(links[other], node)
                 links[other] = pool if len(pool) <= degree else _pruned(full, other, pool, degree, alpha)
-    while n:
-        reached, stack = np.zeros(n, bool), [entry]
-        reached[entry] = True
-        while stack:
-            for x in links[stack.pop()].tolist():
-                if not reached[x]:
-                    reached[x] = True
-                    stack.append(x)
-        lost = np.flatnonzero(~reached)
-        if not len(lost):
-            break
-        room = [i for i in np.flatnonzero(reached) if len(links[i]) < degree]
-        host = room[0] if room else int(np.flatnonzero(reached)[-1])
-        links[host] = np.append(links[host][: degree - 1], lost[0])
+    _reach_all(links, entry, degree)
     return links, entry
 
 

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import duckdb
 import numpy as np
+import pandas as pd
 import pytest
 
 from setvec.queries import QUERIES, SQL
@@ -21,7 +22,7 @@ def con():
 
 
 def plain(x):
-    if x is None or (isinstance(x, float) and x != x):
+    if x is None or x is pd.NA or (isinstance(x, float) and x != x):
         return None
     if isinstance(x, (float, np.floating)):
         return round(float(x), 9)
