@@ -459,14 +459,20 @@ def html_tokens(spark: SparkSession, sf_dir: str) -> DataFrame:
     return tables.load(spark, sf_dir, "pages").select("page_id", F.size(T.words(T.strip_html("html"))).alias("n_words"))
 
 
+def spread(rows: DataFrame) -> DataFrame:
+    """Rows dealt to at least as many tasks as there are cores: a small corpus may lie in one row group of one file. A
+    corpus of many files is left as it is, without a shuffle."""
+    cores = rows.sparkSession.sparkContext.defaultParallelism
+    return rows if rows.rdd.getNumPartitions() >= 4 * cores else rows.repartition(4 * cores, "bag_id")
+
+
 def text_retrieval(spark: SparkSession, sf_dir: str, params: EncodeParams, k: int = 10, candidates: int = 100, index: str = "dense", tau: float | None = 0.7, where: DataFrame | None = None) -> DataFrame:
     """Items over chunks end to end, rolled up to documents: query_id, rank, doc_id, score. ``where``: only documents of
     this table (doc_id), filtered before anything is encoded."""
     docs = tables.load(spark, sf_dir, "documents")
     if where is not None:
         docs = docs.join(where.select("doc_id"), "doc_id", "left_semi")
-    chunks = T.numbered_chunks(T.chunks(docs))
-    bags = T.bags_of_words(chunks)
+    bags = T.bags_of_words(spread(T.numbered_chunks(T.chunks(docs))))
     queries = T.bags_of_words(T.items(tables.load(spark, sf_dir, "benchmark")))
     way = Retriever(params, index, "sign", codes=256).fit(bags)
     near = way.search(queries, candidates, candidates, tau=tau)
@@ -480,7 +486,7 @@ def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def text_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Items over chunks by exact MaxSim of hashed word vectors."""
-    bags = T.bags_of_words(T.numbered_chunks(T.chunks(tables.load(spark, sf_dir, "documents"))))
+    bags = T.bags_of_words(spread(T.numbered_chunks(T.chunks(tables.load(spark, sf_dir, "documents")))))
     queries = T.bags_of_words(T.items(tables.load(spark, sf_dir, "benchmark")))
     return search.exact_maxsim_topk(queries, bags, O.K, T.DIM, "sign")
 

@@ -25,7 +25,8 @@ def plain(x):
     if x is None or x is pd.NA or (isinstance(x, float) and x != x):
         return None
     if isinstance(x, (float, np.floating)):
-        return round(float(x), 9)
+        near = round(float(x), 9)
+        return int(near) if near.is_integer() else near
     return int(x) if isinstance(x, (int, np.integer)) and not isinstance(x, bool) else x
 
 
