@@ -328,9 +328,13 @@ def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed:
     return links, entry
 
 
-def graph_build(encodings: DataFrame, shards: int = 1, degree: int = 200, build_beam: int = 600, alpha: float = 1.2, seed: int = 42) -> DataFrame:
+def graph_build(encodings: DataFrame, shards: int = 1, degree: int = 200, build_beam: int = 600, alpha: float = 1.2, seed: int = 42, centers: np.ndarray | None = None) -> DataFrame:
     """shard, node, enc, neighbours, is_entry: a graph for each shard, built on uncompressed encodings in one task. A
-    shard should hold about a hundred thousand nodes at most."""
+    shard should hold about a hundred thousand nodes at most.
+
+    With coarse ``centers`` (``ivf_centers``) the nodes nearest to one centre share ``shards`` shards, so that a search
+    can be routed, and ``shards`` splits the centre that most nodes hang on.
+    """
 
     def build(key, rows: pd.DataFrame) -> pd.DataFrame:
         rows = rows.sort_values("bag_id")
@@ -338,13 +342,20 @@ def graph_build(encodings: DataFrame, shards: int = 1, degree: int = 200, build_
         links, entry = build_links(np.stack([np.frombuffer(x, "<f4") for x in rows["enc"]]), degree, build_beam, alpha, seed)
         return pd.DataFrame({"shard": int(key[0]), "node": ids, "enc": rows["enc"].to_numpy(), "neighbours": [ids[x] for x in links], "is_entry": np.arange(len(ids)) == entry})
 
-    rows = encodings.select("bag_id", "enc", F.pmod(F.xxhash64(F.lit(f"shard:{seed}"), "bag_id"), F.lit(shards)).cast("int").alias("shard"))
+    dealt = F.pmod(F.xxhash64(F.lit(f"shard:{seed}"), "bag_id"), F.lit(shards)).cast("int")
+    if centers is not None:
+        encodings, dealt = ivf_build(encodings, centers), F.col("list_id") * shards + dealt
+    rows = encodings.select("bag_id", "enc", dealt.alias("shard"))
     return rows.groupBy("shard").applyInPandas(build, "shard int, node bigint, enc binary, neighbours array<bigint>, is_entry boolean")
 
 
-def graph_search(query_enc: DataFrame, graph: DataFrame, k: int, beam: int) -> tuple[DataFrame, DataFrame]:
+def graph_search(query_enc: DataFrame, graph: DataFrame, k: int, beam: int, centers: np.ndarray | None = None, probes: int = 1, shards: int = 1) -> tuple[DataFrame, DataFrame]:
     """Top ``k`` nodes by beam search in every shard, and the number of distances computed: (query_id, rank, doc_id,
-    score), (query_id, shard, n_dist). The beam is the only knob."""
+    score), (query_id, shard, n_dist). The beam is the only knob.
+
+    Given the ``centers`` and ``shards`` that a graph was built with, a query walks only the shards of its ``probes``
+    centres of the largest product, and shards that no query wants aren't read where the store is partitioned by shard.
+    """
     spark = graph.sparkSession
     out = None
     ddl = "query_id bigint, shard int, n_dist bigint, hits array<struct<doc_id:bigint,score:double>>"
@@ -357,7 +368,10 @@ def graph_search(query_enc: DataFrame, graph: DataFrame, k: int, beam: int) -> t
             links = [np.searchsorted(ids, np.asarray(x, np.int64)) for x in rows["neighbours"]]
             entry = int(np.flatnonzero(rows["is_entry"].to_numpy())[0])
             found = []
-            for q, raw in shared.value:
+            own, near = shared.value
+            for at, (q, raw) in enumerate(own):
+                if near is not None and int(key[0]) // shards not in near[at]:
+                    continue
                 seen, far, n = _beam(points, links, entry, np.frombuffer(raw, "<f4"), max(beam, k))
                 found.append((q, int(key[0]), n, [{"doc_id": int(ids[i]), "score": -float(d)} for i, d in zip(seen[:k], far[:k], strict=True)]))
             return pd.DataFrame(found, columns=["query_id", "shard", "n_dist", "hits"])
@@ -365,8 +379,14 @@ def graph_search(query_enc: DataFrame, graph: DataFrame, k: int, beam: int) -> t
         return run
 
     for block in query_blocks(query_enc, "enc"):
-        shared = spark.sparkContext.broadcast([(r["bag_id"], bytes(r["enc"])) for r in block])
-        hits = graph.groupBy("shard").applyInPandas(walking(shared), ddl)
+        rows = [(r["bag_id"], bytes(r["enc"])) for r in block]
+        near, own_shards = None, graph
+        if centers is not None:
+            product = np.stack([np.frombuffer(x, "<f4") for _, x in rows]) @ centers.T
+            near = [set(x.tolist()) for x in np.argsort(-product, axis=1, kind="stable")[:, :probes]]
+            wanted = sorted({c * shards + s for x in near for c in x for s in range(shards)})
+            own_shards = graph.where(F.col("shard").isin(wanted))
+        hits = own_shards.groupBy("shard").applyInPandas(walking(spark.sparkContext.broadcast((rows, near))), ddl)
         out = hits if out is None else out.union(hits)
     out = out if out is not None else spark.createDataFrame([], ddl)
     flat = out.select("query_id", F.explode("hits").alias("h")).select("query_id", "h.doc_id", "h.score")

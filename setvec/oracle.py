@@ -285,6 +285,22 @@ SQL: dict[str, str] = {
         "SELECT doc_id, c::INT AS chunk_no, len(d)::INT AS n, md5(array_to_string(list_sort(d), ' ')) AS words_md5 FROM (SELECT doc_id, c, list_distinct(w[c * 64 + 1 : c * 64 + 128]) AS d FROM (SELECT doc_id, w, "
         "unnest(range(greatest(0, ceil((len(w) - 128) / 64.0)::BIGINT) + 1)) AS c FROM doc_words WHERE len(w) > 0))",
     ),
+    "text_floats_scanned": sql(
+        ("doc_words",),
+        f"SELECT n, n * 10240 AS encoding, round(32.0 * {DIM} * m * n, 3) AS token_hit, round(32.0 * {DIM} * m, 3) AS equal_width, {32 * DIM}::INT AS free_search_width FROM (SELECT count(*)::BIGINT AS n, avg(d) AS m "
+        "FROM (SELECT len(list_distinct(w[c * 64 + 1 : c * 64 + 128])) AS d FROM (SELECT w, unnest(range(greatest(0, ceil((len(w) - 128) / 64.0)::BIGINT) + 1)) AS c FROM doc_words WHERE len(w) > 0)))",
+    ),
+    "rank_fusion": sql(
+        ("mips", "hits"),
+        f"SELECT query_id, doc_id, ra, rb, round(coalesce(1.0::DOUBLE / (ra + 60), 0) + coalesce(1.0::DOUBLE / (rb + 60), 0), 9) AS score FROM (SELECT query_id, doc_id, rank AS ra FROM mips WHERE rank <= {K}) a FULL JOIN "
+        "(SELECT query_id, doc_id, row_number() OVER (PARTITION BY query_id ORDER BY hp)::INT AS rb FROM (SELECT query_id, doc_id, min((hit_rank, qpos)) AS hp FROM hits GROUP BY query_id, doc_id) QUALIFY rb <= 10) b "
+        "USING (query_id, doc_id)",
+    ),
+    "new_owner_curve": sql(
+        ("hits",),
+        "SELECT query_id, rank, sum(fresh) OVER (PARTITION BY query_id ORDER BY rank ROWS UNBOUNDED PRECEDING)::BIGINT AS owners FROM (SELECT query_id, rank, (row_number() OVER (PARTITION BY query_id, doc_id ORDER BY rank) = 1)::INT AS fresh "
+        "FROM (SELECT query_id, doc_id, row_number() OVER (PARTITION BY query_id ORDER BY hit_rank, qpos)::INT AS rank FROM hits))",
+    ),
     "containment_truth": "SELECT b.item_id AS query_id, d.doc_id FROM benchmark b JOIN documents d ON contains(d.text, b.text)",
     "html_tokens": (
         "SELECT page_id, len(list_filter(regexp_split_to_array(lower(regexp_replace(regexp_replace(html, '(?is)<(script|style)[^>]*>.*?</(script|style)>', ' ', 'g'), '(?s)<[^>]*>', ' ', 'g')), "

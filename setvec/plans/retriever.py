@@ -18,9 +18,11 @@ TAU = 0.7
 
 @dataclass
 class Retriever:
-    """``index``: dense, sparse, pq, ivf, graph, or auto for the planner's choice. ``kind`` is the bags' number type.
+    """``index``: dense, progressive, sparse, pq, ivf, graph, routed (graph shards by coarse centres), or auto for the
+    planner's choice. ``kind`` is the bags' number type.
 
-    ``pq`` adds codes to the dense, ivf or graph way: 256 codes for each 8 numbers by default.
+    ``pq`` scans codes in place of encodings: 256 codes for each 8 numbers by default. ``progressive`` scores
+    ``first_reps`` repetitions of all documents and the rest for the ``keep`` of a batch ahead by then.
     """
 
     params: EncodeParams
@@ -33,6 +35,8 @@ class Retriever:
     shards: int = 1
     degree: int = 200
     build_beam: int = 600
+    first_reps: int | None = None
+    keep: int = 1000
     centers: np.ndarray | None = None
     choice: Choice | None = field(default=None, init=False)
 
@@ -53,7 +57,10 @@ class Retriever:
             self.stored = approx.ivf_build(self.encodings, self.coarse)
         elif self.way == "graph":
             self.stored = approx.graph_build(self.encodings, self.shards, self.degree, self.build_beam)
-        elif self.way in ("dense", "sparse"):
+        elif self.way == "routed":
+            self.coarse = approx.ivf_centers(self.encodings, self.lists)
+            self.stored = approx.graph_build(self.encodings, self.shards, self.degree, self.build_beam, centers=self.coarse)
+        elif self.way in ("dense", "progressive", "sparse"):
             self.stored = self.encodings
         else:
             raise ValueError(f"no index named {self.way!r}")
@@ -64,12 +71,17 @@ class Retriever:
         enc = encode_queries(queries, self.params, self.centers, self.kind)
         if self.way == "dense":
             return search.mips_dense(enc, self.stored, n, self.params)
+        if self.way == "progressive":
+            first = self.first_reps or max(1, self.params.reps // 4)
+            return search.mips_progressive(enc, self.stored, n, self.params, first, max(n, self.keep))
         if self.way == "sparse":
             return search.mips_sparse(enc, self.stored, n, self.params)
         if self.way == "pq":
             return approx.pq_search(enc, self.stored, self.book, n)
         if self.way == "ivf":
             return approx.ivf_search(enc, self.stored, self.coarse, n, self.probes)
+        if self.way == "routed":
+            return approx.graph_search(enc, self.stored, n, beam or max(n, 64), self.coarse, self.probes, self.shards)[0]
         return approx.graph_search(enc, self.stored, n, beam or max(n, 64))[0]
 
     def search(self, queries: DataFrame, k: int, candidates: int, beam: int | None = None, tau: float | None = TAU, mode: str = "spread") -> DataFrame:

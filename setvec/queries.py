@@ -1,7 +1,7 @@
 """Queries over the given tables by name, and the SQL that each is compared with."""
 
-from setvec import oracle, workloads
+from setvec import experiments, oracle, workloads
 
-QUERIES = workloads.QUERIES
+QUERIES = workloads.QUERIES | experiments.QUERIES
 SQL = {name: text for name, text in oracle.SQL.items() if name in QUERIES}
 flagship = workloads.flagship

@@ -46,6 +46,29 @@ def test_scans_agree_on_any_partitioning(encoded):
         search.mips_sparse(q, d, 7, PARAMS.with_(final_dim=64))
 
 
+def test_prefixes_are_the_narrower_encodings(bags, encoded):
+    got = search.mips_prefix(*encoded, 4, PARAMS, (1, 7, PARAMS.reps)).toPandas()
+    assert set(got.reps) == {1, 7, PARAMS.reps}
+    for reps, part in got.groupby("reps"):
+        params = PARAMS.with_(reps=int(reps))
+        want = search.mips_dense(encode.encode_queries(bags[0], params), encode.encode_documents(bags[1], params), 4, params)
+        assert {q: g.sort_values("rank").doc_id.tolist() for q, g in part.groupby("query_id")} == lists(want)
+    with pytest.raises(ValueError):
+        search.mips_prefix(*encoded, 4, PARAMS, (0,))
+    with pytest.raises(ValueError):
+        search.mips_prefix(*encoded, 4, PARAMS.with_(final_dim=64), (1,)).collect()
+
+
+def test_progressive_scan(encoded):
+    q, d = encoded
+    dense = search.mips_dense(q, d, 3, PARAMS)
+    assert lists(search.mips_progressive(q, d, 3, PARAMS, 4, 1000)) == lists(dense)
+    near = metrics.recall_at(search.mips_progressive(q, d.coalesce(1), 3, PARAMS, 10, 20), dense.select("query_id", "doc_id"), [3]).first()["recall"]
+    assert near >= 0.9
+    with pytest.raises(ValueError):
+        search.mips_progressive(q, d, 3, PARAMS, 4, 2)
+
+
 def test_query_blocks_are_bounded(encoded, monkeypatch):
     q, d = encoded
     want = lists(search.mips_dense(q, d, 5, PARAMS))
@@ -145,6 +168,18 @@ def test_graph(encoded):
     assert lists(found) == lists(exact) and cost.agg(F.max("n_dist")).first()[0] <= len(rows)
 
 
+def test_routed_graph(encoded):
+    q, d = encoded
+    centers = approx.ivf_centers(d, 4)
+    graph = approx.graph_build(d, 2, 8, 24, centers=centers).cache()
+    assert graph.count() == d.count() and graph.agg(F.max("shard")).first()[0] < 8
+    exact = search.mips_dense(q, d, 5, PARAMS)
+    found, cost = approx.graph_search(q, graph, 5, 63, centers, 4, 2)
+    assert lists(found) == lists(exact)
+    fewer = approx.graph_search(q, graph, 5, 63, centers, 1, 2)[1]
+    assert fewer.groupBy("query_id").count().agg(F.max("count")).first()[0] <= 2 < cost.groupBy("query_id").count().agg(F.max("count")).first()[0]
+
+
 def test_carved_columns_equal_the_kernel(spark, bags):
     q, _ = bags
     rows = tables.vector_tokens(spark, SF).where("bag_id % 7 = 0").groupBy("bag_id").agg(F.transform(F.array_sort(F.collect_list(F.struct("pos", "vec"))), lambda s: s["vec"]).alias("vs"))
@@ -174,7 +209,7 @@ def test_measures_on_hand_made_lists(spark):
 def test_retriever_ways_agree(bags):
     q, d = bags
     want = lists(search.exact_maxsim_topk(q, d, 3, DIM))
-    for way in ("dense", "sparse", "pq", "ivf", "graph", "auto"):
+    for way in ("dense", "progressive", "sparse", "pq", "ivf", "graph", "routed", "auto"):
         r = Retriever(PARAMS, way, codes=32, lists=4, probes=4, degree=8, build_beam=24).fit(d)
         got = lists(r.search(q, 3, 63, beam=63, tau=None))
         assert {k: v[0] for k, v in got.items()} == {k: v[0] for k, v in want.items()}, way
