@@ -330,5 +330,13 @@ SQL: dict[str, str] = {
         "AND y.o - x.o <= 32 GROUP BY ALL) p JOIN sizes s ON s.o = p.a JOIN sizes t ON t.o = p.b"
     ),
     "stream_encode": sql(("dproj",), f"SELECT bag_id, (rep * {CELLS * PROJ} + cell * {PROJ} + j)::INT AS place, v FROM dproj"),
+    "stream_sliding_bags": (
+        "SELECT user_id, (epoch_us(date_trunc('hour', ts)) - h * 3600000000)::BIGINT AS start_us, count(*)::BIGINT AS n, sum(('0x' || substr(md5(event_type), 1, 2))::BIGINT)::BIGINT AS s FROM events, range(2) r(h) "
+        "GROUP BY ALL"
+    ),
+    "stream_distinct": "SELECT event_id FROM events",
+    "cogrouped_rerank": sql(("maxsim", "mips"), _RERANKED),
     "stream_window_bags": "SELECT user_id, epoch_us(date_trunc('day', ts)) AS day_us, count(*)::BIGINT AS n, sum(('0x' || substr(md5(event_type), 1, 2))::BIGINT)::BIGINT AS s FROM events GROUP BY ALL",
 }
+SQL["stream_sessions"] = SQL["session_bags"]
+SQL["stream_purchases"] = SQL["interval_events"]

@@ -14,6 +14,7 @@ from collections.abc import Callable, Iterator
 import numpy as np
 import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
@@ -83,14 +84,27 @@ def vector_updates(updates: DataFrame, params: EncodeParams) -> DataFrame:
 
 
 def search_stream(queries: DataFrame, run: Callable[[DataFrame], DataFrame], path: str, checkpoint: str):
-    """Stream of query bags against a static index: each batch is searched and its lists are appended."""
+    """Stream of query bags against a static index: each batch is searched and its lists are written to a folder of its
+    own, so that a batch that runs again after a failure replaces what it wrote."""
 
     def batch(rows: DataFrame, number: int) -> None:
-        run(rows).withColumn("batch", F.lit(number)).write.mode("append").parquet(path)
+        run(rows).write.mode("overwrite").parquet(f"{path}/batch={number}")
 
     return queries.writeStream.foreachBatch(batch).option("checkpointLocation", checkpoint).trigger(availableNow=True).start()
 
 
+def running_recall(lists: DataFrame, truth: DataFrame, k: int) -> DataFrame:
+    """batch, queries, recall, running: recall at ``k`` of each batch that ``search_stream`` wrote, and of all batches so
+    far. One row a batch is ordered, whatever the number of queries."""
+    first = lists.groupBy("batch", "query_id", "doc_id").agg(F.min("rank").alias("rank"))
+    asked = lists.select("batch", "query_id").distinct()
+    hits = asked.join(truth, "query_id").join(first, ["batch", "query_id", "doc_id"], "left")
+    per = hits.groupBy("batch", "query_id").agg(F.avg(F.when(F.col("rank") <= k, 1.0).otherwise(0.0)).alias("r"))
+    rows = per.groupBy("batch").agg(F.count("*").alias("queries"), F.sum("r").alias("r"))
+    down = W.orderBy("batch").rowsBetween(W.unboundedPreceding, 0)
+    return rows.select("batch", "queries", (F.col("r") / F.col("queries")).alias("recall"), (F.sum("r").over(down) / F.sum("queries").over(down)).alias("running"))
+
+
 def finished(stream: DataFrame, mode: str = "append", name: str | None = None) -> DataFrame:
     """Runs a stream over what is there and returns the rows of a memory table; for tests and small results."""
     spark = stream.sparkSession
@@ -127,3 +141,26 @@ def stream_window_query(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Daily bags of each user's events; equal to the batch result, as no row is late here."""
     rows = finished(window_bags(_table_stream(spark, sf_dir, "events"), "1 day", "40 days"), "complete")
     return rows.select("user_id", F.unix_micros("window.start").alias("day_us"), "n", "s")
+
+
+def stream_sliding_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Two-hour bags that start every hour."""
+    rows = finished(window_bags(_table_stream(spark, sf_dir, "events"), "2 hours", "40 days", "1 hour"), "complete")
+    return rows.select("user_id", F.unix_micros("window.start").alias("start_us"), "n", "s")
+
+
+def stream_session_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Sessions that half an hour without an event ends; equal to the batch way by windows."""
+    rows = finished(session_counts(_table_stream(spark, sf_dir, "events"), "30 minutes", "40 days"), "complete")
+    return rows.select("user_id", F.unix_micros("session_window.start").alias("began"), "n")
+
+
+def stream_purchase_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The interval join of two streams; equal to the batch join."""
+    return finished(views_to_purchases(_table_stream(spark, sf_dir, "events"), delay="40 days"))
+
+
+def stream_distinct_query(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Events that arrive twice are kept once."""
+    rows = _table_stream(spark, sf_dir, "events").select("event_id", "ts")
+    return finished(without_repeats(rows.union(_table_stream(spark, sf_dir, "events").select("event_id", "ts")), "40 days")).select("event_id")

@@ -173,6 +173,11 @@ def retrieve_rerank(spark: SparkSession, sf_dir: str, tau: float | None = None)
     return search.rerank(near, query_bags(spark, sf_dir), doc_bags(spark, sf_dir), O.K, O.DIM, "fixed", tau)
 
 
+def cogrouped_rerank(spark: SparkSession, sf_dir: str) -> DataFrame:
+    near = mips(spark, sf_dir, O.CANDIDATES)
+    return search.rerank_cogrouped(near, query_bags(spark, sf_dir), doc_bags(spark, sf_dir), O.K, O.DIM, "fixed")
+
+
 def hash_centers(tokens: DataFrame, n: int = O.N_CENTERS, seed: int = O.SEED) -> np.ndarray:
     """The ``n`` vectors whose hash is lowest: a random choice that any engine repeats. Only these reach the driver."""
     key = F.md5(F.concat_ws(":", F.lit("center"), F.lit(str(seed)), F.col("bag_id").cast("string"), F.col("pos").cast("string")))
@@ -592,4 +597,6 @@ QUERIES = {
     "range_window_events": range_window_events, "session_bags": session_bags, "corpus_cube": corpus_cube,
     "order_basket_similarity": order_basket_similarity,
     "stream_encode": partial(ingest.stream_encode_query, params=FIXED), "stream_window_bags": ingest.stream_window_query,
+    "stream_sliding_bags": ingest.stream_sliding_query, "stream_sessions": ingest.stream_session_query,
+    "stream_purchases": ingest.stream_purchase_query, "stream_distinct": ingest.stream_distinct_query, "cogrouped_rerank": cogrouped_rerank,
 }

@@ -315,6 +315,28 @@ def test_streams(spark, tmp_path):
     assert got.count() > 0 and got.where("window.start < '2024-01-10'").count() == 0 and name
 
 
+def test_search_stream_and_running_recall(spark, tmp_path, bags):
+    q, d = bags
+    rows = q.orderBy("bag_id").collect()
+    ddl = "bag_id bigint, n int, vecs binary"
+    for part in (rows[:4], rows[4:]):
+        spark.createDataFrame(part, ddl).coalesce(1).write.mode("append").parquet(f"{tmp_path}/in")
+    run = lambda block: search.exact_maxsim_topk(block, d, 2, DIM)
+    ingest.search_stream(ingest.read_dir(spark, f"{tmp_path}/in", ddl, files=1), run, f"{tmp_path}/out", f"{tmp_path}/check").awaitTermination()
+    found = spark.read.parquet(f"{tmp_path}/out")
+    truth = q.select(F.col("bag_id").alias("query_id"), F.col("bag_id").alias("doc_id"))
+    got = ingest.running_recall(found, truth, 1).orderBy("batch").collect()
+    assert [r["recall"] for r in got] == [1.0, 1.0] and sum(r["queries"] for r in got) == len(rows) and got[-1]["running"] == 1.0
+    none = ingest.running_recall(found.where("rank > 1"), truth, 1).orderBy("batch").collect()
+    assert none[-1]["running"] == 0.0
+
+
+def test_cogrouped_rerank(bags):
+    q, d = bags
+    near = search.exact_maxsim_topk(q, d, 9, DIM)
+    assert lists(search.rerank_cogrouped(near, q, d, 5, DIM)) == lists(search.rerank(near, q, d, 5, DIM))
+
+
 def test_stream_updates(spark, tmp_path):
     params = EncodeParams(4, 2, 4, 2)
     ddl = "doc_id bigint, pos int, vec array<float>, gone boolean"
