@@ -37,6 +37,7 @@ class Retriever:
     build_beam: int = 600
     first_reps: int | None = None
     keep: int = 1000
+    interactive: bool = False
     centers: np.ndarray | None = None
     choice: Choice | None = field(default=None, init=False)
 
@@ -46,8 +47,10 @@ class Retriever:
         self.way = self.index
         if self.index == "auto":
             size = docs.agg(F.count("*").alias("n"), F.avg("n").alias("m")).first()
-            self.choice = choose(self.params, size["n"], size["m"] or 0.0, n_queries)
-            self.way = self.choice.index
+            self.choice = choose(self.params, size["n"], size["m"] or 0.0, n_queries, interactive=self.interactive)
+            self.way = "routed" if self.choice.index == "graph" else self.choice.index
+            if self.way == "dense" and self.choice.first_reps < self.params.reps:
+                self.way, self.first_reps = "progressive", self.first_reps or self.choice.first_reps
         self.encodings = encode_documents(docs, self.params, self.centers, self.kind)
         if self.way == "pq":
             self.book = approx.pq_train(self.encodings, self.params.width, self.codes, self.group)
