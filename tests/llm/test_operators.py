@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import hashlib
 import io
+import random
 import re
 import wave
 import zlib
@@ -12,9 +13,10 @@ from collections import Counter
 import duckdb
 import numpy as np
 import pandas as pd
+import public_tokenizers
 import pytest
 
-from setvec.llm import idfile, language, licences, media, mixing, near, packing, quality, secrets, topk
+from setvec.llm import idfile, language, licences, media, mixing, near, packing, quality, secrets, tokens, topk
 from setvec.llm.tokens import coder
 
 SF = "/root/testdata/sf0.001"
@@ -300,6 +302,19 @@ def test_coder_equals_the_library(docs):
     assert c.encode(texts) == [c.whole(x) for x in texts]
 
 
+@pytest.mark.parametrize(("at_once", "kept"), [(2 << 20, 8 << 20), (40, 8 << 20), (200, 500)])
+def test_coder_cuts_and_forgets(monkeypatch, at_once, kept):
+    """Apostrophes, marks, gaps and accents in any order, texts cut into parts, and a table that starts anew."""
+    monkeypatch.setattr(tokens, "AT_ONCE", at_once)
+    monkeypatch.setattr(tokens, "KEPT_BYTES", kept)
+    c, draw = tokens.Coder(public_tokenizers.path(tokens.NAME)), random.Random(5)
+    letters = " \t\n\r''sStTlLvVeEmMdDrR9,.-<|ÀéßøÿØ_#"
+    texts = ["".join(draw.choice(letters) for _ in range(draw.randint(0, 60))) for _ in range(1500)]
+    texts += ["", " ", "'", "'r", "'l", "x'", "'s's", "a\0b", "x\x0by", "\u0663 x", "<|endoftext|> hi", "a" * 300 + " b"]
+    assert c.encode(texts) == [c.whole(x) for x in texts]
+    assert c.encode([]) == []
+
+
 def want_ids(docs):
     c = coder()
     return [(i, np.frombuffer(c.whole(x or ""), "<u4").tolist() + [1]) for i, x in docs]
