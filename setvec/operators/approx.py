@@ -20,6 +20,8 @@ from setvec.operators import kernels
 from setvec.operators.search import Best, query_blocks, topk
 
 HITS = "query_id bigint, doc_id bigint, score double"
+#: Bytes of look-up tables that a task keeps; with more queries a table is made anew for each batch of codes.
+TABLE_BYTES = 64 << 20
 
 
 def floats(raw: pa.Array) -> np.ndarray:
@@ -52,6 +54,11 @@ class Codebook:
     def code_bytes(self) -> int:
         return self.centers.shape[0] if self.centers.shape[1] > 16 else -(-self.centers.shape[0] // 2)
 
+    @property
+    def table_bytes(self) -> int:
+        """Bytes of one query's look-up table."""
+        return self.centers.shape[0] * self.centers.shape[1] * 8
+
     def encode(self, x: np.ndarray) -> np.ndarray:
         """Bytes (rows, code_bytes): a byte a group, or two groups a byte for up to 16 codes."""
         parts = _grouped(x, self.group)
@@ -153,15 +160,15 @@ def pq_search(query_enc: DataFrame, codes: DataFrame, book: Codebook, k: int) ->
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             rows, own = shared.value
-            tables = [own.table(np.frombuffer(x, "<f4")) for _, x in rows]
             best = Best(len(rows), k)
+            kept = [own.table(np.frombuffer(x, "<f4")) for _, x in rows] if len(rows) * own.table_bytes <= TABLE_BYTES else None
             for batch in batches:
                 if batch.num_rows:
                     code = own.unpacked(np.stack([np.frombuffer(x, np.uint8) for x in batch.column("code").to_pylist()])).T.astype(np.int64)
                     ids = batch.column("bag_id").to_numpy()
-                    for q, table in enumerate(tables):
+                    for q, (_, x) in enumerate(rows):
                         score = np.zeros(len(ids))
-                        for g, of in enumerate(table):
+                        for g, of in enumerate(kept[q] if kept else own.table(np.frombuffer(x, "<f4"))):
                             score += of[code[g]]
                         best.add(q, ids, score)
             yield best.rows([q for q, _ in rows], False)
@@ -171,6 +178,15 @@ def pq_search(query_enc: DataFrame, codes: DataFrame, book: Codebook, k: int) ->
     return topk(out if out is not None else codes.sparkSession.createDataFrame([], HITS), k)
 
 
+def pq_search_by_joins(queries: DataFrame, codes: DataFrame, centers: DataFrame, group: int, k: int) -> DataFrame:
+    """The same by joins, from rows (query_id, dim, x), (doc_id, g, code) and (code, dim, center). A query's products with
+    all centres are summed by group first, and documents meet these sums by group and code. The centres are a codebook,
+    whose size hangs on the settings alone."""
+    part = queries.join(F.broadcast(centers), "dim").groupBy("query_id", F.floor(F.col("dim") / group).cast("int").alias("g"), "code")
+    sums = part.agg(F.sum(F.col("x") * F.col("center")).alias("part"))
+    return topk(codes.join(sums, ["g", "code"]).groupBy("query_id", "doc_id").agg(F.sum("part").alias("score")), k)
+
+
 # --- inverted lists -----------------------------------------------------------------------------------------------
 
 

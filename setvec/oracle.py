@@ -340,3 +340,10 @@ SQL: dict[str, str] = {
 }
 SQL["stream_sessions"] = SQL["session_bags"]
 SQL["stream_purchases"] = SQL["interval_events"]
+SQL["pq_search_by_joins"] = SQL["pq_search"]
+SQL["carve_stats"] = f"SELECT avg(groups) AS groups, avg(vectors) / avg(groups) AS fewer FROM ({SQL['carve_clusters']})"
+SQL["storage_ratio"] = sql(
+    ("tok",),
+    f"SELECT {DIM} * avg(n) AS floats_bag, 10240.0::DOUBLE AS floats_encoding, 40960.0::DOUBLE AS bytes_encoding, 1280.0::DOUBLE AS bytes_code, 32.0::DOUBLE AS ratio "
+    "FROM (SELECT count(DISTINCT pos) AS n FROM tok GROUP BY bag_id)",
+)

@@ -293,6 +293,15 @@ def pq_search(spark: SparkSession, sf_dir: str) -> DataFrame:
     return approx.pq_search(vectors.where("bag_id % 10 = 0"), approx.pq_encode(vectors, book), book, O.K)
 
 
+def pq_search_by_joins(spark: SparkSession, sf_dir: str) -> DataFrame:
+    book = untrained_book(small_vectors(spark, sf_dir))
+    centers = [(c, g * O.PQ_GROUP + i, float(x)) for g, of in enumerate(book.centers) for c, center in enumerate(of) for i, x in enumerate(center)]
+    whole = F.posexplode(F.transform("embedding", lambda x: F.floor(x.cast("double") * 256 + 0.5))).alias("dim", "x")
+    asked = tables.load(spark, sf_dir, "embeddings").where("embedding is not null and vec_id % 10 = 0").select(F.col("vec_id").alias("query_id"), whole)
+    codes = pq_codes(spark, sf_dir).withColumnRenamed("vec_id", "doc_id")
+    return approx.pq_search_by_joins(asked, codes, spark.createDataFrame(centers, "code int, dim int, center double"), O.PQ_GROUP, O.K)
+
+
 def ivf_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = small_vectors(spark, sf_dir)
     centers = lowest_rows(vectors, O.LISTS)
@@ -586,7 +595,7 @@ QUERIES = {
     "token_hit_raw": partial(token_hit, dedup=False), "token_hit_dedup": partial(token_hit, dedup=True), "token_hit_rerank": token_hit_rerank,
     "pooled_topk": pooled_topk, "staged_prune": staged_prune, "staged_prune_whole": staged_prune_whole, "carve_clusters": carve_clusters,
     "carve_stats": carve_stats, "carved_rerank": partial(retrieve_rerank, tau=O.TAU), "kmeans_queries": kmeans_queries, "pq_codes": pq_codes,
-    "pq_search": pq_search, "pq_trained": pq_trained, "ivf_topk": ivf_topk, "graph_topk": graph_topk, "graph_beam_sweep": graph_beam_sweep,
+    "pq_search": pq_search, "pq_search_by_joins": pq_search_by_joins, "pq_trained": pq_trained, "ivf_topk": ivf_topk, "graph_topk": graph_topk, "graph_beam_sweep": graph_beam_sweep,
     "one_recall": one_recall, "one_recall_token_hit": one_recall_token_hit, "recall_labelled": recall_labelled, "recall_pivot": recall_pivot,
     "regret": regret, "candidate_overlap": candidate_overlap, "collision_rate": collision_rate, "cell_purity": cell_purity,
     "floats_scanned": floats_scanned, "error_by_width": error_by_width, "recall_by_width": recall_by_width, "pareto_front": pareto_front,

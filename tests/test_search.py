@@ -126,13 +126,15 @@ def test_staged_engine_without_pruning_is_brute_force(bags):
     assert set(pruned) == set(exact)
 
 
-def test_pq_is_lossless_with_enough_codes_and_tables_equal_decoding(spark, encoded):
+def test_pq_is_lossless_with_enough_codes_and_tables_equal_decoding(spark, encoded, monkeypatch):
     q, d = encoded
     few = d.limit(30).cache()
     book = approx.pq_train(few, PARAMS.width, 32, 8)
     codes = approx.pq_encode(few, book).cache()
     assert {r["bag_id"]: bytes(r["enc"]) for r in approx.pq_decode(codes, book).collect()} == {r["bag_id"]: bytes(r["enc"]) for r in few.collect()}
     assert lists(approx.pq_search(q, codes, book, 5)) == lists(search.mips_dense(q, few, 5, PARAMS))
+    monkeypatch.setattr(approx, "TABLE_BYTES", 0)
+    assert lists(approx.pq_search(q, codes, book, 5)) == lists(search.mips_dense(q, few, 5, PARAMS))
     small = approx.pq_train(d, PARAMS.width, 16, 16)
     assert small.code_bytes == PARAMS.width // 32 and book.code_bytes == PARAMS.width // 8
     x = approx.floats(encode.encode_documents(tables.pack_bags(tables.vector_tokens(spark, SF)), PARAMS).limit(5).toArrow()["enc"].combine_chunks())
