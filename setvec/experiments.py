@@ -65,7 +65,7 @@ def turns(spark: SparkSession, sf_dir: str) -> Corpus:
     """User turns over assistant turns."""
     rows = tables.load(spark, sf_dir, "conversations").where("text is not null")
     rows = rows.select((F.col("conv_id") * 1000 + F.col("turn")).alias("bag_id"), "role", T.words("text").alias("words")).where(F.size("words") > 0)
-    own = rows.where("role = 'user'").withColumn("words", F.slice("words", 1, T.QUERY_WORDS))
+    own = rows.where("role = 'user'")
     said = rows.where("role = 'assistant'").withColumn("words", F.array_distinct("words"))
     return Corpus(T.bags_of_words(own), T.bags_of_words(WL.spread(said)), "sign")
 
