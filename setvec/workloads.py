@@ -480,22 +480,34 @@ def spread(rows: DataFrame) -> DataFrame:
     return rows if rows.rdd.getNumPartitions() >= 4 * cores else rows.repartition(4 * cores, "bag_id")
 
 
-def text_retrieval(spark: SparkSession, sf_dir: str, params: EncodeParams, k: int = 10, candidates: int = 100, index: str = "dense", tau: float | None = 0.7, where: DataFrame | None = None) -> DataFrame:
+#: Chunks that are re-scored for an item: a share of the corpus, as an equal recall needs more of them in a larger one.
+SHARE, LEAST, WIDTH = 32, 1000, 10240
+
+
+def text_retrieval(spark: SparkSession, sf_dir: str, params: EncodeParams, k: int = 10, candidates: int | None = None, index: str = "dense", tau: float | None = 0.7, where: DataFrame | None = None) -> DataFrame:
     """Items over chunks end to end, rolled up to documents: query_id, rank, doc_id, score. ``where``: only documents of
-    this table (doc_id), filtered before anything is encoded."""
+    this table (doc_id), filtered before anything is encoded. ``candidates`` chunks are re-scored, one in ``SHARE`` if none
+    are given, and more where they are chunks of fewer than ``k`` different documents."""
     docs = tables.load(spark, sf_dir, "documents")
     if where is not None:
         docs = docs.join(where.select("doc_id"), "doc_id", "left_semi")
-    bags = T.bags_of_words(spread(T.numbered_chunks(T.chunks(docs))))
+    rows = T.numbered_chunks(T.chunks(docs))
+    size = rows.agg(F.count("*").alias("n"), F.count_distinct("doc_id").alias("docs")).first()
+    bags = T.bags_of_words(spread(rows))
     queries = T.bags_of_words(T.items(tables.load(spark, sf_dir, "benchmark")))
     way = Retriever(params, index, "sign", codes=256).fit(bags)
-    near = way.search(queries, candidates, candidates, tau=tau)
-    best = near.select("query_id", F.expr("doc_id div 10000000").alias("doc_id"), "score").groupBy("query_id", "doc_id").agg(F.max("score").alias("score"))
-    return search.topk(best, k)
+    n = candidates or max(LEAST, -(-size["n"] // SHARE))
+    while True:
+        near = way.search(queries, n, n, tau=tau).persist()
+        best = near.select("query_id", F.expr("doc_id div 10000000").alias("doc_id"), "score").groupBy("query_id", "doc_id").agg(F.max("score").alias("score"))
+        if n >= size["n"] or best.groupBy("query_id").count().where(F.col("count") < min(k, size["docs"])).isEmpty():
+            return search.topk(best, k)
+        near.unpersist()
+        n *= 4
 
 
 def flagship(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return text_retrieval(spark, sf_dir, frontier(1280, T.DIM))
+    return text_retrieval(spark, sf_dir, frontier(WIDTH, T.DIM))
 
 
 def text_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -506,11 +518,11 @@ def text_exact_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def text_pq_retrieval(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return text_retrieval(spark, sf_dir, frontier(1280, T.DIM), index="pq")
+    return text_retrieval(spark, sf_dir, frontier(WIDTH, T.DIM), index="pq")
 
 
 def filtered_retrieval(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return text_retrieval(spark, sf_dir, frontier(1280, T.DIM), where=filtered_documents(spark, sf_dir))
+    return text_retrieval(spark, sf_dir, frontier(WIDTH, T.DIM), where=filtered_documents(spark, sf_dir))
 
 
 def text_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
