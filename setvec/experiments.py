@@ -401,17 +401,19 @@ def progressive_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _all(rows)
 
 
+def copies(rows: DataFrame, own: DataFrame, k: int = 5) -> DataFrame:
+    """The ``k`` best chunks of other documents for each chunk of ``own``. A document's own chunks go inside the scan, so
+    however many they are, none takes a candidate's place. Candidates are a share of the chunks, 500 at least."""
+    bags, asked = T.bags_of_words(rows), T.bags_of_words(own)
+    params, n = frontier(WL.WIDTH, DIM), max(500, -(-rows.count() // WL.SHARE))
+    near = search.mips_dense(*_encoded(Corpus(asked, bags, "sign"), params), n, params, owner=10_000_000)
+    return search.rerank(near, asked, bags, k, DIM, "sign")
+
+
 def near_copies(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Chunks of every hundredth document as queries over all chunks of others: the five best of each."""
     rows = WL.spread(T.numbered_chunks(T.chunks(tables.load(spark, sf_dir, "documents"))))
-    bags = T.bags_of_words(rows)
-    own = T.bags_of_words(rows.where("doc_id % 100 = 0"))
-    params = frontier(1280, DIM)
-    # A document's own chunks that follow one another share half their words, so the list is long before they go.
-    near = search.mips_dense(*_encoded(Corpus(own, bags, "sign"), params), 20, params)
-    scored = search.rerank(near, own, bags, 20, DIM, "sign")
-    other = scored.where(F.expr("query_id div 10000000 <> doc_id div 10000000")).drop("rank")
-    return search.topk(other, 5)
+    return copies(rows, rows.where("doc_id % 100 = 0"))
 
 
 def rank_fusion(spark: SparkSession, sf_dir: str) -> DataFrame:
