@@ -22,7 +22,8 @@ class Retriever:
     planner's choice. ``kind`` is the bags' number type.
 
     ``pq`` scans codes in place of encodings: 256 codes for each 8 numbers by default. ``progressive`` scores
-    ``first_reps`` repetitions of all documents and the rest for the ``keep`` of a batch ahead by then.
+    ``first_reps`` repetitions of all documents and the rest for the ``keep`` of a batch ahead by then and all that a bound
+    does not rule out. ``auto`` takes dense, progressive or sparse, whose lists are equal.
     """
 
     params: EncodeParams
@@ -48,7 +49,8 @@ class Retriever:
         if self.index == "auto":
             size = docs.agg(F.count("*").alias("n"), F.avg("n").alias("m")).first()
             self.choice = choose(self.params, size["n"], size["m"] or 0.0, n_queries, interactive=self.interactive)
-            self.way = "routed" if self.choice.index == "graph" else self.choice.index
+            # Only scans that give the same lists are taken; an index that loses neighbours has to be asked for by name.
+            self.way = self.choice.index if self.choice.index in ("dense", "sparse") else "dense"
             if self.way == "dense" and self.choice.first_reps < self.params.reps:
                 self.way, self.first_reps = "progressive", self.first_reps or self.choice.first_reps
         self.encodings = encode_documents(docs, self.params, self.centers, self.kind)
@@ -93,7 +95,7 @@ class Retriever:
         return search.rerank(near, queries, self.docs, k, self.params.dim, self.kind, tau, mode)
 
     def explain(self) -> str:
-        return self.choice.explain() if self.choice else f"index={self.way}"
+        return f"{self.choice.explain()}\n  - run: {self.way}" if self.choice else f"index={self.way}"
 
 
 def roll_up(ranked: DataFrame, owners: DataFrame, k: int) -> DataFrame:
