@@ -19,6 +19,8 @@ from pyspark.sql import functions as F
 
 _LOCAL: dict[str, str] = {}
 
+_BATCH = ("spark.sql.execution.arrow.maxRecordsPerBatch", "spark.sql.execution.arrow.maxBytesPerBatch")
+
 #: Bytes of text that a kernel holds as arrays at once; one longer text is taken alone.
 SLICE_BYTES = 2 << 20
 
@@ -37,8 +39,26 @@ def shared_folder(spark: SparkSession) -> str:
     return f"file://{_LOCAL[app]}"
 
 
+def _own_folder(spark: SparkSession) -> str:
+    return f"{shared_folder(spark)}/setvec/{spark.sparkContext.applicationId}"
+
+
 def new_path(spark: SparkSession, tag: str) -> str:
-    return f"{shared_folder(spark)}/setvec/{tag}-{uuid.uuid4().hex}"
+    return f"{_own_folder(spark)}/{tag}-{uuid.uuid4().hex}"
+
+
+def clear(spark: SparkSession) -> None:
+    """Removes all intermediate tables of this application. Results that still read them can't be read afterwards."""
+    folder = spark._jvm.org.apache.hadoop.fs.Path(_own_folder(spark))
+    folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
+
+
+def free_name(df: DataFrame, base: str) -> str:
+    """A column name that ``df`` doesn't have, in either case."""
+    taken = {c.lower() for c in df.columns}
+    while base in taken:
+        base += "_"
+    return base
 
 
 def stored(df: DataFrame, tag: str) -> DataFrame:
@@ -55,10 +75,28 @@ def small(df: DataFrame, rows: int) -> DataFrame:
     return F.broadcast(df) if df.count() <= rows else df
 
 
-def bounded_batches(spark: SparkSession) -> None:
-    """Keep Arrow batches small in rows and bytes, whatever the length of the texts (settings of a running session)."""
-    spark.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "2048")
-    spark.conf.set("spark.sql.execution.arrow.maxBytesPerBatch", str(32 << 20))
+def bounded_batches(spark: SparkSession, records: int = 2048, size: int = 32 << 20) -> tuple[str, str]:
+    """Keep Arrow batches small in rows and bytes, whatever the length of the texts, and return what was set before.
+
+    Spark reads these settings when a plan runs, so they must hold for results that are returned unread; a caller's
+    tighter settings stay. ``restored`` sets back what was returned."""
+    before = tuple(spark.conf.get(name) for name in _BATCH)
+    for name, old, most in zip(_BATCH, before, (records, size), strict=True):
+        if _number(old) <= 0 or _number(old) > most:
+            spark.conf.set(name, str(most))
+    return before
+
+
+def restored(spark: SparkSession, before: tuple[str, str]) -> None:
+    for name, old in zip(_BATCH, before, strict=True):
+        spark.conf.set(name, old)
+
+
+def _number(setting: str) -> int:
+    """A size setting in bytes; one with an unknown ending counts as no bound."""
+    ends = {"b": 0, "k": 10, "kb": 10, "m": 20, "mb": 20, "g": 30, "gb": 30}
+    digits = setting.lower().rstrip("bkmg")
+    return int(digits) << ends.get(setting.lower()[len(digits) :], 0) if digits.lstrip("-").isdigit() else 0
 
 
 def documents(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -2,7 +2,8 @@
 
 Words are counted per source, targets are shares of all words by weight, held to ``limit`` times a source's size with
 the excess shared again among the others. A source's rate is its target over its size; each document is taken
-floor(rate) times, and once more when its hash-seeded draw falls below the fraction.
+floor(rate) times, and once more when its hash-seeded draw falls below the fraction. There are ``TRIALS`` seeds, each
+with draws of its own; all are counted in one aggregation, and a source takes the one that brings it nearest its target.
 
 A null text has size 0; a null source is a source, the last. Rows with equal ids share a draw. A source of size 0 has
 target 0 and rate 0. An empty table gives no rows. ``repeated`` keeps all columns.
@@ -14,11 +15,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from setvec.llm.common import documents, stored
+from setvec.llm.common import documents, free_name, stored
 
 WEIGHTS = (5, 2, 1)
-LIMIT, SEED = 3, "mix-1"
-_DRAWS = 16**13
+LIMIT, SEED = 3, "mix-2"
+#: Draws of which each source takes the one that comes nearest its target; more come nearer where documents are few.
+TRIALS = 128
+_SPAN = 1 << 40
 
 
 def sized(docs: DataFrame) -> DataFrame:
@@ -53,37 +56,60 @@ def source_targets(sizes: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit:
     return rows.select("source", "source_size", "target", rate.alias("rate"))
 
 
-def draw(seed: str = SEED) -> F.Column:
-    """A number in [0, 1) that hangs on the seed and the id alone."""
-    key = F.concat(F.lit(f"{seed}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit("")))
-    return F.conv(F.substring(F.md5(key), 1, 13), 16, 10).cast("long") / F.lit(float(_DRAWS))
+def draws() -> F.Column:
+    """Two whole numbers of 40 bits that hang on the seed and the id alone. Draw t of a document is low + t * high
+    modulo 2^40, so that any two of its draws are independent."""
+    key = F.md5(F.concat(F.lit(f"{SEED}:"), F.coalesce(F.col("doc_id").cast("string"), F.lit(""))))
+    part = lambda at: F.conv(F.substring(key, at, 10), 16, 10).cast("long")
+    return F.struct(part(1).alias("low"), part(11).alias("high"))
 
 
-def with_copies(sizes: DataFrame, targets: DataFrame, seed: str = SEED) -> DataFrame:
-    """Adds source_size, target and the number of copies to each document."""
-    right = targets.withColumnRenamed("source", "__source")
-    rows = sizes.join(right, F.col("source").eqNullSafe(F.col("__source"))).drop("__source")
-    extra = (draw(seed) < F.col("rate") - F.floor("rate")).cast("int")
-    return rows.withColumn("copies", (F.floor("rate") + extra).cast("int"))
+def copies(rate: F.Column, trial: F.Column, drawn: F.Column) -> F.Column:
+    """floor(rate), and one more if the draw of that trial falls below the fraction."""
+    place = (drawn["low"] + trial * drawn["high"]) % F.lit(_SPAN)
+    return (F.floor(rate) + (place / F.lit(float(_SPAN)) < rate - F.floor(rate)).cast("int")).cast("int")
 
 
-def repeated(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit: int = LIMIT, seed: str = SEED) -> DataFrame:
+def chosen_trials(sizes: DataFrame, targets: DataFrame) -> DataFrame:
+    """source, source_size, target, rate, trial: of ``TRIALS`` draws the one whose words come nearest a source's target,
+    ties to the first. Every task adds its words by source and trial before the shuffle, so a source with a third of all
+    rows is no larger group than another."""
+    right = targets.withColumnRenamed("source", "of")
+    rows = sizes.where("size > 0").join(right, F.col("source").eqNullSafe(F.col("of"))).select("of", "size", "target", "rate", draws().alias("drawn"))
+    rows = rows.withColumn("trial", F.explode(F.sequence(F.lit(0), F.lit(TRIALS - 1))))
+    words = rows.groupBy("of", "target", "trial").agg(F.sum(F.col("size") * copies(F.col("rate"), F.col("trial"), F.col("drawn"))).alias("words"))
+    near = F.min_by("trial", F.struct(F.abs(F.col("words") - F.col("target")), F.col("trial"))).alias("trial")
+    best = words.groupBy(F.col("of").alias("source")).agg(near)
+    own = best.withColumnRenamed("source", "of")
+    out = targets.join(own, F.col("source").eqNullSafe(F.col("of")), "left").drop("of")
+    return out.withColumn("trial", F.coalesce("trial", F.lit(0)))
+
+
+def with_copies(sizes: DataFrame, chosen: DataFrame) -> DataFrame:
+    """Adds source_size, target, rate, trial and the number of copies to each document."""
+    right = chosen.withColumnRenamed("source", "of")
+    rows = sizes.join(right, F.col("source").eqNullSafe(F.col("of"))).drop("of")
+    return rows.withColumn("copies", copies(F.col("rate"), F.col("trial"), draws()))
+
+
+def repeated(docs: DataFrame, weights: tuple[int, ...] = WEIGHTS, limit: int = LIMIT) -> DataFrame:
     """The mix itself: every document as often as it is taken, with all its columns. No text is shuffled unless the
     table of sources is too large to broadcast."""
-    targets = stored(source_targets(sized(docs), weights, limit), "targets").select("source", "rate")
-    right = targets.select(F.col("source").alias("__source"), F.col("rate").alias("__rate"))
-    rows = docs.join(right, F.col("source").cast("string").eqNullSafe(F.col("__source")))
-    extra = (draw(seed) < F.col("__rate") - F.floor("__rate")).cast("int")
-    rows = rows.withColumn("__n", F.sequence(F.lit(1), (F.floor("__rate") + extra).cast("int"), F.lit(1)))
-    rows = rows.where(F.floor("__rate") + extra > 0)
-    return rows.withColumn("__n", F.explode("__n")).select(*[F.col(f"`{c}`") for c in docs.columns])
+    sizes = stored(sized(docs), "sizes")
+    chosen = stored(chosen_trials(sizes, stored(source_targets(sizes, weights, limit), "targets")), "mix")
+    of, rate, trial, n = (free_name(docs, x) for x in ("mix_source", "mix_rate", "mix_trial", "mix_n"))
+    right = chosen.select(F.col("source").alias(of), F.col("rate").alias(rate), F.col("trial").alias(trial))
+    rows = docs.join(right, F.col("source").cast("string").eqNullSafe(F.col(of)))
+    taken = rows.withColumn(n, copies(F.col(rate), F.col(trial), draws())).where(F.col(n) > 0)
+    taken = taken.withColumn(n, F.explode(F.sequence(F.lit(1), F.col(n))))
+    return taken.select(*[F.col(f"`{c}`") for c in docs.columns])
 
 
 def op5_source_mix(spark: SparkSession, sf_dir: str) -> DataFrame:
     sizes = stored(sized(documents(spark, sf_dir)), "sizes")
-    rows = with_copies(sizes, source_targets(sizes))
+    chosen = stored(chosen_trials(sizes, stored(source_targets(sizes), "targets")), "mix")
     taken = (F.col("size") * F.col("copies")).alias("taken")
-    return rows.select("doc_id", "size", "source_size", "target", taken, "copies", "source")
+    return with_copies(sizes, chosen).select("doc_id", "size", "source_size", "target", taken, "copies", "source")
 
 
 OP5_SQL = rf"""
@@ -106,8 +132,18 @@ targets AS (
 rated AS (
   SELECT s.doc_id, s.size, t.source_size, t.target, s.source,
     CASE WHEN t.source_size > 0 THEN least(t.target / t.source_size, {LIMIT}.0::DOUBLE) ELSE 0.0::DOUBLE END AS rate,
-    ('0x' || substr(md5('{SEED}:' || coalesce(s.doc_id::VARCHAR, '')), 1, 13))::BIGINT / {_DRAWS}::DOUBLE AS draw
+    md5('{SEED}:' || coalesce(s.doc_id::VARCHAR, '')) AS h
   FROM sizes s JOIN targets t ON s.source IS NOT DISTINCT FROM t.source),
-counted AS (SELECT *, (floor(rate) + (draw < rate - floor(rate))::INT)::INT AS copies FROM rated)
+drawn AS (SELECT *, ('0x' || substr(h, 1, 10))::BIGINT AS low, ('0x' || substr(h, 11, 10))::BIGINT AS high FROM rated),
+tried AS (
+  SELECT source, target, t.i AS trial,
+    sum(size * (floor(rate) + (((low + t.i * high) % {_SPAN})::DOUBLE / {_SPAN}::DOUBLE < rate - floor(rate))::INT))::BIGINT AS words
+  FROM drawn, range({TRIALS}) t(i) WHERE size > 0 GROUP BY ALL),
+nearest AS (
+  SELECT source, trial FROM (SELECT source, trial, row_number() OVER (PARTITION BY source ORDER BY abs(words - target), trial) AS nth FROM tried)
+  WHERE nth = 1),
+counted AS (
+  SELECT d.*, (floor(rate) + (((low + coalesce(n.trial, 0) * high) % {_SPAN})::DOUBLE / {_SPAN}::DOUBLE < rate - floor(rate))::INT)::INT AS copies
+  FROM drawn d LEFT JOIN nearest n ON d.source IS NOT DISTINCT FROM n.source)
 SELECT doc_id, size, source_size, target, size * copies AS taken, copies, source FROM counted
 """

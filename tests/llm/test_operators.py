@@ -257,6 +257,42 @@ def test_targets_hold_the_limit(spark, odd, empty):
     assert Counter(mixed.doc_id) == Counter(again.doc_id)
 
 
+@pytest.mark.parametrize(("sf", "most"), [("sf0.001", 0.03), ("sf0.01", 0.01), ("sf0.1", 0.002)])
+def test_mix_comes_near_its_targets(spark, sf, most):
+    got = mixing.op5_source_mix(spark, f"/root/testdata/{sf}").toPandas()
+    assert (got.taken <= 3 * got["size"]).all() and (got.taken >= 0).all()
+    by = got.groupby("source").agg(taken=("taken", "sum"), target=("target", "first"))
+    assert (by.taken / by.target - 1).abs().max() < most
+
+
+def test_trial_draws_have_the_fraction(spark):
+    ids = spark.range(20_000).select(mixing.F.col("id").alias("doc_id"))
+    one = lambda t: mixing.copies(mixing.F.lit(1.3), mixing.F.lit(t), mixing.draws()).alias(f"t{t}")
+    got = ids.select(one(0), one(1), one(127)).toPandas()
+    assert got.isin([1, 2]).all().all() and ((got - 1).mean() - 0.3).abs().max() < 0.02
+    assert abs(((got.t0 - 1) * (got.t127 - 1)).mean() - 0.09) < 0.01
+
+
+# --- tables with columns of the operators' own names ----------------------------------------------------------------
+
+CLASHES = ("gone", "gone_", "found", "blob", "blob_key", "whole_text", "spots", "mix_source", "mix_rate", "mix_n", "rate", "copies", "trial", "of", "size", "class_id", "part", "kinds", "__gone", "__rate", "__t")
+
+
+def test_clashing_columns_stay(spark, odd):
+    wide = odd
+    for c in CLASHES:
+        wide = wide.withColumn(c, mixing.F.lit(c))
+    plain = {"near": near.kept, "mix": mixing.repeated, "secrets": lambda d: secrets.redacted(d, secrets.scan(d))}
+    for name, run in plain.items():
+        want, got = run(odd).toPandas(), run(wide).toPandas()
+        assert got.columns.tolist() == wide.columns, name
+        assert Counter(got.doc_id) == Counter(want.doc_id) and all((got[c] == c).all() for c in CLASHES), name
+    model = language.trained(odd)
+    assert language.accepted(wide, model).columns == wide.columns
+    for run in (media.media_digests, near.near_classes, licences.scan, packing.packed, lambda d: language.predict(d, model), lambda d: secrets.findings_by_path(d, secrets.scan(d))):
+        assert Counter(map(repr, run(wide).collect())) == Counter(map(repr, run(odd).collect()))
+
+
 # --- quality ------------------------------------------------------------------------------------------------------
 
 
