@@ -24,7 +24,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setvec.llm.common import arrow_map, bounded_batches, documents, rows_out, slices, small, stored
+from setvec.llm.common import arrow_map, bounded_batches, documents, free_name, rows_out, slices, small, stored
 from setvec.llm.shingles import mixed, shingle_sets
 
 BANDS, ROWS = 32, 5
@@ -118,9 +118,9 @@ def components(edges: DataFrame) -> DataFrame:
         step = stored(step, "labels")
         top = step.select(F.col("id").alias("label"), F.col("label").alias("top"))
         new = stored(step.join(top, "label").select("id", "was", F.col("top").alias("label")), "labels")
-        changed = new.where("label != was").isEmpty()
+        settled = new.where("label != was").isEmpty()
         labels = new.select("id", "label")
-        if changed:
+        if settled:
             return labels
 
 
@@ -282,8 +282,9 @@ def near_classes(docs: DataFrame, chunk: int = CHUNK) -> DataFrame:
 def kept(docs: DataFrame) -> DataFrame:
     """One document of each class, that of the smallest id, with all columns. Rows without an id stay; rows that repeat
     the smallest id stay together."""
-    gone = stored(near_classes(docs).where("doc_id != class_id").select(F.col("doc_id").alias("__gone")).distinct(), "gone")
-    return docs.join(small(gone, MEMBERS), F.col("doc_id").cast("long") == F.col("__gone"), "left_anti")
+    name = free_name(docs, "gone")
+    gone = stored(near_classes(docs).where("doc_id != class_id").select(F.col("doc_id").alias(name)).distinct(), "gone")
+    return docs.join(small(gone, MEMBERS), F.col("doc_id").cast("long") == F.col(name), "left_anti")
 
 
 def op4_ngram_jaccard(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -18,7 +18,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setvec.llm.common import arrow_map, documents, rows_out, stored, texts_of
+from setvec.llm.common import arrow_map, documents, free_name, rows_out, stored, texts_of
 
 # The kinds, in their order, with each one's pattern, the group that is measured and its least length.
 RULES = (
@@ -129,16 +129,17 @@ def redacted(docs: DataFrame, findings: DataFrame) -> DataFrame:
     All columns stay; ``n_chars`` is counted anew where the table has it.
     """
     names = "array(" + ", ".join(f"'{k}'" for k in VERSIONS) + ")"
+    whole, key, spots = (free_name(docs, x) for x in ("whole_text", "blob_key", "spots"))
     merge = (
-        "aggregate(found, named_struct('at', 0, 'out', ''), (a, x) -> if(x.end <= a.at, a, named_struct('at', x.end, 'out', "
-        f"concat(a.out, substring(__t, a.at + 1, greatest(0, x.start - a.at)), if(x.start < a.at, '', concat('<', element_at({names}, x.nth), '>'))))), "
-        "a -> concat(a.out, substring(__t, a.at + 1)))"
+        f"aggregate({spots}, named_struct('at', 0, 'out', ''), (a, x) -> if(x.end <= a.at, a, named_struct('at', x.end, 'out', "
+        f"concat(a.out, substring({whole}, a.at + 1, greatest(0, x.start - a.at)), if(x.start < a.at, '', concat('<', element_at({names}, x.nth), '>'))))), "
+        f"a -> concat(a.out, substring({whole}, a.at + 1)))"
     )
-    marked = docs.withColumn("__t", F.coalesce("text", F.lit(""))).withColumn("__b", F.sha2("__t", 256))
-    found = stored(by_blob(findings).withColumnRenamed("blob", "__b"), "found")
-    few = (found.agg(F.sum(F.size("found") + 8)).first()[0] or 0) <= SPANS
-    marked = marked.join(F.broadcast(found) if few else found, "__b", "left")
-    new = F.when(F.col("found").isNull(), F.col("text")).otherwise(F.expr(merge))
+    marked = docs.withColumn(whole, F.coalesce("text", F.lit(""))).withColumn(key, F.sha2(whole, 256))
+    found = stored(by_blob(findings).withColumnsRenamed({"blob": key, "found": spots}), "found")
+    few = (found.agg(F.sum(F.size(spots) + 8)).first()[0] or 0) <= SPANS
+    marked = marked.join(F.broadcast(found) if few else found, key, "left")
+    new = F.when(F.col(spots).isNull(), F.col("text")).otherwise(F.expr(merge))
     kept = [new.alias("text") if c == "text" else F.col(f"`{c}`") for c in docs.columns]
     out = marked.select(*kept)
     return out.withColumn("n_chars", F.length("text").cast("long")) if "n_chars" in docs.columns else out
