@@ -8,6 +8,9 @@ from the highest levels down; accumulators are lower bounds. After each step a r
 with what its unseen terms can still add, reaches the k-th lower bound; a query stops when this leaves few rows, which
 is the proof, and these are scored exactly from the stored vectors. If it never does, the lowest level ends it.
 
+Bounds are exact for components of any size below ``LARGEST``: doubles serve where they hold all sums, wider whole numbers
+where they don't.
+
 Shards and blocks of queries meet by the shard's number, so that each task holds one shard and one block of a fixed
 size. Ties go to the smaller id. Vectors that are null, empty, or hold null or non-finite components take no part, and a
 null id takes none; vectors of different lengths are not compared. Rows that repeat a query's id are its own, so they are no
@@ -24,11 +27,13 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from setvec.llm.common import bounded_batches, stored
+from setvec.llm.common import bounded_batches, restored, stored
 
 K, SCALE, EVERY = 5, 256, 50
-LEVELS, STEPS = 64, 8
+LEVELS, STEPS = 64, 4
 SHARD_ROWS, BLOCK_QUERIES = 4096, 512
+#: Components must lie below this in size; larger ones raise an error, as does a score beyond 64 bits.
+LARGEST = 1 << 60
 #: A query stops once this share of a shard's rows, or fewer, may still be members.
 FEW = 1 / 16
 INDEX_DDL = "shard int, dim int, ids binary, vectors binary, orders binary, bounds binary"
@@ -57,6 +62,8 @@ def _index(key: tuple, table: pa.Table) -> pa.Table:
     shard, dim = (k.as_py() for k in key)
     v = _matrix(table, dim)
     low, high = v.min(0), v.max(0)
+    if int(high.max()) >= LARGEST or int(low.min()) < -LARGEST:
+        raise ValueError(f"components beyond {LARGEST} have no scores that fit 64 bits")
     width = np.maximum(1, -(-(high - low + 1) // LEVELS))
     level = (v - low) // width
     order = np.argsort(-v, axis=0, kind="stable")
@@ -86,61 +93,70 @@ def query_blocks(queries: DataFrame, size: int = BLOCK_QUERIES) -> DataFrame:
     return rows.groupBy("block", "dim").applyInArrow(pack, BLOCK_DDL)
 
 
+def number_type(q: np.ndarray, v: np.ndarray) -> type:
+    """What holds every bound of a shard exactly: doubles below 2^52, 64-bit numbers below 2^62, else Python's own."""
+    most = lambda x: max(int(x.max(initial=0)), -int(x.min(initial=0)))
+    top = most(q) * (2 * most(v) + 2 * LEVELS) * 2 * v.shape[1]
+    return np.float64 if top < 1 << 52 else np.int64 if top < 1 << 62 else object
+
+
 class Shard:
-    """A shard's index in memory, with the part of each step's segments as sparse rows."""
+    """A shard's index in memory. The segments of one step are opened at a time, as a matrix of terms by rows."""
 
     def __init__(self, dim: int, ids: bytes, vectors: bytes, orders: bytes, bounds: bytes):
         self.ids = np.frombuffer(ids, "<i8")
         self.v = np.frombuffer(vectors, "<i8").reshape(-1, dim)
         self.low, self.high = self.v.min(0), self.v.max(0)
         self.width = np.maximum(1, -(-(self.high - self.low + 1) // LEVELS))
-        order = np.frombuffer(orders, "<i4").reshape(dim, -1)
-        ends = np.frombuffer(bounds, "<i4").reshape(dim, LEVELS)
-        self.steps = []
-        n = len(self.ids)
-        for high in range(LEVELS, 0, -LEVELS // STEPS):
-            low = high - LEVELS // STEPS
-            up, down = np.zeros((dim, n)), np.zeros((dim, n))
-            up_seen, down_seen = np.zeros((dim, n), bool), np.zeros((dim, n), bool)
-            for d in range(dim):
-                # ends[d, l] is where level l ends in the order from large to small
-                a, b = (0 if high == LEVELS else ends[d, high]), ends[d, low]
-                rows = order[d, a:b]
-                up[d, rows] = (self.v[rows, d] - self.low[d]) // self.width[d] * self.width[d]
-                up_seen[d, rows] = True
-                a = 0 if LEVELS - low == LEVELS else ends[d, LEVELS - low]
-                rows = order[d, a : ends[d, LEVELS - high]]
-                top = self.low[d] + LEVELS * self.width[d] - 1
-                down[d, rows] = (top - self.v[rows, d]) // self.width[d] * self.width[d]
-                down_seen[d, rows] = True
-            self.steps.append((low, up, up_seen, down, down_seen))
+        self.top = self.low + LEVELS * self.width - 1
+        self.order = np.frombuffer(orders, "<i4").reshape(dim, -1)
+        self.ends = np.frombuffer(bounds, "<i4").reshape(dim, LEVELS)
+
+    def segments(self, high: int, low: int, kind: type) -> tuple[np.ndarray, np.ndarray]:
+        """Impacts of the levels from ``high`` (exclusive) down to ``low``, and which rows they are of: the rising terms
+        of all dimensions, then the falling ones."""
+        dim, n = self.order.shape
+        impact, seen = np.zeros((2 * dim, n), kind), np.zeros((2 * dim, n), kind)
+        for d in range(dim):
+            # ends[d, l] is where level l ends in the order from large to small
+            a, b = (0 if high == LEVELS else self.ends[d, high]), self.ends[d, low]
+            rows = self.order[d, a:b]
+            impact[d, rows] = (self.v[rows, d] - self.low[d]) // self.width[d] * self.width[d]
+            seen[d, rows] = 1
+            a = 0 if low == 0 else self.ends[d, LEVELS - low]
+            rows = self.order[d, a : self.ends[d, LEVELS - high]]
+            impact[dim + d, rows] = (self.top[d] - self.v[rows, d]) // self.width[d] * self.width[d]
+            seen[dim + d, rows] = 1
+        return impact, seen
 
     def search(self, ids: np.ndarray, q: np.ndarray, k: int) -> Iterator[tuple[int, int, int]]:
-        """(query, row, score) of each query's k best rows. Bounds are whole numbers held in doubles: exact below 2^53,
-        beyond which the caller is told."""
-        if float(np.abs(q).max(initial=0)) * float(np.abs(self.v).max(initial=0) * 2 + LEVELS) * q.shape[1] >= 2**52:
-            raise ValueError("components too large for exact double sums")
-        pos, neg = np.maximum(q, 0).astype(np.float64), np.maximum(-q, 0).astype(np.float64)
-        top = self.low + LEVELS * self.width - 1
-        base = pos @ self.low - neg @ top
+        """(query, row, score) of each query's k best rows. All bounds are whole numbers, held exactly."""
+        kind = number_type(q, self.v)
+        pos, neg = np.maximum(q, 0).astype(kind), np.maximum(-q, 0).astype(kind)
+        weights, width = np.concatenate([pos, neg], 1), np.concatenate([self.width, self.width]).astype(kind)
+        base = pos @ self.low.astype(kind) - neg @ self.top.astype(kind)
         live = np.arange(len(q))
         acc = np.repeat(base[:, None], len(self.ids), axis=1)
-        seen, all_seen = np.zeros_like(acc), (pos + neg) @ self.width
-        acc[ids[:, None] == self.ids] = -np.inf
+        seen, all_seen = np.zeros_like(acc), weights @ width
+        own = ids[:, None] == self.ids
+        nothing = -np.inf if kind is np.float64 else -(1 << 63) if kind is np.int64 else -(1 << 200)
         few = max(4 * k, int(FEW * len(self.ids)))
-        for low, up, up_seen, down, down_seen in self.steps:
-            p, m = pos[live], neg[live]
-            acc += p @ up + m @ down
-            seen += (p * self.width) @ up_seen + (m * self.width) @ down_seen
+        for high in range(LEVELS, 0, -LEVELS // STEPS):
+            low = high - LEVELS // STEPS
+            impact, here = self.segments(high, low, kind)
+            own_weights = weights[live]
+            acc = acc + own_weights @ impact
+            seen = seen + (own_weights * width) @ here
             # A seen impact is below its level's start plus the width, an unseen one below the step's lowest start.
-            slack = seen - (p + m).sum(1)[:, None] + low * (all_seen[live][:, None] - seen)
-            floor = np.partition(acc, -k, axis=1)[:, -k] if len(self.ids) >= k else np.full(len(acc), -np.inf)
-            maybe = (acc + slack >= floor[:, None]) & (acc > -np.inf)
+            slack = seen - own_weights.sum(1)[:, None] + low * (all_seen[live][:, None] - seen)
+            bound = np.where(own[live], nothing, acc)
+            floor = np.sort(bound, axis=1)[:, -k] if kind is object else np.partition(bound, -k, axis=1)[:, -k] if len(self.ids) >= k else np.full(len(acc), nothing)
+            maybe = (acc + slack >= floor[:, None]) & ~own[live]
             done = (maybe.sum(1) <= few) | (low == 0)
             for r in np.flatnonzero(done):
                 rows = np.flatnonzero(maybe[r])
-                score = self.v[rows] @ q[live[r]]
-                best = np.lexsort((self.ids[rows], -score))[:k]
+                score = self.v[rows].astype(object if kind is object else np.int64) @ q[live[r]].astype(object if kind is object else np.int64)
+                best = sorted(range(len(rows)), key=lambda i: (-score[i], self.ids[rows[i]]))[:k] if kind is object else np.lexsort((self.ids[rows], -score))[:k]
                 for b in best:
                     yield int(ids[live[r]]), int(self.ids[rows[b]]), int(score[b])
             live, acc, seen = live[~done], acc[~done], seen[~done]
@@ -169,9 +185,11 @@ def topk(index: DataFrame, shards: int, blocks: DataFrame, k: int = K) -> DataFr
         F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), "dim", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors")
     )
     # A joined row holds a whole shard: few rows to a batch keep it bounded.
-    index.sparkSession.conf.set("spark.sql.execution.arrow.maxRecordsPerBatch", "4")
-    hits = stored(index.join(spread, ["shard", "dim"]).mapInArrow(run, HIT_DDL), "hits")
-    bounded_batches(index.sparkSession)
+    before = bounded_batches(index.sparkSession, 4)
+    try:
+        hits = stored(index.join(spread, ["shard", "dim"]).mapInArrow(run, HIT_DDL), "hits")
+    finally:
+        restored(index.sparkSession, before)
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))
     return hits.withColumn("rank", rank).where(F.col("rank") <= k).select("query_id", "rank", "vec_id", "score")
 

@@ -116,6 +116,34 @@ def test_topk_ties_bad_vectors_and_small_shards(spark):
     assert set(got.query_id) == set(range(0, 120, 10))
 
 
+@pytest.mark.parametrize(("most", "kind"), [(90_000, np.int64), (100, np.float64), (1 << 40, object)])
+def test_topk_of_large_components(spark, most, kind):
+    """Sums beyond what doubles hold exactly, and bounds beyond 64 bits whose scores still fit."""
+    rng = np.random.default_rng(2)
+    data = [(i, [float(x) for x in rng.integers(0, min(most, 90_000), 64)]) for i in range(101)]
+    if kind is object:
+        data = [(i, [0.0] * i + [float(most >> 20) if i else float(most)] + [0.0] * (63 - i)) for i in range(64)]
+    v = {i: [int(256 * x) for x in row] for i, row in data}
+    whole = np.array(list(v.values()))
+    assert topk.number_type(whole, whole) is kind
+    df = topk.whole_vectors(spark.createDataFrame(data, "vec_id bigint, embedding array<double>"))
+    index, shards = topk.build_index(df, 64)
+    asked = df.where("vec_id % 50 = 0" if kind is not object else "vec_id in (1, 2, 50)")
+    got = topk.topk(index, shards, topk.query_blocks(asked)).toPandas()
+    for q in got.query_id.unique():
+        want = sorted(((sum(a * b for a, b in zip(v[q], x, strict=True)), i) for i, x in v.items() if i != q), key=lambda p: (-p[0], p[1]))[:5]
+        mine = got[got.query_id == q].sort_values("rank")
+        assert list(zip(mine.score.tolist(), mine.vec_id.tolist(), strict=True)) == want
+
+
+def test_topk_leaves_settings(spark):
+    name = "spark.sql.execution.arrow.maxRecordsPerBatch"
+    spark.conf.set(name, "77")
+    df = topk.whole_vectors(spark.createDataFrame([(i, [float(i)]) for i in range(9)], "vec_id bigint, embedding array<double>"))
+    index, shards = topk.build_index(df, 4)
+    assert topk.topk(index, shards, topk.query_blocks(df)).count() == 45 and spark.conf.get(name) == "77"
+
+
 def test_topk_empty(spark):
     df = topk.whole_vectors(spark.createDataFrame([], "vec_id bigint, embedding array<float>"))
     index, shards = topk.build_index(df)
@@ -351,6 +379,13 @@ def test_coder_cuts_and_forgets(monkeypatch, at_once, kept):
     assert c.encode([]) == []
 
 
+@pytest.mark.parametrize("name", ["byte_bpe_50k.json", tokens.NAME])
+def test_other_vocabularies_are_the_library_s(docs, name):
+    c = tokens.Coder(public_tokenizers.path(name))
+    texts = docs.text.tolist()[:60] + ODD_TEXTS
+    assert c.cuts == (name == tokens.NAME) and c.encode(texts) == [c.whole(x) for x in texts]
+
+
 def want_ids(docs):
     c = coder()
     return [(i, np.frombuffer(c.whole(x or ""), "<u4").tolist() + [1]) for i, x in docs]
@@ -370,6 +405,20 @@ def test_huffman_odd(spark, odd, empty):
         idfile.write_ids(frame, path)
         got = idfile.read_ids(spark, path).toPandas().sort_values("start")
         assert len(got) == n and got.doc_id.is_monotonic_increasing
+        assert got.start.tolist() == (got.n_tokens.cumsum() - got.n_tokens).tolist()
+
+
+def test_huffman_blocks_keep_their_place(spark, docs, monkeypatch):
+    """Many blocks over many parts: starts come from a block's part and its place there, without moving a block."""
+    monkeypatch.setattr(idfile, "BLOCK_IDS", 500)
+    path = idfile.new_path(spark, "test")
+    idfile.write_ids(spark.read.parquet(f"{SF}/documents.parquet").repartition(5), path)
+    got = idfile.read_ids(spark, path)
+    plan = got._jdf.queryExecution().toString()
+    assert "SortMergeJoin" not in plan and "Window" not in plan
+    got = got.toPandas().sort_values("doc_id", kind="stable")
+    assert got.start.tolist() == (got.n_tokens.cumsum() - got.n_tokens).tolist()
+    assert spark.read.parquet(f"{path}/blocks").count() > 20 and len(got) == len(docs)
 
 
 @pytest.mark.parametrize("n", [1, 2, 3, 255, 256, 257, 70_000])
