@@ -3,11 +3,13 @@
 The tokenizer's own pattern cuts a text into pieces that are coded one by one, so equal pieces have equal ids. Texts
 of plain letters, digits, marks and white space are cut here by the same pattern, from the kinds of their bytes; Arrow
 numbers the different pieces and looks them up, and a text's ids are gathered from its pieces' ids. A new piece is coded
-by the tokenizer's own model and kept. Any other text is coded whole by the library.
+by the tokenizer's own model and kept. Any other text, and every text under a vocabulary file whose rules of lowering and
+cutting are not those, is coded whole by the library.
 """
 
 from __future__ import annotations
 
+import json
 import re
 from collections.abc import Iterator
 from functools import lru_cache
@@ -66,6 +68,21 @@ def _parts(text: str) -> Iterator[str]:
     yield text[a:]
 
 
+def _default_path() -> str:
+    import public_tokenizers
+
+    return public_tokenizers.path(NAME)
+
+
+@lru_cache(maxsize=4)
+def _rules(path: str) -> str:
+    """What a vocabulary file says of normalising, cutting and the form of its pieces, as one text."""
+    with open(path, encoding="utf-8") as f:
+        told = json.load(f)
+    model = {k: v for k, v in told.get("model", {}).items() if k not in ("vocab", "merges")}
+    return json.dumps([told.get("normalizer"), told.get("pre_tokenizer"), told.get("added_tokens"), model], sort_keys=True)
+
+
 class Coder:
     def __init__(self, path: str):
         from tokenizers import Tokenizer
@@ -73,6 +90,7 @@ class Coder:
         self.tokenizer = Tokenizer.from_file(path)
         self.size = max(self.tokenizer.get_vocab().values()) + 1
         self.model = self.tokenizer.model
+        self.cuts = _rules(path) == _rules(_default_path())
         self._forget()
 
     def _forget(self) -> None:
@@ -134,7 +152,7 @@ class Coder:
 
     def encode(self, texts: list[str]) -> list[bytes]:
         """Ids of each text, as little-endian unsigned 32-bit integers."""
-        is_plain = [_PLAIN.fullmatch(x) is not None and "<|" not in x for x in texts]
+        is_plain = [self.cuts and _PLAIN.fullmatch(x) is not None and "<|" not in x for x in texts]
         coded = self._coded([x for x, p in zip(texts, is_plain, strict=True) if p])
         return [next(coded) if p else self.whole(x) for x, p in zip(texts, is_plain, strict=True)]
 
@@ -146,8 +164,4 @@ def _coder(path: str) -> Coder:
 
 def coder(path: str | None = None) -> Coder:
     """One coder for each process and vocabulary file; the default file is found on the machine that runs it."""
-    if path is None:
-        import public_tokenizers
-
-        path = public_tokenizers.path(NAME)
-    return _coder(path)
+    return _coder(path or _default_path())
