@@ -21,24 +21,26 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from setvec.llm.common import bounded_batches, documents, new_path, rows_out, slices, stored, texts_of
+from setvec.llm.common import bounded_batches, documents, new_path, rows_out, slices, small, stored, texts_of
 from setvec.llm.tokens import END_ID, coder
 
 LONGEST, STEP, BLOCK_IDS = 16, 256, 1 << 18
+#: Parts whose places are broadcast at most, 12 bytes each; more meet their blocks by a shuffle.
+PARTS = 1_000_000
 _BLOCKS = pa.schema(
-    [("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64())]
+    [("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64()), ("part_ids", pa.int64())]
     + [("doc_ids", pa.binary()), ("doc_tokens", pa.binary()), ("checkpoints", pa.binary()), ("bits", pa.binary())]
     + [("bits_crc32", pa.int64())]
 )
 BLOCK_DDL = (
-    "part int, block int, n_ids bigint, doc_ids binary, doc_tokens binary, checkpoints binary, "
+    "part int, block int, n_ids bigint, part_ids bigint, doc_ids binary, doc_tokens binary, checkpoints binary, "
     "bits binary, bits_crc32 bigint"
 )
 _RAW = pa.schema(
-    [("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64())]
+    [("part", pa.int32()), ("block", pa.int32()), ("n_ids", pa.int64()), ("part_ids", pa.int64())]
     + [(n, pa.binary()) for n in ("doc_ids", "doc_tokens", "ids")]
 )
-RAW_DDL = "part int, block int, n_ids bigint, doc_ids binary, doc_tokens binary, ids binary"
+RAW_DDL = "part int, block int, n_ids bigint, part_ids bigint, doc_ids binary, doc_tokens binary, ids binary"
 _READ = pa.schema([(n, pa.int64()) for n in ("doc_id", "start", "n_tokens", "ids_crc32")])
 READ_DDL = "doc_id bigint, start bigint, n_tokens bigint, ids_crc32 bigint"
 
@@ -132,29 +134,29 @@ def raw_blocks(docs: DataFrame, tokenizer: str | None = None) -> DataFrame:
 
     end = np.array([END_ID], "<u4").tobytes()
 
-    def row(nth: int, docs: list, counts: list, ids: list) -> pa.RecordBatch:
+    def row(nth: int, before: int, docs: list, counts: list, ids: list) -> pa.RecordBatch:
         names = np.array([np.iinfo(np.int64).min if x is None else x for x in docs], "<i8")
         return rows_out(
-            _RAW, part=[TaskContext.get().partitionId()], block=[nth], n_ids=[sum(counts)], doc_ids=[names.tobytes()],
+            _RAW, part=[TaskContext.get().partitionId()], block=[nth], n_ids=[sum(counts)], part_ids=[before], doc_ids=[names.tobytes()],
             doc_tokens=[np.array(counts, "<i8").tobytes()], ids=[b"".join(ids)],
         )
 
     def gather(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         got = coder(tokenizer)
         kind = "<u2" if got.size <= 1 << 16 else "<u4"
-        docs, counts, held, n, nth = [], [], [], 0, 0
+        docs, counts, held, n, nth, before = [], [], [], 0, 0, 0
         for part in (part for batch in batches for part in slices(batch)):
             for doc, raw in zip(part.column("doc_id").to_pylist(), got.encode(texts_of(part)), strict=True):
                 if n >= BLOCK_IDS:
-                    yield row(nth, docs, counts, held)
-                    docs, counts, held, n, nth = [], [], [], 0, nth + 1
+                    yield row(nth, before, docs, counts, held)
+                    docs, counts, held, n, nth, before = [], [], [], 0, nth + 1, before + n
                 ids = np.frombuffer(raw + end, "<u4")
                 docs.append(doc)
                 counts.append(len(ids))
                 held.append(ids.astype(kind).tobytes())
                 n += len(ids)
         if docs:
-            yield row(nth, docs, counts, held)
+            yield row(nth, before, docs, counts, held)
 
     bounded_batches(docs.sparkSession)
     # Texts are dealt before they are coded: finding the ranges reads the ids alone and codes nothing.
@@ -185,7 +187,10 @@ def id_counts(blocks: DataFrame, size: int) -> np.ndarray:
 
 
 def write_ids(docs: DataFrame, path: str, tokenizer: str | None = None) -> None:
-    """Writes ``path``/header and ``path``/blocks. Texts are coded by the tokenizer once."""
+    """Writes ``path``/header, ``path``/blocks and ``path``/parts. Texts are coded by the tokenizer once.
+
+    A part is what one task wrote, and a block knows the ids before it in its part. So the parts' table, a row of two
+    numbers a task, is all that is ordered as a whole, and no block is moved to learn its place."""
     spark = docs.sparkSession
     raw = stored(raw_blocks(docs, tokenizer), "ids")
     lengths = code_lengths(id_counts(raw, coder(tokenizer).size))
@@ -198,10 +203,13 @@ def write_ids(docs: DataFrame, path: str, tokenizer: str | None = None) -> None:
             for i in range(batch.num_rows):
                 row = batch.slice(i, 1)
                 bits, marks = pack_bits(_as_ids(row.column("ids")[0].as_py(), row.column("n_ids")[0].as_py()), lengths, codes)
-                same = {c: row.column(c) for c in ("part", "block", "n_ids", "doc_ids", "doc_tokens")}
+                same = {c: row.column(c) for c in ("part", "block", "n_ids", "part_ids", "doc_ids", "doc_tokens")}
                 yield rows_out(_BLOCKS, checkpoints=[marks.astype("<u4").tobytes()], bits=[bits], bits_crc32=[zlib.crc32(bits)], **same)
 
     raw.mapInArrow(encode, BLOCK_DDL).write.parquet(f"{path}/blocks")
+    sizes = spark.read.schema(BLOCK_DDL).parquet(f"{path}/blocks").groupBy("part").agg(F.sum("n_ids").alias("n_ids"))
+    up = W.orderBy("part").rowsBetween(W.unboundedPreceding, -1)
+    sizes.select("part", F.coalesce(F.sum("n_ids").over(up), F.lit(0)).alias("parts_ids")).write.parquet(f"{path}/parts")
 
 
 def read_ids(spark: SparkSession, path: str) -> DataFrame:
@@ -223,16 +231,13 @@ def read_ids(spark: SparkSession, path: str) -> DataFrame:
                 sums = [zlib.crc32(raw[4 * (b - c) : 4 * b]) for b, c in zip(ends.tolist(), counts.tolist(), strict=True)]
                 lost = names == np.iinfo(np.int64).min
                 yield rows_out(
-                    _READ, doc_id=pa.array(names, mask=lost), start=r["ids_before"] + ends - counts,
+                    _READ, doc_id=pa.array(names, mask=lost), start=r["parts_ids"] + r["part_ids"] + ends - counts,
                     n_tokens=counts, ids_crc32=sums,
                 )
 
     files = spark.read.schema(BLOCK_DDL).parquet(f"{path}/blocks")
-    sizes = files.select("part", "block", "n_ids")
-    up = W.orderBy("part", "block").rowsBetween(W.unboundedPreceding, -1)
-    # A row per block: a few bytes for each quarter million ids.
-    before = sizes.withColumn("ids_before", F.coalesce(F.sum("n_ids").over(up), F.lit(0))).drop("n_ids")
-    return files.join(before, ["part", "block"]).mapInArrow(decode, READ_DDL)
+    parts = spark.read.schema("part int, parts_ids bigint").parquet(f"{path}/parts")
+    return files.join(small(parts, PARTS), "part").mapInArrow(decode, READ_DDL)
 
 
 def op7_huffman_ids(spark: SparkSession, sf_dir: str) -> DataFrame:
