@@ -24,6 +24,10 @@ from pyspark.sql import functions as F
 from setvec.llm.common import arrow_map, bounded_batches, documents, held_fold, rows_out, slices, text_bytes
 
 BITS, SMOOTH, PENALTY, ROUNDS = 16, 0.5, 4.0, 12
+#: Chance of a word's end after a letter, where letters are drawn one by one.
+EDGE = 0.2
+#: A document is rejected when letters without a language are likelier than its mixture by this much a word (natural log).
+SURE = 4.0
 PARTS = 64
 #: Bytes of text at once: each byte of a word becomes several numbers for each language.
 SLICE = 1 << 20
@@ -40,10 +44,15 @@ _LETTER[[*range(97, 123), *range(128, 256)]] = True
 _MIX = np.uint32(0x9E3779B1)
 
 
-def grams(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
+def bucket(v: np.ndarray, order: int) -> np.ndarray:
+    """Buckets of n-grams of one order, given as their bytes in one number."""
+    return (v * _MIX ^ np.uint32(order * 0x85EBCA6B & 0xFFFFFFFF)) * np.uint32(0xC2B2AE35) >> np.uint32(32 - BITS)
+
+
+def grams(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndarray, np.ndarray]:
     """Hashed n-grams of a slice of texts: (buckets of each order as rows, starts of words among the letters, the
-    document of each word, whether a document has a letter). Bytes of words stand one after another, each word with an
-    edge byte before it."""
+    document of each word, whether a document has a letter, each letter's byte with the two before it). Bytes of words
+    stand one after another, each word with an edge byte before it."""
     has = pc.fill_null(pc.match_substring_regex(column, r"\p{L}"), False).to_numpy(zero_copy_only=False)
     raw, starts, lengths = text_bytes(pc.utf8_lower(column))
     inside = np.zeros(len(raw) + 1, bool)
@@ -63,9 +72,8 @@ def grams(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray, np.ndar
     one[since < 1], two[since < 2], two[since < 1] = 1, 1, 2
     wide = x | (one << np.uint32(8))
     most = wide | (two << np.uint32(16))
-    shift = np.uint32(32 - BITS)
-    codes = [(v * _MIX ^ np.uint32(n * 0x85EBCA6B & 0xFFFFFFFF)) * np.uint32(0xC2B2AE35) >> shift for n, v in ((1, x), (2, wide), (3, most))]
-    return np.stack(codes) if len(x) else np.zeros((3, 0), np.uint32), words, owner, has
+    codes = [bucket(v, n) for n, v in ((1, x), (2, wide), (3, most))]
+    return np.stack(codes) if len(x) else np.zeros((3, 0), np.uint32), words, owner, has, np.stack([x, one, two])
 
 
 class Model:
@@ -75,16 +83,28 @@ class Model:
         self.langs = langs
         smooth = counts.T.astype(np.float64) + SMOOTH
         self.logs = np.log(smooth / smooth.sum(0, keepdims=True)).astype(np.float32) if langs else np.zeros((1 << BITS, 0), np.float32)
-
-    def words(self, column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-        """Log-likelihood of each word in each language, each word's document, and whether a document has a letter."""
-        codes, words, owner, has = grams(column)
+        # Letters drawn one by one, with the frequencies of all languages together: no language at all.
+        alone = (counts.sum(0) + SMOOTH)[bucket(np.arange(256, dtype=np.uint32), 1)]
+        alone = np.where(_LETTER, alone, 0) / alone[_LETTER].sum()
+        alone[1], alone[2] = EDGE, 1
+        self.alone = np.log(np.maximum(alone, 1e-12))
+
+    def words(self, column: pa.Array, noise: bool = False) -> tuple[np.ndarray, ...]:
+        """Log-likelihood of each word in each language, each word's document, and whether a document has a letter; with
+        ``noise`` also each word's without any language: letters drawn one by one, or every bucket alike."""
+        codes, words, owner, has, letters = grams(column)
         if not len(words):
-            return np.zeros((0, len(self.langs))), owner, has
+            return (np.zeros((0, len(self.langs))), owner, has, *([np.zeros(0)] if noise else []))
         total = self.logs[codes[0]]
         total += self.logs[codes[1]]
         total += self.logs[codes[2]]
-        return np.add.reduceat(total, words, axis=0).astype(np.float64) / 3, owner, has
+        out = np.add.reduceat(total, words, axis=0).astype(np.float64) / 3, owner, has
+        if not noise:
+            return out
+        # The three orders share one table, a third of it each; the shorter the n-gram, the fewer letters it holds.
+        x, one, two = self.alone[letters]
+        drawn = np.add.reduceat(x + 2 / 3 * one + 1 / 3 * two - np.log(3), words)
+        return *out, np.maximum(drawn, -BITS * np.log(2) * np.diff([*words, len(x)]))
 
 
 def em(ll: np.ndarray, owner: np.ndarray, n: int, allowed: np.ndarray, rounds: int = ROUNDS) -> tuple[np.ndarray, np.ndarray]:
@@ -201,7 +221,7 @@ def learn(docs: DataFrame, languages: int = 256) -> Model:
         total: dict[str, np.ndarray] = {}
         for batch in batches:
             for part in slices(batch, most=SLICE):
-                codes, words, owner, _ = grams(part.column("text"))
+                codes, words, owner, *_ = grams(part.column("text"))
                 if not len(words):
                     continue
                 names = part.column("lang").dictionary_encode()
@@ -261,16 +281,36 @@ def trained(docs: DataFrame) -> Model:
     return learn(docs.where(held_fold("doc_id", 3) != 1))
 
 
+def told(ll: np.ndarray, noise: np.ndarray, owner: np.ndarray, share: np.ndarray, sure: float = SURE) -> np.ndarray:
+    """Which documents a language explains: what no language makes may not beat the document's mixture by more than
+    ``sure`` a word."""
+    n = len(share)
+    if not len(owner):
+        return np.zeros(n, bool)
+    value = ll.max(1) + np.log(np.maximum((np.exp(ll - ll.max(1, keepdims=True)) * share[owner]).sum(1), 1e-300))
+    gain = np.bincount(owner, noise - value, n)
+    count = np.bincount(owner, minlength=n)
+    return (share.sum(1) > 0) & (gain <= sure * count)
+
+
 def accepted(docs: DataFrame, model: Model) -> DataFrame:
-    """The documents whose language could be told, with all their columns: those without any letter go."""
+    """The documents whose language could be told, with all their columns. Those without any letter go, and those that
+    no mixture of learned languages explains (see ``told``). A null ``lang`` is filled with the
+    language found, where the table has that column as text. Without any learning document none is told."""
     bounded_batches(docs.sparkSession)
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    fill = "lang" in docs.columns and dict(docs.dtypes)["lang"] == "string"
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             for part in slices(batch, most=SLICE):
-                ll, owner, has = shared.value.words(part.column("text"))
-                keep = has & (mixture(ll, owner, part.num_rows).sum(1) > 0)
+                ll, owner, has, noise = shared.value.words(part.column("text"), True)
+                share = mixture(ll, owner, part.num_rows)
+                keep = has & told(ll, noise, owner, share) if shared.value.langs else np.zeros(part.num_rows, bool)
+                if fill and part.column("lang").null_count:
+                    at, own = part.schema.get_field_index("lang"), part.column("lang")
+                    found = pa.array([shared.value.langs[b] if k else None for b, k in zip(share.argmax(1), keep, strict=True)], own.type) if shared.value.langs else own
+                    part = part.set_column(at, part.schema.field(at), pc.coalesce(own, found))
                 yield part.filter(pa.array(keep))
 
     return docs.mapInArrow(run, docs.schema)
