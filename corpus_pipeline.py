@@ -1,6 +1,7 @@
 """From raw documents to packed sequences: language, near duplicates, secrets, mixture, packing.
 
-Each stage works on all that the one before kept. Documents without any letter go; one document of each group of near
+Each stage works on all that the one before kept. Documents without any letter go, and those whose words no mixture of
+the learned languages explains; a null lang is filled with the language found. One document of each group of near
 duplicates stays, that of the smallest id; secrets are replaced by their kind in angle brackets and the documents stay;
 documents are repeated to their source's target (some of an over-full source go); packing returns the pieces.
 Null texts have no letter and go in the first stage. An empty table gives an empty result at every stage.
