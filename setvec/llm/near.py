@@ -34,6 +34,8 @@ ROUNDS = (16, 32, 64, 96, 128, 160)
 NUMERATOR, DENOMINATOR = 4, 5
 TOLERANCE = 1e-6
 CHUNK = 256
+#: Shingles of a chunk, whatever the number of its rows; a single longer text is a chunk of its own.
+WEIGHT = 1 << 20
 #: Rows that are broadcast at most, each of ids and counts only.
 MEMBERS = 200_000
 
@@ -230,18 +232,22 @@ def _compare(table: pa.Table) -> pa.Table:
     return pa.table([pa.array(c, f.type) for c, f in zip(columns, _LINKS, strict=True)], schema=_LINKS)
 
 
-def set_links(docs: DataFrame, reps: DataFrame, labels: DataFrame, chunk: int = CHUNK) -> DataFrame:
-    """Link counts and forests of all neighbourhoods. Small ones share a group; one over ``chunk`` is cut into chunks,
-    and each pair of chunks is a group, so a group holds at most about two chunks of whole texts."""
+def set_links(docs: DataFrame, reps: DataFrame, labels: DataFrame, chunk: int = CHUNK, weight: int = WEIGHT) -> DataFrame:
+    """Link counts and forests of all neighbourhoods. Small ones share a group; one over ``chunk`` rows or ``weight``
+    shingles is cut into chunks, and each pair of chunks is a group, so a group holds at most about two chunks of whole
+    texts, however long they are."""
     bounded_batches(docs.sparkSession)
-    sizes = labels.groupBy("label").agg(F.count("*").alias("size"))
-    totals = sizes.agg(F.sum(F.when(F.col("size") <= chunk, F.col("size"))).alias("n")).first()
-    bins = max(1, -(-(totals["n"] or 0) // chunk))
-    parts = F.ceil(F.col("size") / chunk).cast("int")
-    rows = labels.join(sizes, "label").withColumn("parts", parts)
+    known = labels.join(reps.select(F.col("rep").alias("id"), "k1", "k2", "copies", "n"), "id")
+    known = stored(known, "known")
+    sizes = known.groupBy("label").agg(F.count("*").alias("size"), F.sum("n").alias("mass"))
+    parts = F.greatest(F.ceil(F.col("size") / chunk), F.ceil(F.col("mass") / weight)).cast("int")
+    sizes = sizes.select("label", "size", "mass", parts.alias("parts"))
+    whole = F.when(F.col("parts") == 1, F.col("size")), F.when(F.col("parts") == 1, F.col("mass"))
+    totals = sizes.agg(F.sum(whole[0]).alias("n"), F.sum(whole[1]).alias("mass")).first()
+    bins = max(1, -(-(totals["n"] or 0) // chunk), -(-(totals["mass"] or 0) // weight))
+    rows = known.drop("n").join(sizes.select("label", "parts"), "label")
     rows = rows.withColumn("chunk", F.pmod(F.xxhash64("id"), "parts").cast("int"))
     others = F.when(F.col("parts") > 1, F.sequence(F.lit(0), F.col("parts") - 1)).otherwise(F.array(F.lit(-1)))
-    rows = rows.join(reps.select(F.col("rep").alias("id"), "k1", "k2", "copies"), "id")
     texts = docs.select(F.col("doc_id").cast("long").alias("id"), "text")
     # Rows of a few numbers: when they are few, only their texts are shuffled; else all texts are.
     rows = texts.join(small(stored(rows.withColumn("others", others), "members"), MEMBERS), "id")
@@ -256,14 +262,14 @@ def set_links(docs: DataFrame, reps: DataFrame, labels: DataFrame, chunk: int =
     return rows.groupBy("key", "first", "second").applyInArrow(_compare, LINKS_DDL)
 
 
-def near_classes(docs: DataFrame, chunk: int = CHUNK) -> DataFrame:
+def near_classes(docs: DataFrame, chunk: int = CHUNK, weight: int = WEIGHT) -> DataFrame:
     """doc_id, class_id, n_links, set_id, n_copies, n_set_links, a row for each row of ``docs``."""
     rows = stored(signed(docs), "signed")
     keyed = rows.where(F.col("doc_id").isNotNull())
-    reps = stored(keyed.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies")), "reps")
-    banded = keyed.where("n > 0").join(reps.withColumnRenamed("rep", "doc_id").drop("copies"), ["doc_id", "k1", "k2"], "left_semi")
+    reps = stored(keyed.groupBy("k1", "k2").agg(F.min("doc_id").alias("rep"), F.count("*").alias("copies"), F.max("n").alias("n")), "reps")
+    banded = keyed.where("n > 0").join(reps.withColumnRenamed("rep", "doc_id").drop("copies", "n"), ["doc_id", "k1", "k2"], "left_semi")
     labels = neighbourhoods(banded.select(F.col("doc_id").alias("rep"), "bands").dropDuplicates(["rep", "bands"]))
-    links = stored(set_links(docs, reps, labels, chunk), "links")
+    links = stored(set_links(docs, reps, labels, chunk, weight), "links")
     classes = components(links.where("peer is not null").select(F.col("rep").alias("a"), F.col("peer").alias("b")))
     counts = links.groupBy("rep").agg(F.sum("links").alias("links"), F.sum("set_links").alias("set_links"))
     info = reps.join(counts, "rep", "left").join(classes.withColumnsRenamed({"id": "rep", "label": "class_id"}), "rep", "left")
