@@ -104,14 +104,14 @@ def documents(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def arrow_map(
-    df: DataFrame, kernel: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], schema: str, most: int = SLICE_BYTES
+    df: DataFrame, kernel: Callable[[pa.RecordBatch], Iterator[pa.RecordBatch]], schema: str, most: int = SLICE_BYTES, column: str = "text"
 ) -> DataFrame:
-    """``mapInArrow`` for a kernel that turns one bounded slice of rows into rows. Slices hold about ``most`` bytes of text."""
+    """``mapInArrow`` for a kernel that turns one bounded slice of rows into rows. Slices hold about ``most`` bytes of ``column``."""
     bounded_batches(df.sparkSession)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
-            for part in slices(batch, most=most):
+            for part in slices(batch, column, most):
                 yield from kernel(part)
 
     return df.mapInArrow(run, schema)
@@ -131,8 +131,8 @@ def slices(batch: pa.RecordBatch, column: str = "text", most: int = SLICE_BYTES)
 
 
 def text_bytes(column: pa.Array) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
-    """UTF-8 bytes of a string column as one buffer, with each row's start and length in it (null: length 0)."""
-    wide = pa.types.is_large_string(column.type)
+    """Bytes of a string or binary column as one buffer, with each row's start and length in it (null: length 0)."""
+    wide = pa.types.is_large_string(column.type) or pa.types.is_large_binary(column.type)
     _, offsets, data = column.buffers()
     at = np.frombuffer(offsets, np.int64 if wide else np.int32)[column.offset : column.offset + len(column) + 1]
     at = at.astype(np.int64)

@@ -22,7 +22,7 @@ import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from setvec.llm.common import arrow_map, documents, rows_out, texts_of
+from setvec.llm.common import arrow_map, documents, rows_out, stored, texts_of
 
 BLOCK, RATE, FRAME, HOP = 192, 8000, 192, 96
 BANDS = ((2, 10), (10, 20), (20, 40), (40, 97))
@@ -31,20 +31,17 @@ FAN, ZONE, FRAMES_AT_ONCE = 3, 24, 4096
 _WINDOW = np.hanning(FRAME)
 
 MEDIA_FIELDS = pa.schema([("doc_id", pa.int64()), ("n_bytes", pa.int64()), ("media", pa.binary())])
-PRINT_FIELDS = pa.schema(
-    [("doc_id", pa.int64()), ("frames", pa.int32()), ("times", pa.list_(pa.int32())), ("codes", pa.list_(pa.int32()))]
-)
-DIGEST_FIELDS = pa.schema(
+READ_FIELDS = pa.schema(
     [("doc_id", pa.int64())]
     + [(n, pa.int64()) for n in ("n_bytes", "payload_bytes")]
     + [("payload_sha256", pa.string()), ("tail_crc32", pa.int64()), ("media_bytes", pa.int64())]
-    + [("media_sha256", pa.string()), ("feature", pa.string()), ("n_frames", pa.int64()), ("n_pairs", pa.int64())]
+    + [("media_sha256", pa.string()), ("feature", pa.string()), ("n_frames", pa.int64())]
+    + [("times", pa.list_(pa.int32())), ("codes", pa.list_(pa.int32())), ("media", pa.binary())]
 )
 MEDIA_DDL = "doc_id bigint, n_bytes bigint, media binary"
-PRINT_DDL = "doc_id bigint, frames int, times array<int>, codes array<int>"
-DIGEST_DDL = (
+READ_DDL = (
     "doc_id bigint, n_bytes bigint, payload_bytes bigint, payload_sha256 string, tail_crc32 bigint, "
-    "media_bytes bigint, media_sha256 string, feature string, n_frames bigint, n_pairs bigint"
+    "media_bytes bigint, media_sha256 string, feature string, n_frames bigint, times array<int>, codes array<int>, media binary"
 )
 
 
@@ -131,40 +128,27 @@ def to_media(docs: DataFrame) -> DataFrame:
     return arrow_map(docs.select(F.col("doc_id").cast("long"), "text"), _media, MEDIA_DDL)
 
 
-def media_fingerprints(media: DataFrame) -> DataFrame:
-    """Fingerprints of a ``media`` column as time-coded arrays: doc_id, frames, times, codes."""
-
-    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        for batch in batches:
-            for i in range(batch.num_rows):
-                n, at, codes = fingerprint(from_wav(batch.column("media")[i].as_py()))
-                yield rows_out(PRINT_FIELDS, doc_id=batch.column("doc_id").slice(i, 1), frames=[n], times=[at], codes=[codes])
-
-    return media.select("doc_id", "media").mapInArrow(run, PRINT_DDL)
-
-
-def _digests(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
-    got: dict[str, list] = {f.name: [] for f in DIGEST_FIELDS if f.name != "doc_id"}
-    known: dict[str, tuple] = {}
-    for text in texts_of(batch):
-        if text not in known:
-            raw = text.encode()
-            media = to_wav(padded(raw))
+def _read(batch: pa.RecordBatch) -> Iterator[pa.RecordBatch]:
+    got: dict[str, list] = {f.name: [] for f in READ_FIELDS if f.name not in ("doc_id", "n_bytes", "media")}
+    known: dict[bytes, tuple] = {}
+    for media in batch.column("media").to_pylist():
+        if media not in known:
             payload = from_wav(media)
             n, at, codes = fingerprint(payload)
-            tail = zlib.crc32(payload[-16:])
             shown = hashlib.sha256(at.tobytes() + codes.tobytes()).hexdigest()[:32]
             sums = hashlib.sha256(payload).hexdigest(), hashlib.sha256(media).hexdigest()
-            known[text] = (len(raw), len(payload), sums[0], tail, len(media), sums[1], f"{n}:{len(at)}:{shown}", n, len(at))
-        for name, value in zip(got, known[text], strict=True):
+            known[media] = (len(payload), sums[0], zlib.crc32(payload[-16:]), len(media), sums[1], f"{n}:{len(at)}:{shown}", n, at, codes)
+        for name, value in zip(got, known[media], strict=True):
             got[name].append(value)
-    yield rows_out(DIGEST_FIELDS, doc_id=batch.column("doc_id"), **got)
+    yield rows_out(READ_FIELDS, doc_id=batch.column("doc_id"), n_bytes=batch.column("n_bytes"), media=batch.column("media"), **got)
 
 
-def media_digests(docs: DataFrame) -> DataFrame:
-    """``to_media`` and ``media_fingerprints`` in one pass, with digests in place of the files and arrays."""
-    return arrow_map(docs.select(F.col("doc_id").cast("long"), "text"), _digests, DIGEST_DDL)
+def media_features(media: DataFrame) -> DataFrame:
+    """Files of a ``media`` column read back: sizes and digests of payload and file, the fingerprint as time-coded arrays
+    (``times`` ascending, ``codes`` beside them) and in short as ``feature``, and the file itself."""
+    return arrow_map(media.select("doc_id", "n_bytes", "media"), _read, READ_DDL, column="media")
 
 
 def op1_media_columns(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return media_digests(documents(spark, sf_dir))
+    """Files are written as a table first; what is returned comes from the bytes read from there."""
+    return media_features(stored(to_media(documents(spark, sf_dir)), "media"))
