@@ -19,10 +19,10 @@ from pyspark.sql import functions as F
 from setvec import workloads as WL
 from setvec.functions import text as T
 from setvec.functions import vectors
-from setvec.operators import approx, baselines, carve, encode, kernels, metrics, search
+from setvec.operators import approx, baselines, carve, encode, graph, kernels, metrics, search
 from setvec.plans.params import EncodeParams, frontier
 from setvec.plans.retriever import Retriever
-from setvec.sources import tables
+from setvec.sources import store, tables
 
 DIM = 64
 CUTS = [1, 10, 100]
@@ -377,12 +377,12 @@ def probe_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of the dense best ten and distances computed by routed graph shards: probes, recall, n_dist."""
     rows_of = WL.small_vectors(spark, sf_dir).persist()
     centers = approx.ivf_centers(rows_of, 8)
-    graph = approx.graph_build(rows_of, 1, 16, 32, centers=centers).persist()
+    built = store.stored(graph.graph_build(rows_of, 1, 16, 32, centers=centers), "graph", "shard")
     queries = rows_of.where("bag_id % 10 = 0")
     exact = search.mips_dense(queries, rows_of, 10, EncodeParams(DIM, 0, DIM, 1)).select("query_id", "doc_id").persist()
     rows = []
     for probes in (1, 2, 4, 8):
-        found, cost = approx.graph_search(queries, graph, 10, 32, centers, probes)
+        found, cost = graph.graph_search(queries, built, 10, 32, centers, probes)
         per = cost.groupBy("query_id").agg(F.sum("n_dist").alias("d")).agg(F.avg("d").alias("n_dist"))
         rows.append(metrics.recall_at(found, exact, [10]).select(F.lit(probes).alias("probes"), "recall").join(per, F.lit(True)))
     return _all(rows)

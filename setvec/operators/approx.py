@@ -1,6 +1,6 @@
-"""Approximate product search: product quantisation, inverted lists, and a bounded-degree proximity graph.
+"""Approximate product search: product quantisation and inverted lists.
 
-Training and graph building run inside tasks, a group or a shard at a time, on samples and shards of stated sizes. What
+Training runs inside tasks, a group at a time, on samples of stated sizes. What
 reaches the driver is a codebook or a table of centres, whose size hangs on the settings and not on the corpus.
 """
 
@@ -15,23 +15,27 @@ import pyarrow as pa
 from pyspark.sql import DataFrame
 from pyspark.sql import functions as F
 
-from setvec.functions import seeds
+from setvec.functions import seeds, vectors
 from setvec.operators import kernels
 from setvec.operators.search import Best, query_blocks, topk
 
 HITS = "query_id bigint, doc_id bigint, score double"
-#: Bytes of look-up tables that a task keeps; with more queries a table is made anew for each batch of codes.
-TABLE_BYTES = 64 << 20
+FIXED_HITS = "query_id bigint, doc_id bigint, score bigint"
+#: Queries of a block that are scored by tables at most; more are scored by decoding. Bytes that are decoded at once.
+BY_TABLE, DECODED_BYTES = 4, 16 << 20
+#: Bytes of encodings that coarse centres are trained on, in one task.
+CENTER_BYTES = 256 << 20
 
 
-def floats(raw: pa.Array) -> np.ndarray:
-    rows = [np.frombuffer(x, "<f4") for x in raw.to_pylist()]
-    return np.stack(rows) if rows else np.zeros((0, 0), np.float32)
+def floats(raw: pa.Array, kind: str = "float") -> np.ndarray:
+    rows = [np.frombuffer(x, vectors.KINDS[kind]) for x in raw.to_pylist()]
+    return np.stack(rows) if rows else np.zeros((0, 0), vectors.KINDS[kind])
 
 
-def hash_sample(rows: DataFrame, size: int, seed: int = 42, purpose: str = "pqinit") -> DataFrame:
-    """About ``size`` rows, the same ones on every run: those whose hash of the id is low."""
-    n = max(1, rows.count())
+def hash_sample(rows: DataFrame, size: int, seed: int = 42, purpose: str = "pqinit", n: int | None = None) -> DataFrame:
+    """About ``size`` rows, the same ones on every run: those whose hash of the id is low. ``n``: how many rows there are,
+    where that is known; else they are counted, so bags are sampled and not their encodings."""
+    n = max(1, rows.count() if n is None else n)
     part = F.pmod(F.xxhash64(F.lit(f"{purpose}:{seed}"), "bag_id"), F.lit(1 << 20))
     return rows.where(part < int(min(1.0, size / n) * (1 << 20)) + 1)
 
@@ -54,11 +58,6 @@ class Codebook:
     def code_bytes(self) -> int:
         return self.centers.shape[0] if self.centers.shape[1] > 16 else -(-self.centers.shape[0] // 2)
 
-    @property
-    def table_bytes(self) -> int:
-        """Bytes of one query's look-up table."""
-        return self.centers.shape[0] * self.centers.shape[1] * 8
-
     def encode(self, x: np.ndarray) -> np.ndarray:
         """Bytes (rows, code_bytes): a byte a group, or two groups a byte for up to 16 codes."""
         parts = _grouped(x, self.group)
@@ -82,8 +81,14 @@ class Codebook:
         """Products of an uncompressed query's groups with all centres (groups, codes)."""
         return np.einsum("gcd,gd->gc", self.centers, _grouped(query[None], self.group)[0])
 
+    def distances(self, query: np.ndarray, codes: np.ndarray):
+        """Negative scores of rows of ``codes`` by one look-up table of an uncompressed query."""
+        flat, at = self.table(query).ravel(), np.arange(len(self.centers)) * self.centers.shape[1]
+        return lambda rows: -flat[codes[rows] + at].sum(1)
+
     def score(self, table: np.ndarray, code: np.ndarray) -> np.ndarray:
-        return np.take_along_axis(table[None], code[:, :, None].astype(np.int64), 2).sum((1, 2))
+        flat, at = table.ravel(), np.arange(len(self.centers)) * self.centers.shape[1]
+        return flat[code + at].sum(1)
 
 
 def _grouped(x: np.ndarray, group: int) -> np.ndarray:
@@ -92,9 +97,10 @@ def _grouped(x: np.ndarray, group: int) -> np.ndarray:
     return padded.reshape(len(x), -1, group)
 
 
-def pq_train(encodings: DataFrame, width: int, codes: int = 256, group: int = 8, rounds: int = 4, sample: int = 20_000, seed: int = 42) -> Codebook:
+def pq_train(encodings: DataFrame, width: int, codes: int = 256, group: int = 8, rounds: int = 4, sample: int = 20_000, seed: int = 42, n: int | None = None) -> Codebook:
     """A codebook from a hash sample of at most about ``sample`` encodings; every group of coordinates is trained in a
-    task of its own. With fewer distinct runs than codes each becomes a centre, and nothing is lost."""
+    task of its own. With fewer distinct runs than codes each becomes a centre, and nothing is lost. ``n``: the number
+    of encodings, 0 if they are a sample already."""
     if not 1 < codes <= 256:
         raise ValueError("2 to 256 codes")
     groups = -(-width // group)
@@ -120,19 +126,20 @@ def pq_train(encodings: DataFrame, width: int, codes: int = 256, group: int = 8,
             out.append((int(key[0]) + i, centers.astype("<f4").tobytes()))
         return pd.DataFrame(out, columns=["group_id", "centers"])
 
-    rows = hash_sample(encodings, sample, seed).select("enc").mapInArrow(explode, "g int, part binary")
+    rows = encodings if n == 0 else hash_sample(encodings, sample, seed, n=n)
+    rows = rows.select("enc").mapInArrow(explode, "g int, part binary")
     found = rows.groupBy("g").applyInPandas(train, "group_id int, centers binary").orderBy("group_id").collect()
     return Codebook(np.stack([np.frombuffer(r["centers"], "<f4").reshape(codes, group) for r in found]), width)
 
 
-def pq_encode(encodings: DataFrame, book: Codebook) -> DataFrame:
+def pq_encode(encodings: DataFrame, book: Codebook, kind: str = "float") -> DataFrame:
     """bag_id, code."""
     shared = encodings.sparkSession.sparkContext.broadcast(book)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for batch in batches:
             if batch.num_rows:
-                code = shared.value.encode(floats(batch.column("enc")))
+                code = shared.value.encode(floats(batch.column("enc"), kind))
                 yield pa.record_batch([batch.column("bag_id"), pa.array([x.tobytes() for x in code], pa.binary())], names=["bag_id", "code"])
 
     return encodings.select("bag_id", "enc").mapInArrow(run, "bag_id bigint, code binary")
@@ -152,8 +159,12 @@ def pq_decode(codes: DataFrame, book: Codebook) -> DataFrame:
     return codes.select("bag_id", "code").mapInArrow(run, "bag_id bigint, enc binary")
 
 
-def pq_search(query_enc: DataFrame, codes: DataFrame, book: Codebook, k: int) -> DataFrame:
-    """Top ``k`` codes by table look-ups: the query stays uncompressed."""
+def pq_search(query_enc: DataFrame, codes: DataFrame, book: Codebook, k: int, kind: str = "float") -> DataFrame:
+    """Top ``k`` codes; the query stays uncompressed. A few queries are scored by their look-up tables, a row of codes a
+    few hundred look-ups; more than ``BY_TABLE`` share the decoding of a slice of codes and one product, which adds the
+    same terms. In whole numbers both give the same scores; in floats they differ in rounding alone."""
+    fixed = kind == "fixed"
+    ddl = FIXED_HITS if fixed else HITS
     out = None
     for block in query_blocks(query_enc, "enc"):
         shared = codes.sparkSession.sparkContext.broadcast(([(r["bag_id"], bytes(r["enc"])) for r in block], book))
@@ -161,21 +172,25 @@ def pq_search(query_enc: DataFrame, codes: DataFrame, book: Codebook, k: int) ->
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             rows, own = shared.value
             best = Best(len(rows), k)
-            kept = [own.table(np.frombuffer(x, "<f4")) for _, x in rows] if len(rows) * own.table_bytes <= TABLE_BYTES else None
+            queries = np.stack([np.frombuffer(x, vectors.KINDS[kind]) for _, x in rows])
+            tables = [own.table(x) for x in queries] if len(rows) <= BY_TABLE else None
+            step = max(1, DECODED_BYTES // (4 * own.width))
             for batch in batches:
-                if batch.num_rows:
-                    code = own.unpacked(np.stack([np.frombuffer(x, np.uint8) for x in batch.column("code").to_pylist()])).T.astype(np.int64)
-                    ids = batch.column("bag_id").to_numpy()
-                    for q, (_, x) in enumerate(rows):
-                        score = np.zeros(len(ids))
-                        for g, of in enumerate(kept[q] if kept else own.table(np.frombuffer(x, "<f4"))):
-                            score += of[code[g]]
-                        best.add(q, ids, score)
-            yield best.rows([q for q, _ in rows], False)
-
-        hits = codes.select("bag_id", "code").mapInArrow(run, HITS)
+                raw = [np.frombuffer(x, np.uint8) for x in batch.column("code").to_pylist()]
+                ids = batch.column("bag_id").to_numpy()
+                for a in range(0, batch.num_rows, step):
+                    part, names = np.stack(raw[a : a + step]), ids[a : a + step]
+                    if tables is not None:
+                        code = own.unpacked(part)
+                        scores = np.stack([own.score(t, code) for t in tables])
+                    else:
+                        scores = queries @ own.decode(part).T
+                    best.add_all(names, scores)
+            yield best.rows([q for q, _ in rows], fixed)
+
+        hits = codes.select("bag_id", "code").mapInArrow(run, ddl)
         out = hits if out is None else out.union(hits)
-    return topk(out if out is not None else codes.sparkSession.createDataFrame([], HITS), k)
+    return topk(out if out is not None else codes.sparkSession.createDataFrame([], ddl), k)
 
 
 def pq_search_by_joins(queries: DataFrame, codes: DataFrame, centers: DataFrame, group: int, k: int) -> DataFrame:
@@ -190,12 +205,22 @@ def pq_search_by_joins(queries: DataFrame, codes: DataFrame, centers: DataFrame,
 # --- inverted lists -----------------------------------------------------------------------------------------------
 
 
-def ivf_centers(encodings: DataFrame, lists: int, rounds: int = 5, sample: int = 20_000, seed: int = 42) -> np.ndarray:
-    """Coarse centres from a hash sample of bounded size."""
-    rows = hash_sample(encodings, sample, seed, "center").select("bag_id", "enc").orderBy(F.xxhash64(F.lit(seed), "bag_id"), "bag_id").limit(sample).collect()
-    points = np.stack([np.frombuffer(r["enc"], "<f4") for r in rows])
-    start = points[: min(lists, len(points))]
-    return kernels.lloyd(points, start, rounds)
+def ivf_centers(encodings: DataFrame, lists: int, rounds: int = 5, sample: int = 20_000, seed: int = 42, n: int | None = None) -> np.ndarray:
+    """Coarse centres, trained in one task on a hash sample of at most ``sample`` rows and ``CENTER_BYTES``; only the
+    centres reach the driver. ``n``: as for ``pq_train``."""
+    rows = encodings if n == 0 else hash_sample(encodings, sample, seed, "center", n)
+
+    def train(table: pa.Table) -> pa.Table:
+        order = sorted(range(table.num_rows), key=lambda i: (table["h"][i].as_py(), table["bag_id"][i].as_py()))
+        first = table["enc"][order[0]].as_py() if order else b""
+        order = order[: min(sample, max(lists, CENTER_BYTES // max(1, len(first))))]
+        points = floats(table.take(order)["enc"].combine_chunks())
+        centers = kernels.lloyd(points, points[: min(lists, len(points))], rounds) if len(points) else np.zeros((0, 0), "<f4")
+        return pa.table({"c": pa.array(range(len(centers)), pa.int32()), "center": pa.array([x.astype("<f4").tobytes() for x in centers], pa.binary())})
+
+    keyed = rows.select(F.lit(0).alias("all"), "bag_id", "enc", F.xxhash64(F.lit(seed), "bag_id").alias("h"))
+    found = keyed.groupBy("all").applyInArrow(train, "c int, center binary").orderBy("c").collect()
+    return np.stack([np.frombuffer(r["center"], "<f4") for r in found])
 
 
 def ivf_build(encodings: DataFrame, centers: np.ndarray) -> DataFrame:
@@ -226,184 +251,19 @@ def ivf_search(query_enc: DataFrame, index: DataFrame, centers: np.ndarray, k: i
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
             own, lists = shared.value
             best = Best(len(own), k)
-            queries = [np.frombuffer(x, "<f4") for _, x in own]
+            queries = np.stack([np.frombuffer(x, "<f4") for _, x in own])
+            wanted_by: dict[int, list[int]] = {}
+            for q, near in enumerate(lists):
+                for x in near:
+                    wanted_by.setdefault(x, []).append(q)
             for batch in batches:
-                if not batch.num_rows:
-                    continue
                 enc, ids, of = floats(batch.column("enc")), batch.column("bag_id").to_numpy(), batch.column("list_id").to_numpy()
-                for q, query in enumerate(queries):
-                    rows_here = np.flatnonzero(np.isin(of, list(lists[q])))
-                    if len(rows_here):
-                        best.add(q, ids[rows_here], (enc[rows_here] @ query).astype(np.float64))
+                for x in np.unique(of).tolist():
+                    here, asked = np.flatnonzero(of == x), wanted_by.get(x, [])
+                    if asked:
+                        best.add_all(ids[here], (queries[asked] @ enc[here].T).astype(np.float64), asked)
             yield best.rows([q for q, _ in own], False)
 
         hits = index.where(F.col("list_id").isin(wanted)).select("bag_id", "enc", "list_id").mapInArrow(run, HITS)
         out = hits if out is None else out.union(hits)
     return topk(out if out is not None else spark.createDataFrame([], HITS), k)
-
-
-# --- proximity graph ----------------------------------------------------------------------------------------------
-
-
-def _beam(points: np.ndarray, links: list[np.ndarray], entry: int, query: np.ndarray, beam: int) -> tuple[np.ndarray, np.ndarray, int]:
-    """Greedy search: the visited nodes, their distances (negative products), and how many distances were computed."""
-    near = {entry: -float(points[entry] @ query)}
-    open_nodes = dict(near)
-    n = 1
-    while open_nodes:
-        node = min(open_nodes, key=lambda x: (open_nodes[x], x))
-        del open_nodes[node]
-        new = [x for x in links[node].tolist() if x not in near]
-        if new:
-            far = -(points[new] @ query)
-            n += len(new)
-            near.update(zip(new, far.tolist(), strict=True))
-            open_nodes.update(zip(new, far.tolist(), strict=True))
-            if len(near) > beam:
-                limit = np.partition(np.fromiter(near.values(), float), beam - 1)[beam - 1]
-                open_nodes = {x: d for x, d in open_nodes.items() if d <= limit}
-    ids = np.fromiter(near.keys(), np.int64)
-    far = np.fromiter(near.values(), float)
-    order = np.lexsort((ids, far))
-    return ids[order], far[order], n
-
-
-def _pruned(points: np.ndarray, node: int, pool: np.ndarray, degree: int, alpha: float) -> np.ndarray:
-    """Neighbours in order of distance, each kept unless one kept before lies much closer to it than the node does."""
-    pool = np.unique(pool[pool != node])
-    far = ((points[pool] - points[node]) ** 2).sum(1)
-    order = np.lexsort((pool, far))
-    pool, far = pool[order], far[order]
-    alive, kept = np.ones(len(pool), bool), []
-    for i in range(len(pool)):
-        if not alive[i]:
-            continue
-        kept.append(pool[i])
-        if len(kept) == degree:
-            break
-        between = ((points[pool] - points[pool[i]]) ** 2).sum(1)
-        alive &= alpha * between > far
-    return np.array(kept, np.int64)
-
-
-def _reach_all(links: list[np.ndarray], entry: int, degree: int) -> None:
-    """Links every lost node from a reached one, over room or over a link that no first visit used; so a reached node is
-    never lost again and each step reaches at least one more."""
-    n = len(links)
-    if not n:
-        return
-    parent = np.full(n, -1)
-    parent[entry] = entry
-    stack, hosts = [entry], []
-
-    def visit() -> None:
-        while stack:
-            node = stack.pop()
-            hosts.append(node)
-            for x in links[node].tolist():
-                if parent[x] < 0:
-                    parent[x] = node
-                    stack.append(x)
-
-    visit()
-    while len(lost := np.flatnonzero(parent < 0)):
-        host = hosts[-1]
-        spare = np.flatnonzero(parent[links[host]] != host)
-        if len(links[host]) < degree:
-            links[host] = np.append(links[host], lost[0])
-        elif len(spare):
-            links[host][spare[-1]] = lost[0]
-        else:
-            hosts.pop()
-            continue
-        parent[lost[0]] = host
-        stack.append(int(lost[0]))
-        visit()
-
-
-def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed: int) -> tuple[list[np.ndarray], int]:
-    """Out-links of each node, at most ``degree``, and the entry. Lengths are completed by one coordinate, so that near
-    means a large product. Nodes that the entry doesn't reach get a link from a reached one with room."""
-    n = len(points)
-    if degree < 2:
-        raise ValueError("degree is at least 2")
-    square = (points**2).sum(1)
-    full = np.concatenate([points, np.sqrt(np.maximum(0, square.max(initial=0) - square))[:, None]], 1) if n else points
-    rng = seeds.generator("shard", seed)
-    links = [rng.choice(n, min(degree, n - 1), replace=False) if n > 1 else np.zeros(0, np.int64) for _ in range(n)]
-    links = [x[x != i] for i, x in enumerate(links)]
-    entry = int(((full - full.mean(0)) ** 2).sum(1).argmin()) if n else 0
-    for node in rng.permutation(n):
-        seen, _, _ = _beam(full, links, entry, full[node], beam)
-        links[node] = _pruned(full, node, np.concatenate([seen[: 2 * beam], links[node]]), degree, alpha)
-        for other in links[node]:
-            if node not in links[other]:
-                pool = np.append(links[other], node)
-                links[other] = pool if len(pool) <= degree else _pruned(full, other, pool, degree, alpha)
-    _reach_all(links, entry, degree)
-    return links, entry
-
-
-def graph_build(encodings: DataFrame, shards: int = 1, degree: int = 200, build_beam: int = 600, alpha: float = 1.2, seed: int = 42, centers: np.ndarray | None = None) -> DataFrame:
-    """shard, node, enc, neighbours, is_entry: a graph for each shard, built on uncompressed encodings in one task. A
-    shard should hold about a hundred thousand nodes at most.
-
-    With coarse ``centers`` (``ivf_centers``) the nodes nearest to one centre share ``shards`` shards, so that a search
-    can be routed, and ``shards`` splits the centre that most nodes hang on.
-    """
-
-    def build(key, rows: pd.DataFrame) -> pd.DataFrame:
-        rows = rows.sort_values("bag_id")
-        ids = rows["bag_id"].to_numpy()
-        links, entry = build_links(np.stack([np.frombuffer(x, "<f4") for x in rows["enc"]]), degree, build_beam, alpha, seed)
-        return pd.DataFrame({"shard": int(key[0]), "node": ids, "enc": rows["enc"].to_numpy(), "neighbours": [ids[x] for x in links], "is_entry": np.arange(len(ids)) == entry})
-
-    dealt = F.pmod(F.xxhash64(F.lit(f"shard:{seed}"), "bag_id"), F.lit(shards)).cast("int")
-    if centers is not None:
-        encodings, dealt = ivf_build(encodings, centers), F.col("list_id") * shards + dealt
-    rows = encodings.select("bag_id", "enc", dealt.alias("shard"))
-    return rows.groupBy("shard").applyInPandas(build, "shard int, node bigint, enc binary, neighbours array<bigint>, is_entry boolean")
-
-
-def graph_search(query_enc: DataFrame, graph: DataFrame, k: int, beam: int, centers: np.ndarray | None = None, probes: int = 1, shards: int = 1) -> tuple[DataFrame, DataFrame]:
-    """Top ``k`` nodes by beam search in every shard, and the number of distances computed: (query_id, rank, doc_id,
-    score), (query_id, shard, n_dist). The beam is the only knob.
-
-    Given the ``centers`` and ``shards`` that a graph was built with, a query walks only the shards of its ``probes``
-    centres of the largest product, and shards that no query wants aren't read where the store is partitioned by shard.
-    """
-    spark = graph.sparkSession
-    out = None
-    ddl = "query_id bigint, shard int, n_dist bigint, hits array<struct<doc_id:bigint,score:double>>"
-
-    def walking(shared):
-        def run(key, rows: pd.DataFrame) -> pd.DataFrame:
-            rows = rows.sort_values("node")
-            ids = rows["node"].to_numpy()
-            points = np.stack([np.frombuffer(x, "<f4") for x in rows["enc"]])
-            links = [np.searchsorted(ids, np.asarray(x, np.int64)) for x in rows["neighbours"]]
-            entry = int(np.flatnonzero(rows["is_entry"].to_numpy())[0])
-            found = []
-            own, near = shared.value
-            for at, (q, raw) in enumerate(own):
-                if near is not None and int(key[0]) // shards not in near[at]:
-                    continue
-                seen, far, n = _beam(points, links, entry, np.frombuffer(raw, "<f4"), max(beam, k))
-                found.append((q, int(key[0]), n, [{"doc_id": int(ids[i]), "score": -float(d)} for i, d in zip(seen[:k], far[:k], strict=True)]))
-            return pd.DataFrame(found, columns=["query_id", "shard", "n_dist", "hits"])
-
-        return run
-
-    for block in query_blocks(query_enc, "enc"):
-        rows = [(r["bag_id"], bytes(r["enc"])) for r in block]
-        near, own_shards = None, graph
-        if centers is not None:
-            product = np.stack([np.frombuffer(x, "<f4") for _, x in rows]) @ centers.T
-            near = [set(x.tolist()) for x in np.argsort(-product, axis=1, kind="stable")[:, :probes]]
-            wanted = sorted({c * shards + s for x in near for c in x for s in range(shards)})
-            own_shards = graph.where(F.col("shard").isin(wanted))
-        hits = own_shards.groupBy("shard").applyInPandas(walking(spark.sparkContext.broadcast((rows, near))), ddl)
-        out = hits if out is None else out.union(hits)
-    out = out if out is not None else spark.createDataFrame([], ddl)
-    flat = out.select("query_id", F.explode("hits").alias("h")).select("query_id", "h.doc_id", "h.score")
-    return topk(flat, k), out.select("query_id", "shard", "n_dist")

@@ -16,7 +16,7 @@ from pyspark.sql import functions as F
 
 from setvec.functions import vectors
 from setvec.operators import kernels
-from setvec.operators.search import Best, query_blocks, rerank, topk
+from setvec.operators.search import query_blocks, rerank, topk
 
 _TOKEN_HITS = "query_id bigint, qpos int, doc_id bigint, pos int, score "
 
@@ -108,56 +108,87 @@ def tag_centroids(docs: DataFrame, centers: np.ndarray, dim: int, kind: str = "f
     return docs.select("bag_id", "vecs").mapInArrow(run, "bag_id bigint, vecs binary, codes array<int>")
 
 
-def _centroid_scores(tagged: DataFrame, queries: DataFrame, centers: np.ndarray, dim: int, kind: str, k: int, probes: int | None, threshold: float | None) -> DataFrame:
-    """MaxSim with each document vector replaced by its centroid, in one scan. ``probes``: only documents that own a
-    vector in a query vector's best centroids; ``threshold``: centroids whose best product is below it are skipped."""
+def postings(tagged: DataFrame) -> DataFrame:
+    """centroid, doc_id: which documents own a vector of a centroid. Written by centroid it is the engine's inverted list."""
+    return tagged.select(F.explode(F.array_distinct("codes")).alias("centroid"), F.col("bag_id").alias("doc_id"))
+
+
+def probed(queries: DataFrame, centers: np.ndarray, dim: int, kind: str, probes: int) -> DataFrame:
+    """query_id, centroid: the ``probes`` best centroids of each query vector, ties to the lower number."""
+    shared = queries.sparkSession.sparkContext.broadcast(centers)
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for batch in batches:
+            for q, raw in zip(batch.column("bag_id").to_pylist(), batch.column("vecs").to_pylist(), strict=True):
+                table = vectors.unpack_one(raw or b"", dim, kind) @ shared.value.T
+                near = np.unique(np.argsort(-table, axis=1, kind="stable")[:, :probes])
+                yield pa.record_batch([pa.array([q] * len(near), pa.int64()), pa.array(near.astype(np.int32))], names=["query_id", "centroid"])
+
+    return queries.select("bag_id", "vecs").mapInArrow(run, "query_id bigint, centroid int")
+
+
+def centroid_scores(pairs: DataFrame, tagged: DataFrame, queries: DataFrame, centers: np.ndarray, dim: int, kind: str, threshold: float | None) -> DataFrame:
+    """MaxSim of listed pairs (query_id, doc_id) with each document vector replaced by its centroid. Centroids whose best
+    product with the query is below ``threshold`` count as its least product. A document meets all queries that ask for it
+    in one row, so its codes are read once; queries are sent in blocks of a checked size."""
     spark = tagged.sparkSession
     fixed = kind == "fixed"
     ddl = "query_id bigint, doc_id bigint, score " + ("bigint" if fixed else "double")
     out = None
     for block in query_blocks(queries, "vecs"):
-        shared = spark.sparkContext.broadcast(([(r["bag_id"], bytes(r["vecs"] or b"")) for r in block], centers))
+        names = sorted(r["bag_id"] for r in block)
+        shared = spark.sparkContext.broadcast(({r["bag_id"]: bytes(r["vecs"] or b"") for r in block}, centers))
+        asked = pairs.where(F.col("query_id").between(names[0], names[-1])).groupBy(F.col("doc_id").alias("bag_id")).agg(F.collect_set("query_id").alias("asked"))
 
         def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
-            rows, middle = shared.value
-            best = Best(len(rows), k)
-            tables = [vectors.unpack_one(x, dim, kind) @ middle.T for _, x in rows]
+            raws, middle = shared.value
+            tables: dict[int, np.ndarray] = {}
             for batch in batches:
-                lists = batch.column("codes")
-                size = np.diff(lists.offsets.to_numpy())
-                code, ids = lists.flatten().to_numpy(), batch.column("bag_id").to_numpy()
-                full = np.flatnonzero(size > 0)
-                starts = (np.cumsum(size) - size)[full]
-                for q, table in enumerate(tables):
-                    if not len(full) or not len(table):
+                ids = batch.column("bag_id").to_numpy()
+                codes = batch.column("codes")
+                size = np.diff(codes.offsets.to_numpy())
+                code, firsts = codes.flatten().to_numpy(), np.cumsum(size) - size
+                lists = batch.column("asked")
+                rows = np.repeat(np.arange(len(ids)), np.diff(lists.offsets.to_numpy()))
+                asked_by = lists.flatten().to_numpy()
+                order = np.argsort(asked_by, kind="stable")
+                rows, asked_by = rows[order], asked_by[order]
+                found: list[tuple] = []
+                for q in np.unique(asked_by).tolist():
+                    own = rows[slice(*np.searchsorted(asked_by, [q, q + 1]))]
+                    own = own[size[own] > 0]
+                    if q not in tables:
+                        tables[q] = vectors.unpack_one(raws[q], dim, kind) @ middle.T
+                        if threshold is not None and len(tables[q]):
+                            weak = tables[q].max(0) < threshold
+                            tables[q][:, weak] = tables[q].min()
+                    if not len(own) or not len(tables[q]):
                         continue
-                    scores = table[:, code]
-                    keep = np.ones(len(full), bool)
-                    if probes is not None and probes < len(middle):
-                        near = np.argsort(-table, axis=1, kind="stable")[:, :probes]
-                        keep = np.logical_or.reduceat(np.isin(code, near), starts)
-                    if threshold is not None:
-                        low = table.max(0)[code] < threshold
-                        scores = np.where(low, table.min(), scores)
-                    total = np.maximum.reduceat(scores, starts, axis=1).sum(0)
-                    best.add(q, ids[full][keep], total[keep])
-            yield best.rows([q for q, _ in rows], fixed)
-
-        hits = tagged.select("bag_id", "codes").mapInArrow(run, ddl)
+                    starts = np.cumsum(size[own]) - size[own]
+                    places = np.arange(size[own].sum()) + np.repeat(firsts[own] - starts, size[own])
+                    total = np.maximum.reduceat(tables[q][:, code[places]], starts, axis=1).sum(0)
+                    found.append((np.full(len(own), q), ids[own], total))
+                if found:
+                    q, d, s = (np.concatenate([f[i] for f in found]) for i in range(3))
+                    yield pa.record_batch([pa.array(q), pa.array(d), pa.array(s.astype(np.int64 if fixed else np.float64))], names=["query_id", "doc_id", "score"])
+
+        hits = tagged.select("bag_id", "codes").join(asked, "bag_id").select("bag_id", "codes", "asked").mapInArrow(run, ddl)
         out = hits if out is None else out.union(hits)
-    return topk(out if out is not None else spark.createDataFrame([], ddl), k)
+    return out if out is not None else spark.createDataFrame([], ddl)
 
 
-def staged_prune(queries: DataFrame, tagged: DataFrame, centers: np.ndarray, k: int, dim: int, probes: int, keep: int, threshold: float | None = None, kind: str = "float") -> DataFrame:
-    """Four stages over bags tagged by ``tag_centroids``: documents near the probed centroids, scored by centroids with
-    weak ones skipped (``keep`` stay), scored by all centroids (a quarter stays, at least ``k``), scored exactly.
+def staged_prune(
+    queries: DataFrame, tagged: DataFrame, centers: np.ndarray, k: int, dim: int, probes: int, keep: int, threshold: float | None = None,
+    kind: str = "float", lists: DataFrame | None = None,
+) -> DataFrame:
+    """Four stages over bags tagged by ``tag_centroids``: documents in the lists of the probed centroids, scored by
+    centroids with weak ones skipped (``keep`` stay), scored by all centroids (a quarter stays, at least ``k``), scored
+    exactly. ``lists``: stored ``postings``; only probed centroids' rows are read where it is partitioned by centroid.
 
     With all centroids probed, no threshold and ``keep`` at four times the corpus this is brute force.
     """
-    second = _centroid_scores(tagged, queries, centers, dim, kind, keep, probes, threshold)
-    survivors = second.select(F.col("doc_id").alias("bag_id")).distinct()
-    near = tagged.join(survivors, "bag_id", "left_semi")
-    third = _centroid_scores(near, queries, centers, dim, kind, keep, None, None)
-    third = third.join(second.select("query_id", "doc_id"), ["query_id", "doc_id"], "left_semi")
-    third = topk(third.drop("rank"), max(k, keep // 4))
+    near = probed(queries, centers, dim, kind, probes)
+    first = (postings(tagged) if lists is None else lists).join(F.broadcast(near), "centroid").select("query_id", "doc_id").distinct()
+    second = topk(centroid_scores(first, tagged, queries, centers, dim, kind, threshold), keep).select("query_id", "doc_id")
+    third = topk(centroid_scores(second, tagged, queries, centers, dim, kind, None), max(k, keep // 4))
     return rerank(third, queries, tagged, k, dim, kind)

@@ -6,8 +6,6 @@ document keeps its vectors where blocks must also be filled or vectors removed.
 
 from __future__ import annotations
 
-import shutil
-import tempfile
 import uuid
 from collections.abc import Callable, Iterator
 
@@ -20,9 +18,9 @@ from pyspark.sql.streaming.state import GroupState, GroupStateTimeout
 
 from setvec.functions import vectors
 from setvec.operators import kernels
-from setvec.operators.encode import encode_documents, kind_of, to_arrays
+from setvec.operators.encode import ENCODED, encode_documents, kind_of, to_arrays
 from setvec.plans.params import EncodeParams
-from setvec.sources import tables
+from setvec.sources import store, tables
 
 
 def read_dir(spark: SparkSession, path: str, schema: str, form: str = "parquet", files: int = 100) -> DataFrame:
@@ -109,12 +107,8 @@ def finished(stream: DataFrame, mode: str = "append", name: str | None = None) -
     """Runs a stream over what is there and returns the rows of a memory table; for tests and small results."""
     spark = stream.sparkSession
     name = name or f"stream_{uuid.uuid4().hex}"
-    shared = spark.conf.get("spark.checkpoint.dir", None)
-    folder = f"{shared}/{name}" if shared else tempfile.mkdtemp(prefix="setvec-stream-")
-    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", folder).trigger(availableNow=True).start()
+    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", store.new_path(spark, name)).trigger(availableNow=True).start()
     run.awaitTermination()
-    if not shared:
-        shutil.rmtree(folder, ignore_errors=True)
     return spark.table(name)
 
 
@@ -129,12 +123,15 @@ def _table_stream(spark: SparkSession, sf_dir: str, name: str) -> DataFrame:
 
 
 def stream_encode_query(spark: SparkSession, sf_dir: str, params: EncodeParams) -> DataFrame:
-    """Vectors of ``embeddings`` as a stream, gathered to bags batch by batch and encoded."""
-    rows = _table_stream(spark, sf_dir, "embeddings").where("embedding is not null")
-    tokens = rows.select(F.expr("vec_id div 8").alias("bag_id"), F.expr("cast(vec_id % 8 as int)").alias("pos"), vectors.vec_fixed("embedding").alias("vec"))
-    items = tokens.groupBy("bag_id").agg(F.array_sort(F.collect_list(F.struct("pos", "vec"))).alias("items"))
-    bags = finished(items, "complete").mapInArrow(tables._packing("fixed"), tables.BAGS)
-    return to_arrays(encode_stream(bags, params), params).select("bag_id", F.posexplode("enc").alias("place", "v"))
+    """Packed bags arrive as a stream of files and are encoded as they arrive; the encodings are appended to a folder."""
+    tokens = tables.fixed_tokens(tables.vector_tokens(spark, sf_dir))
+    arriving = store.new_path(spark, "bags")
+    tables.pack_bags(tokens, "fixed").repartition(4, "bag_id").write.parquet(arriving)
+    stream = encode_stream(read_dir(spark, arriving, tables.BAGS, files=1), params)
+    out = store.new_path(spark, "encoded")
+    write_stream(stream, out, store.new_path(spark, "checkpoint")).awaitTermination()
+    encoded = spark.read.schema(ENCODED).parquet(out)
+    return to_arrays(encoded, params).select("bag_id", F.posexplode("enc").alias("place", "v"))
 
 
 def stream_window_query(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -11,10 +11,10 @@ from pyspark.sql import functions as F
 
 from setvec import oracle as O
 from setvec.functions import text as T
-from setvec.operators import approx, baselines, carve, encode, metrics, search, theory
+from setvec.operators import approx, baselines, carve, encode, graph, metrics, search, theory
 from setvec.plans.params import EncodeParams, frontier
 from setvec.plans.retriever import Retriever
-from setvec.sources import tables
+from setvec.sources import store, tables
 from setvec.streaming import ingest
 
 FIXED = EncodeParams(O.DIM, O.BITS, O.PROJ, O.REPS, O.SEED, plane_law="int12", arithmetic="fixed")
@@ -321,20 +321,20 @@ def pq_trained(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 def graph_topk(spark: SparkSession, sf_dir: str, beam: int = 32) -> DataFrame:
     vectors = small_vectors(spark, sf_dir)
-    graph = approx.graph_build(vectors, 1 + vectors.count() // 2000, 16, 32)
-    return approx.graph_search(vectors.where("bag_id % 10 = 0"), graph, O.K, beam)[0]
+    built = store.stored(graph.graph_build(vectors, 1 + vectors.count() // 2000, 16, 32), "graph", "shard")
+    return graph.graph_search(vectors.where("bag_id % 10 = 0"), built, O.K, beam)[0]
 
 
 def graph_beam_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of the exact best and distances computed, by beam width."""
     vectors = small_vectors(spark, sf_dir).persist()
-    graph = approx.graph_build(vectors, 1, 16, 32).persist()
+    built = store.stored(graph.graph_build(vectors, 1, 16, 32), "graph", "shard")
     queries = vectors.where("bag_id % 10 = 0")
     flat = EncodeParams(O.DIM, 0, O.DIM, 1)
     exact = search.mips_dense(queries, vectors, O.K, flat).select("query_id", "doc_id")
     rows = None
     for beam in (10, 16, 32, 64):
-        found, cost = approx.graph_search(queries, graph, O.K, beam)
+        found, cost = graph.graph_search(queries, built, O.K, beam)
         recall = metrics.recall_at(found, exact, [O.K]).select(F.lit(beam).alias("beam"), "recall")
         one = recall.join(cost.agg(F.avg("n_dist").alias("n_dist")), F.lit(True))
         rows = one if rows is None else rows.union(one)
@@ -495,7 +495,7 @@ def text_retrieval(spark: SparkSession, sf_dir: str, params: EncodeParams, k: in
     size = rows.agg(F.count("*").alias("n"), F.count_distinct("doc_id").alias("docs")).first()
     bags = T.bags_of_words(spread(rows))
     queries = T.bags_of_words(T.items(tables.load(spark, sf_dir, "benchmark")))
-    way = Retriever(params, index, "sign", codes=256).fit(bags)
+    way = Retriever(params, index, "sign", codes=256).fit(bags, store_index=index != "dense")
     n = candidates or max(LEAST, -(-size["n"] // SHARE))
     while True:
         near = way.search(queries, n, n, tau=tau).persist()

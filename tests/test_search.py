@@ -8,11 +8,11 @@ from pyspark.sql import functions as F
 
 from setvec import workloads as WL
 from setvec.functions import sql, text, vectors
-from setvec.operators import approx, baselines, carve, encode, kernels, metrics, search
+from setvec.operators import approx, baselines, carve, encode, graph, kernels, metrics, search
 from setvec.plans.params import EncodeParams, frontier
 from setvec.plans.planner import choose
-from setvec.plans.retriever import Retriever, roll_up
-from setvec.sources import planes, tables
+from setvec.plans.retriever import WAYS, Retriever, roll_up
+from setvec.sources import planes, store, tables
 from setvec.streaming import ingest
 
 SF = "/root/testdata/sf0.001"
@@ -124,6 +124,13 @@ def test_staged_engine_without_pruning_is_brute_force(bags):
     assert lists(baselines.staged_prune(q, tagged, centers, 5, DIM, len(centers), 1 << 20)) == exact
     pruned = lists(baselines.staged_prune(q, tagged, centers, 5, DIM, 1, 20, 0.1))
     assert set(pruned) == set(exact)
+    stored = store.stored(baselines.postings(tagged), "postings", "centroid")
+    assert lists(baselines.staged_prune(q, tagged, centers, 5, DIM, 1, 20, 0.1, lists=stored)) == pruned
+    near = baselines.probed(q, centers, DIM, "float", 2).toPandas()
+    for r in q.collect():
+        table = vectors.unpack_one(bytes(r["vecs"]), DIM, "float") @ centers.T
+        want = {c for row in table for c in sorted(range(len(centers)), key=lambda c: (-row[c], c))[:2]}
+        assert set(near[near.query_id == r["bag_id"]].centroid) == want
 
 
 def test_pq_is_lossless_with_enough_codes_and_tables_equal_decoding(spark, encoded, monkeypatch):
@@ -133,7 +140,7 @@ def test_pq_is_lossless_with_enough_codes_and_tables_equal_decoding(spark, encod
     codes = approx.pq_encode(few, book).cache()
     assert {r["bag_id"]: bytes(r["enc"]) for r in approx.pq_decode(codes, book).collect()} == {r["bag_id"]: bytes(r["enc"]) for r in few.collect()}
     assert lists(approx.pq_search(q, codes, book, 5)) == lists(search.mips_dense(q, few, 5, PARAMS))
-    monkeypatch.setattr(approx, "TABLE_BYTES", 0)
+    monkeypatch.setattr(approx, "BY_TABLE", 1000)
     assert lists(approx.pq_search(q, codes, book, 5)) == lists(search.mips_dense(q, few, 5, PARAMS))
     small = approx.pq_train(d, PARAMS.width, 16, 16)
     assert small.code_bytes == PARAMS.width // 32 and book.code_bytes == PARAMS.width // 8
@@ -154,8 +161,9 @@ def test_inverted_lists(encoded):
 
 def test_graph(encoded):
     q, d = encoded
-    graph = approx.graph_build(d, 1, 8, 24).cache()
-    rows = graph.collect()
+    built = graph.graph_build(d, 1, 8, 24).cache()
+    rows = graph.graph_nodes(built).collect()
+    assert built.count() == 1 and len(rows) == d.count()
     assert all(len(r["neighbours"]) <= 8 for r in rows) and sum(r["is_entry"] for r in rows) == 1
     links = {r["node"]: r["neighbours"] for r in rows}
     seen, stack = set(), [next(r["node"] for r in rows if r["is_entry"])]
@@ -166,19 +174,46 @@ def test_graph(encoded):
             stack += links[n]
     assert len(seen) == len(rows)
     exact = search.mips_dense(q, d, 5, PARAMS)
-    found, cost = approx.graph_search(q, graph, 5, len(rows))
+    found, cost = graph.graph_search(q, built, 5, len(rows))
     assert lists(found) == lists(exact) and cost.agg(F.max("n_dist")).first()[0] <= len(rows)
+    recall = [metrics.recall_at(graph.graph_search(q, built, 5, w)[0], exact.select("query_id", "doc_id"), [5]).first()["recall"] for w in (5, 20, 63)]
+    assert recall == sorted(recall) and recall[-1] == 1
+
+
+def test_graph_walked_on_codes(encoded):
+    """A walk that covers its shards is the scan of the same codes; the walk reads the shards in place."""
+    q, d = encoded
+    book = approx.pq_train(d, PARAMS.width, 16, 8)
+    built = graph.graph_build(d, 3, 8, 24)
+    coded = graph.graph_code(built, book).cache()
+    scan = approx.pq_search(q, approx.pq_encode(d, book), book, 5)
+    found, cost = graph.graph_search(q, coded, 5, 63, book=book)
+    assert lists(found) == lists(scan) and cost.groupBy("query_id").count().agg(F.max("count")).first()[0] == 3
+    size = lambda g: g.agg(F.sum(F.length("points"))).first()[0]
+    assert size(built) == 32 * 2 * size(coded)
+    plan = graph.graph_search(q, coded, 5, 63, book=book)[1]._jdf.queryExecution().executedPlan().toString()
+    assert "Exchange" not in plan.split("InMemoryTableScan")[0]
+
+
+def test_walk_is_bounded_by_its_beam():
+    """A chain of points: a narrow beam ends where the nearest lies, and a wide one sees all."""
+    points = np.arange(50, dtype=float)
+    links = np.array([[max(0, i - 1), min(49, i + 1)] for i in range(50)], np.int32)
+    far = lambda x: np.abs(points[x] - 20.2)
+    ids, cost, n = graph.walk(far, links, 0, 3)
+    assert ids[:3].tolist() == [20, 21, 19] and n < 30 and (np.diff(cost) >= 0).all()
+    assert graph.walk(far, links, 0, 50)[2] == 50
 
 
 def test_routed_graph(encoded):
     q, d = encoded
     centers = approx.ivf_centers(d, 4)
-    graph = approx.graph_build(d, 2, 8, 24, centers=centers).cache()
-    assert graph.count() == d.count() and graph.agg(F.max("shard")).first()[0] < 8
+    built = graph.graph_build(d, 2, 8, 24, centers=centers).cache()
+    assert built.agg(F.sum("n")).first()[0] == d.count() and built.agg(F.max("shard")).first()[0] < 8
     exact = search.mips_dense(q, d, 5, PARAMS)
-    found, cost = approx.graph_search(q, graph, 5, 63, centers, 4, 2)
+    found, cost = graph.graph_search(q, built, 5, 63, centers, 4, 2)
     assert lists(found) == lists(exact)
-    fewer = approx.graph_search(q, graph, 5, 63, centers, 1, 2)[1]
+    fewer = graph.graph_search(q, built, 5, 63, centers, 1, 2)[1]
     assert fewer.groupBy("query_id").count().agg(F.max("count")).first()[0] <= 2 < cost.groupBy("query_id").count().agg(F.max("count")).first()[0]
 
 
@@ -211,7 +246,7 @@ def test_measures_on_hand_made_lists(spark):
 def test_retriever_ways_agree(bags):
     q, d = bags
     want = lists(search.exact_maxsim_topk(q, d, 3, DIM))
-    for way in ("dense", "progressive", "sparse", "pq", "ivf", "graph", "routed", "auto"):
+    for way in (*WAYS, "auto"):
         r = Retriever(PARAMS, way, codes=32, lists=4, probes=4, degree=8, build_beam=24).fit(d)
         got = lists(r.search(q, 3, 63, beam=63, tau=None))
         assert {k: v[0] for k, v in got.items()} == {k: v[0] for k, v in want.items()}, way
@@ -220,6 +255,33 @@ def test_retriever_ways_agree(bags):
         Retriever(PARAMS, "other").fit(d)
 
 
+@pytest.mark.parametrize("way", ["dense", "pq", "ivf", "routed_pq"])
+def test_saved_index_needs_no_encoder(spark, tmp_path, bags, way):
+    q, d = bags
+    made = Retriever(PARAMS, way, codes=32, lists=4, probes=2, degree=8, build_beam=24).fit(d)
+    made.save(f"{tmp_path}/{way}")
+    read = Retriever.load(spark, f"{tmp_path}/{way}")
+    assert lists(read.search(q, 3, 20, beam=63, tau=0.5)) == lists(made.search(q, 3, 20, beam=63, tau=0.5))
+    for r in (made, read):
+        plan = r.candidates(q, 20, 63)._jdf.queryExecution().optimizedPlan().toString()
+        # One kernel over the stored index and none below it: queries were encoded when the plan was built.
+        assert plan.count("MapInArrow") == 1 and "pos" not in plan
+
+
+def test_rerank_modes_run_as_named(spark, bags):
+    q, d = bags
+    near = search.exact_maxsim_topk(q, d, 20, DIM)
+    spark.conf.set("spark.sql.autoBroadcastJoinThreshold", "-1")
+    try:
+        plans = {m: search.rerank(near, q, d, 5, DIM, mode=m)._jdf.queryExecution().executedPlan().toString() for m in ("per_query", "spread")}
+    finally:
+        spark.conf.unset("spark.sql.autoBroadcastJoinThreshold")
+    # What the scoring kernel's rows are dealt by: the first exchange below it.
+    dealt = {m: p[p.index("MapInArrow") :].split("Exchange hashpartitioning(", 1)[1].split("),")[0] for m, p in plans.items()}
+    assert "salt" in dealt["spread"] and "query_id" in dealt["spread"]
+    assert "salt" not in dealt["per_query"] and "query_id" in dealt["per_query"]
+
+
 def test_planner():
     p = frontier(10240, 128)
     assert choose(p, 10**4, 80, 1000).index in ("dense", "sparse")
