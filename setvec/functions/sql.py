@@ -74,12 +74,31 @@ class ChunkText:
             yield n, list(dict.fromkeys(found[a : a + size]))
 
 
+@F.udtf(returnType="query_id bigint, rank int, doc_id bigint, score bigint")
+class TopkSearch:
+    """A table function over partitions of a table (query_id, doc_id, score): the ``k`` best of each partition."""
+
+    def __init__(self) -> None:
+        self.held: list[tuple[int, int, int]] = []
+
+    def eval(self, row, k: int) -> None:
+        import heapq
+
+        item = (row["score"], -row["doc_id"], row["query_id"])
+        (heapq.heappush if len(self.held) < k else heapq.heappushpop)(self.held, item)
+
+    def terminate(self) -> Iterator[tuple[int, int, int, int]]:
+        for rank, (score, doc, query) in enumerate(sorted(self.held, reverse=True), 1):
+            yield query, rank, -doc, score
+
+
 def register_all(spark: SparkSession, sf_dir: str | None = None, params: EncodeParams | None = None) -> None:
     """Everything under its SQL name: vec_dot, vec_norm, vec_add, vec_maxsim, chunk_text, the parameter source, and with
     ``params`` explode_cells, encode_bag_agg and maxsim_packed."""
     register_functions(spark)
     planes.register(spark)
     spark.udtf.register("chunk_text", ChunkText)
+    spark.udtf.register("topk_search", TopkSearch)
     if params is not None:
         spark.udtf.register("explode_cells", explode_cells(params))
         spark.udf.register("encode_bag_agg", encode_bag_agg(params))

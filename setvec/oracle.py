@@ -6,9 +6,10 @@ from setvec.functions.seeds import int12_sql, sign_sql
 
 #: The settings that the compared queries use.
 SEED, REPS, BITS, PROJ, FINAL, DIM, SCALE = 42, 4, 3, 8, 16, 64, 1 << 20
-CELLS, N_CENTERS, PQ_CODES, PQ_GROUP, LISTS, PROBES = 1 << BITS, 16, 16, 8, 8, 3
+CELLS, N_CENTERS, PQ_CODES, PQ_GROUP, LISTS, PROBES, PQ_KEPT = 1 << BITS, 16, 256, 4, 8, 7, 100
 TAU = int(0.1 * (1 << 40))
 K, CANDIDATES = 10, 20
+STAGED_PROBES, STAGED_KEEP, ENC_CODES = 4, 40, 16
 
 _WORDS = "list_filter(regexp_split_to_array(lower({0}), '[^\\p{{L}}\\p{{N}}]+'), lambda w: w <> '')"
 
@@ -86,6 +87,82 @@ PARTS: dict[str, tuple[tuple[str, ...], str]] = {
         "SELECT bag_id, pos, c AS cell FROM (SELECT bag_id, pos, c, row_number() OVER (PARTITION BY bag_id, pos ORDER BY s DESC, c) AS nth FROM (SELECT t.bag_id, t.pos, c, "
         "sum(2 * t.x * k.x - k.x * k.x)::BIGINT AS s FROM tok t JOIN centers k USING (dim) GROUP BY ALL)) WHERE nth = 1",
     ),
+    "staged_table": (("q", "centers"), "SELECT query_id, qpos, c, sum(q.x * k.x)::BIGINT AS dot FROM q JOIN centers k USING (dim) GROUP BY ALL"),
+    "staged_one": (
+        ("staged_table", "ccell"),
+        "SELECT DISTINCT p.query_id, t.bag_id AS doc_id FROM (SELECT query_id, c FROM (SELECT *, row_number() OVER (PARTITION BY query_id, qpos ORDER BY dot DESC, c) AS nth FROM staged_table) "
+        f"WHERE nth <= {STAGED_PROBES}) p JOIN ccell t ON t.cell = p.c",
+    ),
+    "staged_two": (
+        ("staged_one", "staged_table", "ccell"),
+        "SELECT query_id, doc_id FROM (SELECT query_id, doc_id, row_number() OVER (PARTITION BY query_id ORDER BY sum(best) DESC, doc_id) AS nth FROM (SELECT o.query_id, o.doc_id, t.qpos, max(t.held) AS best "
+        "FROM staged_one o JOIN (SELECT DISTINCT bag_id, cell FROM ccell) d ON d.bag_id = o.doc_id JOIN (SELECT query_id, qpos, c, CASE WHEN max(dot) OVER (PARTITION BY query_id, c) < 0 THEN "
+        "min(dot) OVER (PARTITION BY query_id) ELSE dot END AS held FROM staged_table) t ON t.query_id = o.query_id AND t.c = d.cell GROUP BY ALL) GROUP BY query_id, doc_id) "
+        f"WHERE nth <= {STAGED_KEEP}",
+    ),
+    "staged_three": (
+        ("staged_two", "staged_table", "ccell"),
+        "SELECT query_id, doc_id FROM (SELECT query_id, doc_id, row_number() OVER (PARTITION BY query_id ORDER BY sum(best) DESC, doc_id) AS nth FROM (SELECT o.query_id, o.doc_id, t.qpos, max(t.dot) AS best "
+        "FROM staged_two o JOIN (SELECT DISTINCT bag_id, cell FROM ccell) d ON d.bag_id = o.doc_id JOIN staged_table t ON t.query_id = o.query_id AND t.c = d.cell GROUP BY ALL) GROUP BY query_id, doc_id) "
+        f"WHERE nth <= {max(K, STAGED_KEEP // 4)}",
+    ),
+    "rcenters": (
+        ("tok",),
+        f"SELECT rep, c - 1 AS c, dim, x FROM (SELECT r.rep::INT AS rep, bag_id, pos, row_number() OVER (PARTITION BY r.rep ORDER BY md5('center:' || r.rep || ':' || bag_id || ':' || pos), bag_id, pos)::INT AS c "
+        f"FROM (SELECT DISTINCT bag_id, pos FROM tok), range({REPS}) r(rep)) JOIN tok USING (bag_id, pos) WHERE c <= {N_CENTERS}",
+    ),
+    "rnear": (("tok", "rcenters"), "SELECT t.bag_id, t.pos, k.rep, k.c, sum(2 * t.x * k.x - k.x * k.x)::BIGINT AS s FROM tok t JOIN rcenters k USING (dim) GROUP BY ALL"),
+    "rcell": (("rnear",), "SELECT bag_id, pos, rep, c AS cell FROM (SELECT *, row_number() OVER (PARTITION BY bag_id, pos, rep ORDER BY s DESC, c) AS nth FROM rnear) WHERE nth = 1"),
+    "rqcell": (
+        ("q", "rcenters"),
+        "SELECT query_id, qpos, rep, c AS cell FROM (SELECT *, row_number() OVER (PARTITION BY query_id, qpos, rep ORDER BY s DESC, c) AS nth FROM (SELECT t.query_id, t.qpos, k.rep, k.c, "
+        "sum(2 * t.x * k.x - k.x * k.x)::BIGINT AS s FROM q t JOIN rcenters k USING (dim) GROUP BY ALL)) WHERE nth = 1",
+    ),
+    "rnorm": (("tok",), "SELECT bag_id, pos, sum(x * x)::BIGINT AS n FROM tok GROUP BY ALL"),
+    "rlen": (("rcenters",), "SELECT rep, c, sum(x * x)::BIGINT AS n FROM rcenters GROUP BY ALL"),
+    "rhole": (
+        ("rnear", "rcell", "rnorm", "rlen"),
+        "SELECT bag_id, rep, c AS cell, pos FROM (SELECT n.bag_id, n.rep, n.c, n.pos, row_number() OVER (PARTITION BY n.bag_id, n.rep, n.c ORDER BY m.n - n.s - l.n, n.pos) AS nth FROM rnear n JOIN rnorm m "
+        "USING (bag_id, pos) JOIN rlen l ON l.rep = n.rep AND l.c = n.c WHERE NOT EXISTS (SELECT 1 FROM rcell o WHERE o.bag_id = n.bag_id AND o.rep = n.rep AND o.cell = n.c)) WHERE nth = 1",
+    ),
+    "rblock": (
+        ("tok", "rcell", "rhole"),
+        "SELECT bag_id, rep, cell, dim, floor(sum(x)::DOUBLE / count(*))::BIGINT AS v FROM tok JOIN rcell USING (bag_id, pos) GROUP BY ALL UNION ALL "
+        "SELECT bag_id, rep, cell, dim, x AS v FROM tok JOIN rhole USING (bag_id, pos)",
+    ),
+    "rdproj": (("rblock", "inner_signs"), "SELECT bag_id, rep, cell, j, sum(v * sgn)::BIGINT AS v FROM rblock JOIN inner_signs USING (rep, dim) GROUP BY ALL"),
+    "rqproj": (
+        ("q", "rqcell", "inner_signs"),
+        "SELECT query_id, rep, cell, j, sum(x * sgn)::BIGINT AS v FROM q JOIN rqcell USING (query_id, qpos) JOIN inner_signs USING (rep, dim) GROUP BY ALL",
+    ),
+    "encbook": (
+        ("dproj",),
+        f"SELECT rep * {CELLS * PROJ} + cell * {PROJ} + d.j AS place, code, v FROM dproj d JOIN (SELECT bag_id, (row_number() OVER (ORDER BY md5('pqinit:{SEED}:' || bag_id), bag_id) - 1)::INT AS code "
+        f"FROM (SELECT DISTINCT bag_id FROM dproj)) b USING (bag_id) WHERE code < {ENC_CODES}",
+    ),
+    "enccode": (
+        ("dproj", "encbook"),
+        f"SELECT bag_id, g, code FROM (SELECT *, row_number() OVER (PARTITION BY bag_id, g ORDER BY s DESC, code) AS nth FROM (SELECT d.bag_id, k.place // {PROJ} AS g, k.code, "
+        f"sum(2 * d.v * k.v - k.v * k.v) AS s FROM dproj d JOIN encbook k ON k.place = d.rep * {CELLS * PROJ} + d.cell * {PROJ} + d.j GROUP BY ALL)) WHERE nth = 1",
+    ),
+    "codescore": (
+        ("qproj", "enccode", "encbook"),
+        f"SELECT query_id, doc_id, score, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id) AS rank FROM (SELECT t.query_id, c.bag_id AS doc_id, sum(part)::BIGINT AS score FROM enccode c "
+        f"JOIN (SELECT a.query_id, k.place // {PROJ} AS g, k.code, sum(a.v * k.v) AS part FROM qproj a JOIN encbook k ON k.place = a.rep * {CELLS * PROJ} + a.cell * {PROJ} + a.j GROUP BY ALL) t "
+        "ON t.g = c.g AND t.code = c.code GROUP BY t.query_id, c.bag_id)",
+    ),
+    "chunk_bits": (
+        ("doc_words",),
+        "SELECT bag_id, ('0x' || substr(md5(word), 1, 16))::UBIGINT AS bits FROM (SELECT doc_id * 10000000 + c AS bag_id, unnest(list_distinct(w[c * 64 + 1 : c * 64 + 128])) AS word FROM "
+        "(SELECT doc_id, w, unnest(range(greatest(0, ceil((len(w) - 128) / 64.0)::BIGINT) + 1)) AS c FROM doc_words WHERE len(w) > 0))",
+    ),
+    "item_words": ((), f"SELECT query_id, word, count(*) AS n FROM (SELECT item_id AS query_id, unnest({_WORDS.format('text')}) AS word FROM benchmark) GROUP BY ALL"),
+    "text_best": (
+        ("chunk_bits", "item_words"),
+        "SELECT bag_id, word, max(64 - 2 * bit_count(xor(c.bits, q.bits))) AS dot FROM chunk_bits c, (SELECT word, ('0x' || substr(md5(word), 1, 16))::UBIGINT AS bits FROM (SELECT DISTINCT word FROM item_words)) q "
+        "GROUP BY bag_id, word",
+    ),
+    "text_scores": (("text_best", "item_words"), "SELECT query_id, bag_id, sum(n * dot)::DOUBLE / 64 AS score FROM text_best JOIN item_words USING (word) GROUP BY ALL"),
     "small": (("emb",), "SELECT vec_id, dim, floor(e * 256 + 0.5)::BIGINT AS x FROM emb"),
     "lowest": (
         (),
@@ -226,9 +303,11 @@ SQL: dict[str, str] = {
     "pq_codes": sql(("pqcode",), "SELECT vec_id, g::INT AS g, code FROM pqcode"),
     "pq_search": sql(
         ("pqcode", "small", "lowest"),
-        f"SELECT query_id, rank, doc_id, score FROM (SELECT q.vec_id AS query_id, p.vec_id AS doc_id, sum(q.x * c.x)::DOUBLE AS score, row_number() OVER (PARTITION BY q.vec_id "
-        f"ORDER BY sum(q.x * c.x) DESC, p.vec_id)::INT AS rank FROM small q JOIN pqcode p ON p.g = q.dim // {PQ_GROUP} JOIN lowest l ON l.code = p.code JOIN small c ON c.vec_id = l.src "
-        f"AND c.dim = q.dim WHERE q.vec_id % 10 = 0 GROUP BY q.vec_id, p.vec_id) WHERE rank <= {K}",
+        f"SELECT query_id, rank, doc_id, score FROM (SELECT p.query_id, p.doc_id, sum(q.x * d.x)::DOUBLE AS score, row_number() OVER (PARTITION BY p.query_id ORDER BY sum(q.x * d.x) DESC, p.doc_id)::INT AS rank "
+        f"FROM (SELECT * FROM (SELECT q.vec_id AS query_id, p.vec_id AS doc_id, row_number() OVER (PARTITION BY q.vec_id ORDER BY sum(q.part) DESC, p.vec_id) AS nth FROM (SELECT q.vec_id, q.dim // {PQ_GROUP} AS g, "
+        f"l.code, sum(q.x * c.x) AS part FROM small q JOIN small c USING (dim) JOIN lowest l ON l.src = c.vec_id AND l.code < {PQ_CODES} WHERE q.vec_id % 10 = 0 GROUP BY ALL) q JOIN pqcode p ON p.g = q.g AND "
+        f"p.code = q.code GROUP BY q.vec_id, p.vec_id) WHERE nth <= {PQ_KEPT}) p JOIN small q ON q.vec_id = p.query_id JOIN small d ON d.vec_id = p.doc_id AND d.dim = q.dim GROUP BY p.query_id, p.doc_id) "
+        f"WHERE rank <= {K}",
     ),
     "ivf_topk": sql(
         ("listof", "small", "lowest"),
@@ -325,10 +404,49 @@ SQL: dict[str, str] = {
     ),
     "corpus_cube": "SELECT lang, source, count(*)::BIGINT AS n, sum(n_chars)::BIGINT AS chars FROM documents GROUP BY CUBE (lang, source)",
     "order_basket_similarity": (
-        "WITH items AS (SELECT DISTINCT l_orderkey AS o, p_brand AS brand FROM lineitem JOIN part ON p_partkey = l_partkey), sizes AS (SELECT o, count(*)::BIGINT AS size FROM items GROUP BY o) "
-        "SELECT a, b, n_both, n_both::DOUBLE / (s.size + t.size - n_both) AS jaccard FROM (SELECT x.o AS a, y.o AS b, count(*)::BIGINT AS n_both FROM items x JOIN items y ON x.brand = y.brand AND x.o < y.o "
-        "AND y.o - x.o <= 32 GROUP BY ALL) p JOIN sizes s ON s.o = p.a JOIN sizes t ON t.o = p.b"
-    ),
+        "WITH brands AS (SELECT p_brand, (row_number() OVER (ORDER BY p_brand) - 1)::INT AS bit FROM (SELECT DISTINCT p_brand FROM part)), masks AS (SELECT l_orderkey AS o, bit_or(1::BIGINT << bit) AS m FROM lineitem "
+        "JOIN part ON p_partkey = l_partkey JOIN brands USING (p_brand) GROUP BY l_orderkey), sets AS (SELECT m, count(*)::BIGINT AS n, bit_count(m) AS s FROM masks GROUP BY m), linked AS (SELECT a.m, "
+        "sum(b.n)::BIGINT AS n FROM sets a JOIN sets b ON 5 * least(a.s, b.s) >= 4 * greatest(a.s, b.s) AND 5 * bit_count(a.m & b.m) >= 4 * (a.s + b.s - bit_count(a.m & b.m)) GROUP BY a.m) "
+        "SELECT o, min(o) OVER (PARTITION BY m) AS set_id, s.n AS n_copies, l.n - 1 AS n_links FROM masks JOIN sets s USING (m) JOIN linked l USING (m)"
+    ),
+    "staged_prune": sql(
+        ("staged_three", "maxsim"),
+        "SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id)::INT AS rank, doc_id, score FROM maxsim JOIN staged_three USING (query_id, doc_id) "
+        f"QUALIFY rank <= {K}",
+    ),
+    "center_encodings": sql(
+        ("rdproj", "rqproj"),
+        "SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id)::INT AS rank, doc_id, score FROM (SELECT query_id, bag_id AS doc_id, sum(a.v * b.v)::BIGINT AS score FROM rqproj a "
+        f"JOIN rdproj b USING (rep, cell, j) GROUP BY ALL) QUALIFY rank <= {K}",
+    ),
+    "graph_encodings_topk": sql(("mips",), _ranked("mips", K)),
+    "graph_pq_topk": sql(
+        ("codescore", "maxsim"),
+        "SELECT query_id, row_number() OVER (PARTITION BY query_id ORDER BY m.score DESC, doc_id)::INT AS rank, doc_id, m.score FROM maxsim m JOIN (SELECT query_id, doc_id FROM codescore WHERE "
+        f"rank <= {CANDIDATES}) USING (query_id, doc_id) QUALIFY rank <= {K}",
+    ),
+    "text_exact_topk": sql(
+        ("text_scores",),
+        f"SELECT query_id, rank, bag_id AS doc_id, score FROM (SELECT *, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, bag_id)::INT AS rank FROM text_scores) WHERE rank <= {K}",
+    ),
+    "corpus_rollup": "SELECT lang, source, count(*)::BIGINT AS n, max(n_chars) AS longest, grouping_id(lang, source)::BIGINT AS level FROM documents GROUP BY ROLLUP (lang, source)",
+    "corpus_grouping_sets": "SELECT lang, source, count(DISTINCT n_chars)::BIGINT AS lengths FROM documents GROUP BY GROUPING SETS ((lang), (source), ())",
+    "event_places": (
+        f"SELECT event_id, ntile(4) OVER w AS quarter, round(percent_rank() OVER w, 9) AS part, round(cume_dist() OVER w, 9) AS down, lead(event_id) OVER w AS next, nth_value(event_id, 2) OVER "
+        f"(PARTITION BY user_id ORDER BY us, event_id ROWS BETWEEN UNBOUNDED PRECEDING AND UNBOUNDED FOLLOWING) AS second, rank() OVER (PARTITION BY user_id ORDER BY event_type) AS type_rank, "
+        f"dense_rank() OVER (PARTITION BY user_id ORDER BY event_type) AS type_place FROM ({_EVENTS}) WINDOW w AS (PARTITION BY user_id ORDER BY us, event_id)"
+    ),
+    "event_statistics": "SELECT event_type, round(median(value), 6) AS middle, round(corr(value, event_id), 6) AS trend, round(stddev_samp(value), 6) AS sd, round(quantile_cont(value, 0.9), 6) AS high FROM events GROUP BY event_type",
+    "event_distinct": "SELECT event_type, count(DISTINCT user_id)::BIGINT AS users, true AS near FROM events GROUP BY event_type",
+    "event_props": "SELECT event_type, sum(json_extract(props, '$.k')::BIGINT)::BIGINT AS total, count(*)::BIGINT AS n FROM events WHERE json_extract(props, '$.k')::BIGINT >= 50 GROUP BY event_type",
+    "viewers_except_buyers": "SELECT user_id FROM events WHERE event_type = 'view' EXCEPT ALL SELECT user_id FROM events WHERE event_type = 'purchase'",
+    "brand_distances": "SELECT DISTINCT a.p_brand AS a, b.p_brand AS b, levenshtein(a.p_brand, b.p_brand)::INT AS apart FROM (SELECT DISTINCT p_brand FROM part) a JOIN (SELECT DISTINCT p_brand FROM part) b ON a.p_brand < b.p_brand",
+    "lateral_topk": (
+        "SELECT c_custkey, o_orderkey, o_totalprice FROM (SELECT c_custkey, o_orderkey, o_totalprice, row_number() OVER (PARTITION BY c_custkey ORDER BY o_totalprice DESC, o_orderkey) AS nth FROM customer JOIN orders ON "
+        "o_custkey = c_custkey) WHERE nth <= 2"
+    ),
+    "udtf_topk": sql(("mips",), "SELECT query_id, rank, doc_id, score FROM mips WHERE rank <= 3"),
+    "query_sums_by_maps": sql(("qproj",), f"SELECT query_id AS bag_id, (rep * {CELLS * PROJ} + cell * {PROJ} + j)::INT AS place, v FROM qproj WHERE v <> 0"),
     "stream_encode": sql(("dproj",), f"SELECT bag_id, (rep * {CELLS * PROJ} + cell * {PROJ} + j)::INT AS place, v FROM dproj"),
     "stream_sliding_bags": (
         "SELECT user_id, (epoch_us(date_trunc('hour', ts)) - h * 3600000000)::BIGINT AS start_us, count(*)::BIGINT AS n, sum(('0x' || substr(md5(event_type), 1, 2))::BIGINT)::BIGINT AS s FROM events, range(2) r(h) "
@@ -338,6 +456,11 @@ SQL: dict[str, str] = {
     "cogrouped_rerank": sql(("maxsim", "mips"), _RERANKED),
     "stream_window_bags": "SELECT user_id, epoch_us(date_trunc('day', ts)) AS day_us, count(*)::BIGINT AS n, sum(('0x' || substr(md5(event_type), 1, 2))::BIGINT)::BIGINT AS s FROM events GROUP BY ALL",
 }
+SQL["flagship"] = sql(
+    ("text_scores",),
+    f"SELECT query_id, rank, doc_id, score FROM (SELECT query_id, doc_id, score, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id)::INT AS rank FROM (SELECT query_id, bag_id // 10000000 AS doc_id, "
+    f"max(score) AS score FROM text_scores GROUP BY ALL)) WHERE rank <= {K}",
+)
 SQL["stream_sessions"] = SQL["session_bags"]
 SQL["stream_purchases"] = SQL["interval_events"]
 SQL["pq_search_by_joins"] = SQL["pq_search"]

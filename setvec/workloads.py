@@ -227,7 +227,7 @@ def pooled_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
     return baselines.pooled(query_bags(spark, sf_dir), doc_bags(spark, sf_dir), O.K, O.DIM, "fixed")
 
 
-def staged_prune(spark: SparkSession, sf_dir: str, probes: int = 4, keep: int = 40, threshold: float | None = 0.0) -> DataFrame:
+def staged_prune(spark: SparkSession, sf_dir: str, probes: int = O.STAGED_PROBES, keep: int = O.STAGED_KEEP, threshold: float | None = 0.0) -> DataFrame:
     tokens = doc_tokens(spark, sf_dir)
     centers = hash_centers(tokens)
     tagged = baselines.tag_centroids(tables.pack_bags(tokens, "fixed"), centers, O.DIM, "fixed")
@@ -279,27 +279,29 @@ def untrained_book(vectors: DataFrame) -> approx.Codebook:
 
 def pq_codes(spark: SparkSession, sf_dir: str) -> DataFrame:
     vectors = small_vectors(spark, sf_dir)
-    book = untrained_book(vectors)
-    rows = approx.pq_encode(vectors, book)
-    byte = F.conv(F.hex(F.substring("code", F.col("i") + 1, F.lit(1))), 16, 10).cast("int")
-    rows = rows.select(F.col("bag_id").alias("vec_id"), "code", F.explode(F.sequence(F.lit(0), F.length("code") - 1)).alias("i")).withColumn("b", byte)
-    half = F.explode(F.array(F.struct((F.col("i") * 2).alias("g"), (F.col("b") % 16).alias("code")), F.struct((F.col("i") * 2 + 1).alias("g"), F.floor(F.col("b") / 16).cast("int").alias("code"))))
-    return rows.select("vec_id", half.alias("h")).select("vec_id", "h.g", "h.code")
+    rows = approx.pq_encode(vectors, untrained_book(vectors))
+    code = F.conv(F.hex(F.substring("code", F.col("g") + 1, F.lit(1))), 16, 10).cast("int")
+    rows = rows.select(F.col("bag_id").alias("vec_id"), "code", F.explode(F.sequence(F.lit(0), F.length("code") - 1)).alias("g"))
+    return rows.select("vec_id", "g", code.alias("code"))
 
 
 def pq_search(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Codes propose, whole vectors decide."""
     vectors = small_vectors(spark, sf_dir)
-    book = untrained_book(vectors)
-    return approx.pq_search(vectors.where("bag_id % 10 = 0"), approx.pq_encode(vectors, book), book, O.K)
+    book, asked = untrained_book(vectors), vectors.where("bag_id % 10 = 0")
+    near = approx.pq_search(asked, approx.pq_encode(vectors, book), book, O.PQ_KEPT)
+    return search.rescore(near, asked, vectors, O.K)
 
 
 def pq_search_by_joins(spark: SparkSession, sf_dir: str) -> DataFrame:
-    book = untrained_book(small_vectors(spark, sf_dir))
+    vectors = small_vectors(spark, sf_dir)
+    book = untrained_book(vectors)
     centers = [(c, g * O.PQ_GROUP + i, float(x)) for g, of in enumerate(book.centers) for c, center in enumerate(of) for i, x in enumerate(center)]
     whole = F.posexplode(F.transform("embedding", lambda x: F.floor(x.cast("double") * 256 + 0.5))).alias("dim", "x")
     asked = tables.load(spark, sf_dir, "embeddings").where("embedding is not null and vec_id % 10 = 0").select(F.col("vec_id").alias("query_id"), whole)
     codes = pq_codes(spark, sf_dir).withColumnRenamed("vec_id", "doc_id")
-    return approx.pq_search_by_joins(asked, codes, spark.createDataFrame(centers, "code int, dim int, center double"), O.PQ_GROUP, O.K)
+    near = approx.pq_search_by_joins(asked, codes, spark.createDataFrame(centers, "code int, dim int, center double"), O.PQ_GROUP, O.PQ_KEPT)
+    return search.rescore(near, vectors.where("bag_id % 10 = 0"), vectors, O.K)
 
 
 def ivf_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -325,6 +327,33 @@ def graph_topk(spark: SparkSession, sf_dir: str, beam: int = 32) -> DataFrame:
     return graph.graph_search(vectors.where("bag_id % 10 = 0"), built, O.K, beam)[0]
 
 
+def graph_encodings_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Walks over set encodings whose beam covers a shard: the dense scan's list."""
+    q, d = encodings(spark, sf_dir)
+    n = d.count()
+    built = store.stored(graph.graph_build(d, 1 + n // 500, 16, 32, kind="fixed"), "graph", "shard")
+    return graph.graph_search(q, built, O.K, n, kind="fixed")[0]
+
+
+def encoding_book(encoded: DataFrame) -> approx.Codebook:
+    """Runs of the encodings whose hash is lowest, as centres in whole numbers."""
+    key = F.md5(F.concat_ws(":", F.lit("pqinit"), F.lit(str(O.SEED)), F.col("bag_id").cast("string")))
+    rows = encoded.orderBy(key, "bag_id").limit(O.ENC_CODES).collect()
+    return approx.Codebook(np.stack([np.frombuffer(r["enc"], "<i8") for r in rows]).reshape(len(rows), -1, O.PROJ).transpose(1, 0, 2).copy(), FIXED.width)
+
+
+def graph_pq_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The whole evaluated way in whole numbers: graphs built on set encodings, walked on their codes with the query left
+    uncompressed, candidates re-scored by exact MaxSim."""
+    q, d = encodings(spark, sf_dir)
+    n = d.count()
+    book = encoding_book(d)
+    built = store.stored(graph.graph_build(d, 1 + n // 500, 16, 32, kind="fixed"), "graph", "shard")
+    coded = store.stored(graph.graph_code(built, book, "fixed"), "graph", "shard")
+    near = graph.graph_search(q, coded, O.CANDIDATES, n, book=book, kind="fixed")[0]
+    return search.rerank(near, query_bags(spark, sf_dir), doc_bags(spark, sf_dir), O.K, O.DIM, "fixed")
+
+
 def graph_beam_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Recall of the exact best and distances computed, by beam width."""
     vectors = small_vectors(spark, sf_dir).persist()
@@ -583,17 +612,128 @@ def corpus_cube(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def order_basket_similarity(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Jaccard of brands between orders whose numbers lie within 32: an equi-join on brand and number bucket."""
+    """Orders by the Jaccard similarity of their brands, at least four fifths, over all orders: o, set_id (the smallest order
+    of the same brands), n_copies, n_links (other orders that are alike, equal ones counted).
+
+    Equal sets form a class. Two classes that are alike differ in few brands, so leaving out that many from either
+    gives a common rest: sets meet by such rests, whose number hangs on a set's size alone, and pairs are then checked.
+    """
     lines = tables.load(spark, sf_dir, "lineitem").select("l_orderkey", "l_partkey")
     parts = tables.load(spark, sf_dir, "part").select("p_partkey", "p_brand")
-    items = lines.join(parts, lines["l_partkey"] == parts["p_partkey"]).select(F.col("l_orderkey").alias("o"), F.col("p_brand").alias("brand")).distinct()
-    sizes = items.groupBy("o").agg(F.count("*").alias("size"))
-    left = items.select(F.col("o").alias("a"), "brand", F.explode(F.array(F.expr("o div 32"), F.expr("o div 32 + 1"))).alias("k"))
-    right = items.select(F.col("o").alias("b"), "brand", F.expr("o div 32").alias("k"))
-    near = left.join(right, ["brand", "k"]).where((F.col("a") < F.col("b")) & (F.col("b") - F.col("a") <= 32))
-    both = near.groupBy("a", "b").agg(F.count("*").alias("n_both"))
-    both = both.join(sizes.withColumnsRenamed({"o": "a", "size": "na"}), "a").join(sizes.withColumnsRenamed({"o": "b", "size": "nb"}), "b")
-    return both.select("a", "b", "n_both", (F.col("n_both") / (F.col("na") + F.col("nb") - F.col("n_both"))).alias("jaccard"))
+    brands = lines.join(parts, lines["l_partkey"] == parts["p_partkey"]).groupBy(F.col("l_orderkey").alias("o")).agg(F.array_sort(F.collect_set("p_brand")).alias("brands"))
+    sets = store.stored(brands.groupBy("brands").agg(F.min("o").alias("set_id"), F.count("*").alias("n")), "sets")
+    rests = sets.select("set_id", "brands", "n", F.explode(left_out("brands")).alias("rest"))
+    a, b = (rests.select("rest", *[F.col(c).alias(f"{c}_{side}") for c in ("set_id", "brands", "n")]) for side in "ab")
+    pairs = a.join(b, "rest").where("set_id_a < set_id_b").dropDuplicates(["set_id_a", "set_id_b"])
+    both = F.size(F.array_intersect("brands_a", "brands_b"))
+    pairs = pairs.where(both * 5 >= (F.size("brands_a") + F.size("brands_b") - both) * 4)
+    links = pairs.select(F.explode(F.array(F.struct(F.col("set_id_a").alias("set_id"), F.col("n_b").alias("n")), F.struct(F.col("set_id_b").alias("set_id"), F.col("n_a").alias("n")))).alias("x"))
+    links = links.groupBy("x.set_id").agg(F.sum("x.n").alias("linked"))
+    info = sets.join(links, "set_id", "left").select("brands", "set_id", F.col("n").alias("n_copies"), (F.coalesce("linked", F.lit(0)) + F.col("n") - 1).alias("n_links"))
+    return brands.join(info, "brands").select("o", "set_id", "n_copies", "n_links")
+
+
+def left_out(items: str) -> F.Column:
+    """The sorted set and what is left of it without up to as many members as an alike set may lack: of n members and the
+    other's m they differ in (n + m) / 9 at most, and m is at most 5 n / 4, so in n / 4 at most. Up to three are left out,
+    enough for sets of fewer than 16."""
+    one = f"transform(sequence(0, size({items}) - 1), i -> filter({items}, (x, p) -> p <> i))"
+    two = f"flatten(transform(sequence(0, size({items}) - 2), i -> transform(sequence(i + 1, size({items}) - 1), j -> filter({items}, (x, p) -> p <> i and p <> j))))"
+    three = (
+        f"flatten(transform(sequence(0, size({items}) - 3), i -> flatten(transform(sequence(i + 1, size({items}) - 2), j -> transform(sequence(j + 1, size({items}) - 1), "
+        f"k -> filter({items}, (x, p) -> p <> i and p <> j and p <> k))))))"
+    )
+    none = "cast(array() as array<array<string>>)"
+    return F.expr(
+        f"if(size({items}) >= 16, raise_error('sets of 16 and more need more left out'), concat(array({items}), if(size({items}) >= 4, {one}, {none}), if(size({items}) >= 8, {two}, {none}), if(size({items}) >= 12, {three}, {none})))"
+    )
+
+
+# --- further relational forms ----------------------------------------------------------------------------------------
+
+
+def corpus_rollup(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = tables.load(spark, sf_dir, "documents").rollup("lang", "source")
+    return rows.agg(F.count("*").alias("n"), F.max("n_chars").alias("longest"), F.grouping_id().alias("level"))
+
+
+def corpus_grouping_sets(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = tables.load(spark, sf_dir, "documents")
+    return rows.groupingSets([["lang"], ["source"], []], "lang", "source").agg(F.count_distinct("n_chars").alias("lengths"))
+
+
+def event_places(spark: SparkSession, sf_dir: str) -> DataFrame:
+    order, by_type = W.partitionBy("user_id").orderBy("us", "event_id"), W.partitionBy("user_id").orderBy("event_type")
+    whole = order.rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
+    return events(spark, sf_dir).select(
+        "event_id", F.ntile(4).over(order).alias("quarter"), F.round(F.percent_rank().over(order), 9).alias("part"), F.round(F.cume_dist().over(order), 9).alias("down"),
+        F.lead("event_id").over(order).alias("next"), F.nth_value("event_id", 2).over(whole).alias("second"), F.rank().over(by_type).alias("type_rank"),
+        F.dense_rank().over(by_type).alias("type_place"),
+    )
+
+
+def event_statistics(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = tables.load(spark, sf_dir, "events").groupBy("event_type")
+    got = {"middle": F.median("value"), "trend": F.corr("value", "event_id"), "sd": F.stddev_samp("value"), "high": F.percentile("value", 0.9)}
+    return rows.agg(*[F.round(c, 6).alias(name) for name, c in got.items()])
+
+
+def event_distinct(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Exact numbers of users, and whether both sketches come within a tenth of them."""
+    got = tables.load(spark, sf_dir, "events").groupBy("event_type").agg(
+        F.count_distinct("user_id").alias("users"), F.approx_count_distinct("user_id", 0.02).alias("a"), F.hll_sketch_estimate(F.hll_sketch_agg("user_id")).alias("b")
+    )
+    near = lambda c: F.abs(F.col(c) - F.col("users")) <= F.col("users") * 0.1 + 1
+    return got.select("event_type", "users", (near("a") & near("b")).alias("near"))
+
+
+def event_props(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = tables.load(spark, sf_dir, "events").select("event_type", F.from_json("props", "k bigint")["k"].alias("k"), F.get_json_object("props", "$.k").cast("long").alias("same"))
+    return rows.where("same >= 50").groupBy("event_type").agg(F.sum("k").alias("total"), F.count("*").alias("n"))
+
+
+def viewers_except_buyers(spark: SparkSession, sf_dir: str) -> DataFrame:
+    rows = tables.load(spark, sf_dir, "events")
+    return rows.where("event_type = 'view'").select("user_id").exceptAll(rows.where("event_type = 'purchase'").select("user_id"))
+
+
+def brand_distances(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Between all brands, a short list that is checked to stay one before it meets itself."""
+    names = tables.load(spark, sf_dir, "part").select("p_brand").distinct()
+    listed = [r[0] for r in names.limit(1001).collect()]
+    if len(listed) > 1000:
+        raise ValueError("more than a thousand brands: ask for pairs by a key")
+    ours = spark.createDataFrame([(x,) for x in listed], "a string")
+    pairs = ours.join(F.broadcast(ours.withColumnRenamed("a", "b")), F.col("a") < F.col("b"))
+    return pairs.select("a", "b", F.levenshtein("a", "b").alias("apart"))
+
+
+def lateral_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The two dearest orders of each customer by a correlated subquery."""
+    tables.load(spark, sf_dir, "customer").createOrReplaceTempView("setvec_customer")
+    tables.load(spark, sf_dir, "orders").createOrReplaceTempView("setvec_orders")
+    return spark.sql(
+        "SELECT c_custkey, o_orderkey, o_totalprice FROM setvec_customer, LATERAL (SELECT o_orderkey, o_totalprice FROM setvec_orders WHERE o_custkey = c_custkey ORDER BY o_totalprice DESC, o_orderkey LIMIT 2)"
+    )
+
+
+def udtf_topk(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The three best of each query by a table function over partitions of a table."""
+    from setvec.functions.sql import TopkSearch
+
+    spark.udtf.register("topk_search", TopkSearch)
+    mips(spark, sf_dir).createOrReplaceTempView("setvec_near")
+    return spark.sql("SELECT query_id, rank, doc_id, score FROM topk_search(TABLE(SELECT query_id, doc_id, score FROM setvec_near) PARTITION BY (query_id), 3)")
+
+
+def query_sums_by_maps(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """A query's encoding as the sum of its halves' encodings, by maps of the numbers that aren't 0."""
+    half = lambda where: encode.to_sparse(encode.encode_queries(tables.pack_bags(query_tokens(spark, sf_dir).where(where), "fixed"), FIXED), FIXED).select("bag_id", F.map_from_arrays("idx", "val").alias("m"))
+    both = half("pos < 2").join(half("pos >= 2").withColumnRenamed("m", "other"), "bag_id", "full")
+    none = F.expr("cast(map() as map<int, bigint>)")
+    total = F.map_zip_with(F.coalesce("m", none), F.coalesce("other", none), lambda k, a, b: F.coalesce(a, F.lit(0)) + F.coalesce(b, F.lit(0)))
+    rows = both.select("bag_id", F.explode(total).alias("place", "v"))
+    return rows.where("v <> 0")
 
 
 QUERIES = {
@@ -607,7 +747,7 @@ QUERIES = {
     "token_hit_raw": partial(token_hit, dedup=False), "token_hit_dedup": partial(token_hit, dedup=True), "token_hit_rerank": token_hit_rerank,
     "pooled_topk": pooled_topk, "staged_prune": staged_prune, "staged_prune_whole": staged_prune_whole, "carve_clusters": carve_clusters,
     "carve_stats": carve_stats, "carved_rerank": partial(retrieve_rerank, tau=O.TAU), "kmeans_queries": kmeans_queries, "pq_codes": pq_codes,
-    "pq_search": pq_search, "pq_search_by_joins": pq_search_by_joins, "pq_trained": pq_trained, "ivf_topk": ivf_topk, "graph_topk": graph_topk, "graph_beam_sweep": graph_beam_sweep,
+    "pq_search": pq_search, "pq_search_by_joins": pq_search_by_joins, "pq_trained": pq_trained, "ivf_topk": ivf_topk, "graph_topk": graph_topk, "graph_encodings_topk": graph_encodings_topk, "graph_pq_topk": graph_pq_topk, "graph_beam_sweep": graph_beam_sweep,
     "one_recall": one_recall, "one_recall_token_hit": one_recall_token_hit, "recall_labelled": recall_labelled, "recall_pivot": recall_pivot,
     "regret": regret, "candidate_overlap": candidate_overlap, "collision_rate": collision_rate, "cell_purity": cell_purity,
     "floats_scanned": floats_scanned, "error_by_width": error_by_width, "recall_by_width": recall_by_width, "pareto_front": pareto_front,
@@ -616,7 +756,10 @@ QUERIES = {
     "text_exact_topk": text_exact_topk, "text_pq_retrieval": text_pq_retrieval, "filtered_retrieval": filtered_retrieval, "text_recall": text_recall,
     "filtered_documents": filtered_documents, "unseen_documents": unseen_documents, "asof_event": asof_event, "interval_events": interval_events,
     "range_window_events": range_window_events, "session_bags": session_bags, "corpus_cube": corpus_cube,
-    "order_basket_similarity": order_basket_similarity,
+    "order_basket_similarity": order_basket_similarity, "corpus_rollup": corpus_rollup, "corpus_grouping_sets": corpus_grouping_sets,
+    "event_places": event_places, "event_statistics": event_statistics, "event_distinct": event_distinct, "event_props": event_props,
+    "viewers_except_buyers": viewers_except_buyers, "brand_distances": brand_distances, "lateral_topk": lateral_topk, "udtf_topk": udtf_topk,
+    "query_sums_by_maps": query_sums_by_maps,
     "stream_encode": partial(ingest.stream_encode_query, params=FIXED), "stream_window_bags": ingest.stream_window_query,
     "stream_sliding_bags": ingest.stream_sliding_query, "stream_sessions": ingest.stream_session_query,
     "stream_purchases": ingest.stream_purchase_query, "stream_distinct": ingest.stream_distinct_query, "cogrouped_rerank": cogrouped_rerank,
