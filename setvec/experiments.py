@@ -18,7 +18,7 @@ from pyspark.sql import functions as F
 
 from setvec import workloads as WL
 from setvec.functions import text as T
-from setvec.functions import vectors
+from setvec.functions import seeds, vectors
 from setvec.operators import approx, baselines, carve, encode, graph, kernels, metrics, search
 from setvec.plans.params import EncodeParams, frontier
 from setvec.plans.retriever import Retriever
@@ -34,10 +34,9 @@ def _all(rows: list[DataFrame]) -> DataFrame:
 
 
 def _timed(df: DataFrame) -> tuple[DataFrame, float]:
-    """The result, kept, and the seconds it took."""
+    """The result, written, and the seconds that took."""
     t = time.perf_counter()
-    df = df.persist()
-    df.count()
+    df = store.stored(df, "timed")
     return df, time.perf_counter() - t
 
 
@@ -123,24 +122,41 @@ def _winners(corpus: Corpus) -> DataFrame:
 # --- width, partition, final map, seeds -----------------------------------------------------------------------------
 
 
+GRID_BITS, GRID_PROJ, GRID_REPS = (2, 3, 4, 5, 6), (8, 16, 32, 64), (1, 5, 10, 15, 20)
+
+
+def _share(near: DataFrame, truth: DataFrame, key: list[str], cuts: list[int], owners: bool = False) -> DataFrame:
+    """key, n, recall: the mean share of a query's documents that are among its first ``n`` chunks."""
+    if owners:
+        near = near.withColumn("doc_id", F.expr("doc_id div 10000000"))
+    first = near.groupBy("query_id", "doc_id", *key).agg(F.min("rank").alias("rank")).join(F.broadcast(truth), ["query_id", "doc_id"])
+    wanted = truth.groupBy("query_id").agg(F.count("*").alias("wanted"))
+    per = first.join(F.broadcast(wanted), "query_id").groupBy(*key).agg(*[F.sum(F.when(F.col("rank") <= n, 1 / F.col("wanted")).otherwise(0.0)).alias(f"r{n}") for n in cuts])
+    curve = F.explode(F.array(*[F.struct(F.lit(n).alias("n"), F.col(f"r{n}").alias("hit")) for n in cuts])).alias("x")
+    return per.select(*key, curve).join(F.broadcast(wanted.agg(F.count("*").alias("queries"))), F.lit(True)).select(*key, "x.n", (F.col("x.hit") / F.col("queries")).alias("recall"))
+
+
+def _grid(spark: SparkSession, corpus: Corpus, truth: DataFrame, k: int, cuts: list[int], owners: bool, centers: dict[int, np.ndarray] | None = None) -> DataFrame:
+    """cells, proj, reps, width, n, recall for all hundred settings. The lists are kept, as the measure reads them again."""
+    near = search.mips_grid(corpus.queries, corpus.docs, k, EncodeParams(DIM, 6, DIM, 20), GRID_BITS, GRID_PROJ, GRID_REPS, corpus.kind, centers)
+    key = ["cells", "proj", "reps"]
+    near = store.stored(near.select("query_id", *key, "rank", "doc_id"), "grid")
+    every = spark.createDataFrame([(1 << b, p, r) for b in GRID_BITS for p in GRID_PROJ for r in GRID_REPS], "cells int, proj int, reps int")
+    got = every.crossJoin(spark.createDataFrame([(n,) for n in cuts], "n int")).join(_share(near, truth, key, cuts, owners), [*key, "n"], "left")
+    return got.select(*key, (F.col("cells") * F.col("proj") * F.col("reps")).alias("width"), "n", F.coalesce("recall", F.lit(0.0)).alias("recall"))
+
+
+def _first_winners(corpus: Corpus) -> DataFrame:
+    """One exact winner for each query, that of the smallest id."""
+    return _winners(corpus).groupBy("query_id").agg(F.min("doc_id").alias("doc_id")).persist()
+
+
 def grid_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """1Recall for all hundred settings of repetitions, bits and projected numbers. Repetitions are prefixes of one
-    encoding, so a scan serves five settings: reps, bits, proj, width, n, recall."""
+    """1Recall of planted queries for all hundred settings of repetitions, bits and projected numbers: reps, bits, proj,
+    width, n, recall. Planted queries have no ties."""
     corpus = vector_bags(spark, sf_dir).kept()
-    win, reps = _winners(corpus), (1, 5, 10, 15, 20)
-    rows = []
-    for bits in (2, 3, 4, 5, 6):
-        for proj in (8, 16, 32, 64):
-            params = EncodeParams(DIM, bits, proj, max(reps))
-            near = search.mips_prefix(*_encoded(corpus, params), 10, params, reps)
-            rows.append(near.select("query_id", "doc_id", "rank", "reps", F.lit(bits).alias("bits"), F.lit(proj).alias("proj")))
-    near, key = _all(rows), ["reps", "bits", "proj"]
-    total = win.select("query_id").distinct().agg(F.count("*").alias("total"))
-    best = near.join(F.broadcast(win), ["query_id", "doc_id"]).groupBy("query_id", *key).agg(F.min("rank").alias("rank"))
-    found = best.groupBy(*key).agg(*[F.count_if(F.col("rank") <= n).alias(f"r{n}") for n in WL.CUTS])
-    curve = F.explode(F.array(*[F.struct(F.lit(n).alias("n"), F.col(f"r{n}").alias("hit")) for n in WL.CUTS])).alias("x")
-    width = (F.col("reps") * F.pow(F.lit(2.0), "bits") * F.col("proj")).cast("int").alias("width")
-    return found.select(*key, width, curve).join(total, F.lit(True)).select(*key, "width", "x.n", (F.col("x.hit") / F.col("total")).alias("recall"))
+    rows = _grid(spark, corpus, _first_winners(corpus), 10, WL.CUTS, False)
+    return rows.select("reps", F.log2("cells").cast("int").alias("bits"), "proj", "width", "n", "recall")
 
 
 def grid_frontier(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -148,22 +164,56 @@ def grid_frontier(spark: SparkSession, sf_dir: str) -> DataFrame:
     return metrics.pareto(grid_recall(spark, sf_dir).where("n = 1"))
 
 
+def text_grid_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Labelled recall of items over chunks for the whole grid, and of exact scoring (width 0), the ceiling: reps, bits,
+    proj, width, n, recall."""
+    corpus = items_over_chunks(spark, sf_dir).kept()
+    truth = WL.containment_truth(spark, sf_dir).persist()
+    rows = _grid(spark, corpus, truth, 100, CUTS, True).select("reps", F.log2("cells").cast("int").alias("bits"), "proj", "width", "n", "recall")
+    exact = search.exact_maxsim_topk(corpus.queries, corpus.docs, 100, DIM, corpus.kind).withColumn("all", F.lit(0))
+    top = _share(exact, truth, ["all"], CUTS, True).select(*[F.lit(0).alias(c) for c in ("reps", "bits", "proj", "width")], "n", "recall")
+    return rows.unionByName(top)
+
+
+def text_grid_frontier(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Settings on the frontier of labelled recall at n = 10."""
+    return metrics.pareto(text_grid_recall(spark, sf_dir).where("n = 10 and width > 0"))
+
+
+def _word_points(corpus: Corpus, most: int) -> np.ndarray:
+    """Distinct vectors of a hash sample of at most 256 bags, at most ``most`` of them in an order drawn from the seed."""
+    rows = approx.hash_sample(corpus.docs, 256, purpose="center").orderBy("bag_id").limit(256).collect()
+    points = np.unique(np.concatenate([vectors.unpack_one(bytes(r["vecs"]), DIM, corpus.kind) for r in rows]).astype(np.float32), axis=0)
+    return points[seeds.generator("center", 42).permutation(len(points))[:most]]
+
+
+def _centers(points: np.ndarray, rounds: int) -> dict[int, np.ndarray]:
+    """Centres of 20 repetitions by number of cells, trained for ``rounds`` (0: drawn only)."""
+    out = {}
+    for b in GRID_BITS:
+        drawn = [points[seeds.generator("center", 42, r).permutation(len(points))[: 1 << b]] for r in range(max(GRID_REPS))]
+        drawn = [np.concatenate([x, np.repeat(x[:1], (1 << b) - len(x), 0)]) for x in drawn]
+        out[1 << b] = np.stack([kernels.lloyd(points, x, rounds) if rounds else x for x in drawn]).astype(np.float32)
+    return out
+
+
 def partition_comparison(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Sign cells against k-means and random centres at equal numbers of cells: partition, cells, width, n, recall."""
+    """Sign cells against k-means and random centres over the whole grid, planted queries: partition, cells, proj, reps,
+    width, n, recall."""
     corpus = vector_bags(spark, sf_dir).kept()
-    win, rows = _winners(corpus), []
-    tokens = tables.fixed_tokens(tables.vector_tokens(spark, sf_dir)).persist()
-    for bits in (2, 3, 4, 5, 6):
-        cells = 1 << bits
-        picked = [WL.hash_centers(tokens, cells, 42 + r).astype(np.float32) for r in range(10)]
-        bounded = WL.hash_centers(tokens, 64 * cells, 7).astype(np.float32)
-        trained = np.stack([kernels.lloyd(bounded, x, 10) for x in picked])
-        for name, centers in (("sign", None), ("random", np.stack(picked)), ("kmeans", trained)):
-            params = EncodeParams(DIM, bits, 16, 10, partition="sign" if centers is None else "center", n_centers=0 if centers is None else cells)
-            near = search.mips_dense(*_encoded(corpus, params, centers), 10, params)
-            one = metrics.one_recall_at(near, win, WL.CUTS)
-            rows.append(one.select(F.lit(name).alias("partition"), F.lit(cells).alias("cells"), F.lit(params.width).alias("width"), "n", "recall"))
-    return _all(rows)
+    win = _first_winners(corpus)
+    points = _word_points(corpus, 4096)
+    # Whole-number vectors are compared as floats of the same scale.
+    ways = {"sign": None, "random": _centers(points, 0), "kmeans": _centers(points, 10)}
+    return _all([_grid(spark, corpus, win, 10, WL.CUTS, False, c).withColumn("partition", F.lit(name)) for name, c in ways.items()])
+
+
+def text_partition_grid(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same for items over chunks by labelled recall, sign cells against k-means."""
+    corpus = items_over_chunks(spark, sf_dir).kept()
+    truth = WL.containment_truth(spark, sf_dir).persist()
+    ways = {"sign": None, "kmeans": _centers(_word_points(corpus, 4096), 5)}
+    return _all([_grid(spark, corpus, truth, 100, CUTS, True, c).withColumn("partition", F.lit(name)) for name, c in ways.items()])
 
 
 def final_map_gain(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -233,16 +283,34 @@ def text_one_recall(spark: SparkSession, sf_dir: str) -> DataFrame:
     return _all(rows)
 
 
-def text_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Candidates for a recall on items over chunks: way, n, recall for encodings with a last map to 4,096 and the
-    per-token baseline with and without repeats."""
-    corpus = items_over_chunks(spark, sf_dir).kept()
-    win, cuts = _winners(corpus), [1, 5, 10, 20, 40, 60, 80, 100, 200, 300]
-    params = EncodeParams(DIM, 4, DIM, 8, final_dim=4096)
-    ways = {"encodings": search.mips_dense(*_encoded(corpus, params), max(cuts), params)}
-    hits = baselines.token_hits(corpus.queries, corpus.docs, 60, DIM, corpus.kind).persist()
+#: The setting that is compared with the per-token baseline before its last map.
+MAPPED = EncodeParams(DIM, 6, DIM, 40)
+CANDIDATE_CUTS = [1, 5, 10, 20, 40, 60, 80, 100, 150, 200, 300, 600, 1200]
+
+
+def _candidates(corpus: Corpus, widths: tuple[int, ...]) -> DataFrame:
+    """way, n, recall of the exact winners: encodings of 40 repetitions, 64 cells and no inner projection, mapped to each
+    width, and the per-token lists with and without repeats."""
+    win, most = _winners(corpus), max(CANDIDATE_CUTS)
+    ways = {f"encodings_{w}": search.mips_dense(*_encoded(corpus, MAPPED.with_(final_dim=w)), most, MAPPED.with_(final_dim=w)) for w in widths}
+    hits = baselines.token_hits(corpus.queries, corpus.docs, 100, DIM, corpus.kind).persist()
     ways["token_hit_raw"], ways["token_hit_dedup"] = baselines.token_hit_list(hits), baselines.token_hit_list(hits, True)
-    return _all([metrics.one_recall_at(r, win, cuts).withColumn("way", F.lit(w)) for w, r in ways.items()])
+    return _all([metrics.one_recall_at(r, win, CANDIDATE_CUTS).withColumn("way", F.lit(w)) for w, r in ways.items()])
+
+
+def text_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Candidates for a recall on items over chunks, width 4,096."""
+    return _candidates(items_over_chunks(spark, sf_dir).kept(), (4096,))
+
+
+def text_candidates_wide(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The same at width 10,240."""
+    return _candidates(items_over_chunks(spark, sf_dir).kept(), (10240,))
+
+
+def vector_candidates(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """Both widths for planted queries over bags of embeddings."""
+    return _candidates(vector_bags(spark, sf_dir).kept(), (4096, 10240))
 
 
 def text_floats_scanned(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -256,30 +324,33 @@ def text_floats_scanned(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def carve_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Trigram word vectors re-ranked with merged queries: tau, n, recall of the exact ten best, groups, fewer."""
+    """Trigram word vectors re-ranked with merged queries: tau, n, recall of the exact n best for n of 10, 100 and 1,000,
+    groups, fewer. Twice as many candidates as the longest list are re-scored."""
     corpus = items_over_chunks(spark, sf_dir, form="trigram").kept()
-    truth = search.exact_maxsim_topk(corpus.queries, corpus.docs, 10, DIM).select("query_id", "doc_id").persist()
+    most = 1000
+    truth = search.exact_maxsim_topk(corpus.queries, corpus.docs, most, DIM).persist()
     params = frontier(2560, DIM)
-    near = search.mips_dense(*_encoded(corpus, params), 100, params).persist()
+    near = store.stored(search.mips_dense(*_encoded(corpus, params), 2 * most, params), "near")
 
     def run(tau: float) -> DataFrame:
-        found = search.rerank(near, corpus.queries, corpus.docs, 10, DIM, corpus.kind, tau)
+        found = search.rerank(near, corpus.queries, corpus.docs, most, DIM, corpus.kind, tau).persist()
         stats = metrics.carve_stats(carve.carve_bags(corpus.queries, tau, DIM))
-        return metrics.recall_at(found, truth, [1, 10]).join(stats, F.lit(True))
+        cuts = [metrics.recall_at(found, truth.where(F.col("rank") <= n).select("query_id", "doc_id"), [n]) for n in (10, 100, most)]
+        return _all(cuts).join(stats, F.lit(True))
 
     return metrics.sweep(run, [0.3, 0.4, 0.5, 0.6, 0.7, 0.8, 0.9, 1.1])
 
 
 def carve_throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Queries per second of re-ranking, in one task a query and spread, with and without merging: mode, tau, qps."""
+    """Queries per second of re-ranking a thousand candidates, a query's in one task or spread over tasks, with and without
+    merging: mode, tau, qps (best of three runs)."""
     corpus = items_over_chunks(spark, sf_dir, form="trigram").kept()
     params = frontier(2560, DIM)
-    near = search.mips_dense(*_encoded(corpus, params), 100, params).persist()
-    n, rows = corpus.queries.count(), []
-    near.count()
+    near = store.stored(search.mips_dense(*_encoded(corpus, params), 1000, params), "near")
+    n, rows = corpus.queries.count() + 0 * corpus.docs.count(), []
     for mode in ("per_query", "spread"):
         for tau in (None, 0.7):
-            _, took = _timed(search.rerank(near, corpus.queries, corpus.docs, 10, DIM, corpus.kind, tau, mode))
+            took = min(_timed(search.rerank(near, corpus.queries, corpus.docs, 10, DIM, corpus.kind, tau, mode))[1] for _ in range(3))
             rows.append((mode, tau, n / took))
     return spark.createDataFrame(rows, "mode string, tau double, qps double")
 
@@ -287,90 +358,160 @@ def carve_throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- codes ----------------------------------------------------------------------------------------------------------
 
 
+SCHEMES = ((256, 8), (256, 4), (256, 16), (16, 4), (16, 8))
+
+
 def code_schemes(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Recall of the exact winner, size and speed by code scheme, and without codes: scheme, codes, run, bytes, ratio, qps,
-    n, recall."""
+    """Recall of the exact winner, its loss against whole encodings, size and speed by code scheme at width 10,240, over
+    stored tables: scheme, codes, run, bytes, ratio, qps, n, recall, loss."""
     corpus = items_over_chunks(spark, sf_dir).kept()
-    win, params = _winners(corpus), frontier(1280, DIM)
-    q, d = (x.persist() for x in _encoded(corpus, params))
-    n = q.count() + 0 * d.count()
-    rows = []
+    win, params = _winners(corpus), frontier(10240, DIM)
+    q, d = (store.stored(x, "encodings") for x in _encoded(corpus, params))
+    n = q.count()
+    chosen = approx.hash_sample(d, 2000, n=corpus.docs.count()).persist()
+    rows: list[DataFrame] = []
 
-    def add(scheme: str, codes: int, run: int, size: int, df: DataFrame) -> None:
+    def add(scheme: str, codes: int, run: int, size: int, df: DataFrame) -> DataFrame:
         found, took = _timed(df)
         head = [F.lit(scheme).alias("scheme"), F.lit(codes).alias("codes"), F.lit(run).alias("run"), F.lit(size).alias("bytes"), F.lit(4 * params.width / size).alias("ratio"), F.lit(n / took).alias("qps")]
-        rows.append(metrics.one_recall_at(found, win, CUTS).select(*head, "n", "recall"))
-
-    add("dense", 0, 0, 4 * params.width, search.mips_dense(q, d, 100, params))
-    for codes in (16, 256):
-        for run in (4, 8, 16):
-            book = approx.pq_train(d, params.width, codes, run, sample=4000)
-            stored = approx.pq_encode(d, book).persist()
-            stored.count()
-            add(f"pq_{codes}_{run}", codes, run, book.code_bytes, approx.pq_search(q, stored, book, 100))
+        curve = metrics.one_recall_at(found, win, CUTS).persist()
+        loss = metrics.delta(whole if rows else curve, curve)
+        rows.append(curve.join(loss, "n").select(*head, "n", "recall", "loss"))
+        return curve
+
+    whole = None
+    whole = add("dense", 0, 0, 4 * params.width, search.mips_dense(q, d, 100, params))
+    for codes, run in SCHEMES:
+        book = approx.pq_train(chosen, params.width, codes, run, n=0)
+        coded = store.stored(approx.pq_encode(d, book), "codes")
+        add(f"pq_{codes}_{run}", codes, run, book.code_bytes, approx.pq_search(q, coded, book, 100))
+    return _all(rows)
+
+
+#: Graphs of the sweeps: degree and build beam, and the beams of a search.
+GRAPH, BEAMS = (32, 64), (16, 32, 64, 128, 256, 512)
+
+
+def graph_code_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The evaluated search by its one knob: graphs built on whole encodings of width 10,240, walked on codes of each
+    scheme and on the encodings themselves. scheme, beam, recall10, recall100 (of the dense scan's lists), distances a
+    query, qps."""
+    corpus = items_over_chunks(spark, sf_dir).kept()
+    params = frontier(10240, DIM)
+    q, d = (store.stored(x, "encodings") for x in _encoded(corpus, params))
+    n, size = q.count(), corpus.docs.count()
+    exact = store.stored(search.mips_dense(q, d, 100, params), "dense")
+    shards = max(spark.sparkContext.defaultParallelism, graph.shard_count(size, params.width))
+    built = store.stored(graph.graph_build(d, shards, *GRAPH), "graph", "shard")
+    chosen = approx.hash_sample(d, 2000, n=size).persist()
+    ways: list[tuple[str, approx.Codebook | None, DataFrame]] = [("whole", None, built)]
+    for codes, run in SCHEMES[:3]:
+        book = approx.pq_train(chosen, params.width, codes, run, n=0)
+        ways.append((f"pq_{codes}_{run}", book, store.stored(graph.graph_code(built, book), "graph", "shard")))
+    rows = []
+    for name, book, own in ways:
+        for beam in BEAMS:
+            found, cost = graph.graph_search(q, own, 100, beam, book=book)
+            kept, took = _timed(found)
+            recall = [metrics.recall_at(kept, exact.where(F.col("rank") <= c).select("query_id", "doc_id"), [c]).select(F.col("recall").alias(f"recall{c}")) for c in (10, 100)]
+            dist = cost.groupBy("query_id").agg(F.sum("n_dist").alias("d")).agg(F.avg("d").alias("n_dist"))
+            one = recall[0].join(recall[1], F.lit(True)).join(dist, F.lit(True))
+            rows.append(one.select(F.lit(name).alias("scheme"), F.lit(max(100, beam)).alias("beam"), "recall10", "recall100", "n_dist", F.lit(n / took).alias("qps")))
     return _all(rows)
 
 
 # --- end to end -----------------------------------------------------------------------------------------------------
 
 
-def _ours(corpus: Corpus, k: int, candidates: int, width: int = 2560) -> DataFrame:
-    way = Retriever(frontier(width, DIM), "pq", corpus.kind).fit(corpus.docs)
-    return way.search(corpus.queries, k, candidates, tau=0.7 if corpus.kind == "float" else None)
+def _ours(corpus: Corpus, k: int, candidates: int, index: str = "pq", beam: int | None = None) -> Callable[[], DataFrame]:
+    """A search at the one published setting: width 10,240, codes of 256 centres for 8 numbers, close query vectors merged
+    from 0.7 on. The index is built and stored before; what is called is the search alone."""
+    way = Retriever(frontier(10240, DIM), index, corpus.kind, sample=2000, degree=GRAPH[0], build_beam=GRAPH[1]).fit(corpus.docs)
+    tau = round(0.7 * (1 << 40)) if corpus.kind == "fixed" else 0.7
+    return lambda: way.search(corpus.queries, k, candidates, beam, tau)
 
 
-def _staged(corpus: Corpus, k: int, candidates: int, n_centers: int = 256) -> DataFrame:
-    """Centroids come from a hash sample of at most 4,096 bags' first vectors."""
-    rows = approx.hash_sample(corpus.docs, 4096).orderBy(F.xxhash64("bag_id"), "bag_id").limit(4096).collect()
-    points = np.concatenate([vectors.unpack_one(bytes(r["vecs"]), DIM, corpus.kind)[:8] for r in rows])
-    points = np.unique(points.astype(np.float32), axis=0)
+def _staged(corpus: Corpus, k: int, candidates: int, n_centers: int = 256) -> Callable[[], DataFrame]:
+    """The staged engine with its index stored before: tags, and lists partitioned by centroid. Centroids come from all
+    vectors of a hash sample of at most 1,024 bags."""
+    rows = approx.hash_sample(corpus.docs, 1024).orderBy(F.xxhash64("bag_id"), "bag_id").limit(1024).collect()
+    points = np.unique(np.concatenate([vectors.unpack_one(bytes(r["vecs"]), DIM, corpus.kind) for r in rows]).astype(np.float32), axis=0)
     start = points[np.random.default_rng(42).permutation(len(points))[:n_centers]]
     centers = kernels.lloyd(points, start, 5)
     if corpus.kind == "fixed":
         centers = np.rint(centers).astype(np.int64)
-    tagged = baselines.tag_centroids(corpus.docs, centers, DIM, corpus.kind)
-    return baselines.staged_prune(corpus.queries, tagged, centers, k, DIM, 16, 4 * candidates, None, corpus.kind)
+    tagged = store.stored(baselines.tag_centroids(corpus.docs, centers, DIM, corpus.kind), "tagged")
+    lists = store.stored(baselines.postings(tagged), "postings", "centroid")
+    return lambda: baselines.staged_prune(corpus.queries, tagged, centers, k, DIM, 16, 4 * candidates, None, corpus.kind, lists)
 
 
 def compared_over_corpora(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Our whole way and the staged engine with one setting on every corpus: corpus, way, k, recall of the exact k best,
-    milliseconds a query."""
+    """Our whole way and the staged engine with one setting on every corpus, both over stored indexes: corpus, way, k,
+    recall of the exact k best for k of 100 and 1,000 (all, where a corpus has fewer), milliseconds a query."""
     rows = []
     for name, make in CORPORA.items():
-        corpus = make(spark, sf_dir).kept()
-        n = corpus.queries.count() + 0 * corpus.docs.count()
+        corpus = make(spark, sf_dir)
+        corpus = Corpus(store.stored(corpus.queries, "queries"), store.stored(corpus.docs, "bags"), corpus.kind)
+        n = corpus.queries.count()
         if not n:
             continue
-        truth = search.exact_maxsim_topk(corpus.queries, corpus.docs, 100, DIM, corpus.kind).persist()
-        ours, ours_took = _timed(_ours(corpus, 100, 100))
-        base, base_took = _timed(_staged(corpus, 100, 100))
-        for k in (10, 100):
+        truth = store.stored(search.exact_maxsim_topk(corpus.queries, corpus.docs, 1000, DIM, corpus.kind), "truth")
+        for k in (100, 1000):
             wanted = truth.where(F.col("rank") <= k).select("query_id", "doc_id")
-            for way, found, took in (("encodings", ours, ours_took), ("staged", base, base_took)):
-                one = metrics.recall_at(found, wanted, [k])
-                rows.append(one.select(F.lit(name).alias("corpus"), F.lit(way).alias("way"), F.col("n").alias("k"), "recall", F.lit(1000 * took / n).alias("ms")))
+            for way, make_search in (("encodings", _ours(corpus, k, 2 * k)), ("staged", _staged(corpus, k, 2 * k))):
+                found, took = _timed(make_search())
+                rows.append(metrics.recall_at(found, wanted, [k]).select(F.lit(name).alias("corpus"), F.lit(way).alias("way"), F.lit(k).alias("k"), "recall", F.lit(1000 * took / n).alias("ms")))
     return _all(rows)
 
 
 def comparison_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """Mean and largest ratio over corpora of recall and of time, ours to the staged engine's, for the ten best."""
-    rows = compared_over_corpora(spark, sf_dir).where("k = 10").persist()
+    """Mean and largest ratio over corpora of recall and of time, ours to the staged engine's, for the hundred best."""
+    rows = store.stored(compared_over_corpora(spark, sf_dir).where("k = 100"), "compared")
     ours, base = rows.where("way = 'encodings'"), rows.where("way = 'staged'")
     return _all([metrics.compare(ours, base, m).withColumn("measure", F.lit(m)) for m in ("recall", "ms")])
 
 
+def evaluated_way(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """The evaluated system on items over chunks of trigram vectors: walks over graphs on codes, merged queries re-scored.
+    beam, k, recall of the exact k best, milliseconds a query; the staged engine's rows have beam 0."""
+    corpus = items_over_chunks(spark, sf_dir, form="trigram")
+    corpus = Corpus(store.stored(corpus.queries, "queries"), store.stored(corpus.docs, "bags"), corpus.kind)
+    n, k, rows = corpus.queries.count(), 100, []
+    truth = store.stored(search.exact_maxsim_topk(corpus.queries, corpus.docs, k, DIM).select("query_id", "doc_id"), "truth")
+    way = Retriever(frontier(10240, DIM), "graph_pq", sample=2000, shards=spark.sparkContext.defaultParallelism, degree=GRAPH[0], build_beam=GRAPH[1]).fit(corpus.docs)
+    runs = [(b, lambda b=b: way.search(corpus.queries, k, b, b, 0.7)) for b in BEAMS if b >= k] + [(0, _staged(corpus, k, 2 * k))]
+    for beam, run in runs:
+        found, took = _timed(run())
+        rows.append(metrics.recall_at(found, truth, [k]).select(F.lit(beam).alias("beam"), F.col("n").alias("k"), "recall", F.lit(1000 * took / n).alias("ms")))
+    return _all(rows)
+
+
 def latency_bars(spark: SparkSession, sf_dir: str) -> DataFrame:
-    """One query at a time through the whole way: milliseconds, a job's own cost included."""
-    corpus = vector_bags(spark, sf_dir).kept()
-    params = frontier(2560, DIM)
-    way = Retriever(params, "dense", corpus.kind).fit(corpus.docs)
-    way.stored = way.stored.persist()
-    way.stored.count()
-    ids = [r[0] for r in corpus.queries.select("bag_id").orderBy("bag_id").limit(10).collect()]
-    one = lambda i: way.search(corpus.queries.where(F.col("bag_id") == i), 10, 50, tau=None).collect()
+    """Every item over chunks, one at a time through the whole way over a stored index of codes: milliseconds, a Spark
+    job's own cost included."""
+    corpus = items_over_chunks(spark, sf_dir)
+    corpus = Corpus(store.stored(corpus.queries, "queries"), store.stored(corpus.docs, "bags"), corpus.kind)
+    way = Retriever(frontier(10240, DIM), "pq", corpus.kind, sample=2000).fit(corpus.docs)
+    ids = [r[0] for r in corpus.queries.select("bag_id").orderBy("bag_id").collect()]
+    one = lambda i: way.search(corpus.queries.where(F.col("bag_id") == i), 10, 100, tau=0.7).collect()
     one(ids[0])
     got = metrics.latency(one, ids)
-    return spark.createDataFrame([tuple(got.values())], ", ".join(f"{k} double" for k in got))
+    return spark.createDataFrame([(len(ids), *got.values())], "queries int, " + ", ".join(f"{k} double" for k in got))
+
+
+def throughput(spark: SparkSession, sf_dir: str) -> DataFrame:
+    """All items as one batch through the same stored index, by number of candidates: candidates, qps, recall100 of the
+    exact hundred best."""
+    corpus = items_over_chunks(spark, sf_dir)
+    corpus = Corpus(store.stored(corpus.queries, "queries"), store.stored(corpus.docs, "bags"), corpus.kind)
+    way = Retriever(frontier(10240, DIM), "pq", corpus.kind, sample=2000).fit(corpus.docs)
+    truth = store.stored(search.exact_maxsim_topk(corpus.queries, corpus.docs, 100, DIM, corpus.kind).select("query_id", "doc_id"), "truth")
+    n, rows = corpus.queries.count(), []
+    for candidates in (100, 200, 500, 1000):
+        out: list[DataFrame] = []
+        speed = metrics.qps(lambda c=candidates, out=out: out.append(store.stored(way.search(corpus.queries, 100, c, tau=0.7), "found")), n)
+        rows.append(metrics.recall_at(out[0], truth, [100]).select(F.lit(candidates).alias("candidates"), F.lit(speed).alias("qps"), F.col("recall").alias("recall100")))
+    return _all(rows)
 
 
 def probe_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
@@ -435,7 +576,8 @@ def new_owner_curve(spark: SparkSession, sf_dir: str) -> DataFrame:
 QUERIES = {
     f.__name__: f
     for f in (
-        grid_recall, grid_frontier, partition_comparison, final_map_gain, seed_spread, bag_size_effect, heldout_one_recall, text_one_recall,
+        grid_recall, grid_frontier, text_grid_recall, text_grid_frontier, text_partition_grid, text_candidates_wide, vector_candidates, graph_code_sweep,
+        evaluated_way, throughput, partition_comparison, final_map_gain, seed_spread, bag_size_effect, heldout_one_recall, text_one_recall,
         text_candidates, text_floats_scanned, carve_sweep, carve_throughput, code_schemes, compared_over_corpora, comparison_ratios,
         latency_bars, probe_sweep, progressive_sweep, near_copies, rank_fusion, new_owner_curve,
     )

@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 
 from setvec.functions import seeds, vectors
 from setvec.operators import kernels
-from setvec.plans.params import EncodeParams
+from setvec.plans.params import BUILT_IN, EncodeParams
 
 ENCODED = "bag_id bigint, enc binary"
 
@@ -25,7 +25,13 @@ def kind_of(params: EncodeParams) -> str:
 
 
 def _encoder(params: EncodeParams, side: str, kind: str, centers: np.ndarray | None):
+    if params.partition not in BUILT_IN and params.partition not in kernels.PARTITIONS:
+        raise ValueError(f"no partition named {params.partition!r}")
+    own = kernels.PARTITIONS.get(params.partition)
+
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        if own is not None:
+            kernels.register_partition(params.partition, own)
         for batch in batches:
             # A batch of encodings is cut so that it stays near 32 MB.
             step = max(1, (1 << 22) // params.width)

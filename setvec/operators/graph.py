@@ -22,6 +22,8 @@ from setvec.sources.store import bounded_bytes
 
 #: Bytes of uncompressed encodings that one shard is built on, in one task.
 SHARD_BYTES = 256 << 20
+#: Bytes of a shard's table of distances, beyond which they are worked out as they are needed.
+TABLE_BYTES = 512 << 20
 _SHARD = pa.schema(
     [("shard", pa.int32()), ("n", pa.int32()), ("entry", pa.int32()), ("ids", pa.binary()), ("links", pa.binary()), ("points", pa.binary())]
 )
@@ -63,21 +65,42 @@ def walk(far: Callable[[np.ndarray], np.ndarray], links: np.ndarray, entry: int,
     return ids[order], cost[order], len(nodes)
 
 
-def _pruned(points: np.ndarray, node: int, pool: np.ndarray, degree: int, alpha: float) -> np.ndarray:
+class Distances:
+    """Squared distances between the rows of an array: all at once from one product where they fit ``TABLE_BYTES``, else
+    worked out for the rows that are asked for."""
+
+    def __init__(self, points: np.ndarray):
+        self.points, self.square = points, (points.astype(np.float64) ** 2).sum(1)
+        self.all = None
+        if len(points) ** 2 * 4 <= TABLE_BYTES:
+            self.all = np.maximum(0, self.square[:, None] + self.square - 2.0 * (points @ points.T)).astype(np.float32)
+
+    def of(self, node: int, rows: np.ndarray) -> np.ndarray:
+        if self.all is not None:
+            return self.all[node, rows]
+        return np.maximum(0, self.square[rows] + self.square[node] - 2.0 * (self.points[rows] @ self.points[node])).astype(np.float32)
+
+    def among(self, rows: np.ndarray) -> np.ndarray:
+        if self.all is not None:
+            return self.all[np.ix_(rows, rows)]
+        own = self.points[rows]
+        return np.maximum(0, self.square[rows][:, None] + self.square[rows] - 2.0 * (own @ own.T)).astype(np.float32)
+
+
+def _pruned(near: Distances, node: int, pool: np.ndarray, degree: int, alpha: float) -> np.ndarray:
     """Neighbours in order of distance, each kept unless one kept before lies much closer to it than the node does."""
     pool = np.unique(pool[(pool != node) & (pool >= 0)])
-    far = ((points[pool] - points[node]) ** 2).sum(1)
+    far = near.of(node, pool)
     order = np.lexsort((pool, far))
     pool, far = pool[order], far[order]
+    between = alpha * near.among(pool)
     alive, kept = np.ones(len(pool), bool), []
     for i in range(len(pool)):
-        if not alive[i]:
-            continue
-        kept.append(pool[i])
-        if len(kept) == degree:
-            break
-        between = ((points[pool] - points[pool[i]]) ** 2).sum(1)
-        alive &= alpha * between > far
+        if alive[i]:
+            kept.append(pool[i])
+            if len(kept) == degree:
+                break
+            alive &= between[i] > far
     return np.array(kept, np.int64)
 
 
@@ -119,6 +142,7 @@ def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed:
         raise ValueError("degree is at least 2")
     square = (points**2).sum(1)
     full = np.concatenate([points, np.sqrt(np.maximum(0, square.max(initial=0) - square))[:, None]], 1)
+    near = Distances(full)
     rng = seeds.generator("shard", seed)
     links = np.full((n, degree), -1, np.int32)
     for i in range(n if n > 1 else 0):
@@ -127,8 +151,8 @@ def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed:
         links[i, : len(drawn)] = drawn
     entry = int(((full - full.mean(0)) ** 2).sum(1).argmin())
     for node in rng.permutation(n):
-        seen, _, _ = walk(lambda x, node=node: ((full[x] - full[node]) ** 2).sum(1), links, entry, beam)
-        kept = _pruned(full, node, np.concatenate([seen[: 2 * beam], links[node]]), degree, alpha)
+        seen, _, _ = walk(lambda x, node=node: near.of(node, x), links, entry, beam)
+        kept = _pruned(near, node, np.concatenate([seen[: 2 * beam], links[node]]), degree, alpha)
         links[node] = -1
         links[node, : len(kept)] = kept
         for other in kept.tolist():
@@ -139,7 +163,7 @@ def build_links(points: np.ndarray, degree: int, beam: int, alpha: float, seed:
             if len(room):
                 own[room[0]] = node
             else:
-                pool = _pruned(full, other, np.append(own, node), degree, alpha)
+                pool = _pruned(near, other, np.append(own, node), degree, alpha)
                 own[:] = -1
                 own[: len(pool)] = pool
     _reach_all(links, entry)

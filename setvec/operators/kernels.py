@@ -6,17 +6,42 @@ arrays are 64-bit whole numbers; otherwise 32-bit floats.
 
 from __future__ import annotations
 
+from collections.abc import Callable
 from functools import lru_cache
 
 import numpy as np
 
 from setvec.functions import seeds
-from setvec.plans.params import EncodeParams
+from setvec.plans.params import BUILT_IN, EncodeParams
 
 #: Numbers that a slice of bags may hold in its blocks at once.
 SLICE = 1 << 23
 
 
+#: Cells by name: (vectors, params) -> cell numbers (vectors, repetitions) below ``params.cells``. Sign cells and centres are
+#: built in; any locality-sensitive partition may be added by ``register_partition``.
+PARTITIONS: dict[str, Callable[[np.ndarray, EncodeParams], np.ndarray]] = {}
+
+
+def register_partition(name: str, cells: Callable[[np.ndarray, EncodeParams], np.ndarray]) -> None:
+    """Adds a partition of space; ``EncodeParams(partition=name, n_centers=...)`` gives its number of cells. Empty cells of
+    a document are filled by the vector whose cell number differs in the fewest bits, as with sign cells."""
+    if name in BUILT_IN:
+        raise ValueError(f"{name!r} is built in")
+    PARTITIONS[name] = cells
+
+
+def axis_cells(vecs: np.ndarray, params: EncodeParams) -> np.ndarray:
+    """Cells by the longest axis after a random rotation, and its sign: twice as many cells as axes."""
+    axes = params.n_centers // 2
+    out = []
+    for rep in range(params.reps):
+        turned = vecs @ seeds.generator("plane", params.seed, rep).standard_normal((axes, params.dim)).astype(vecs.dtype).T
+        top = np.abs(turned).argmax(1)
+        out.append(2 * top + (turned[np.arange(len(vecs)), top] > 0))
+    return np.stack(out, 1)
+
+
 def number_type(params: EncodeParams) -> type:
     return np.int64 if params.arithmetic == "fixed" else np.float32
 
@@ -34,6 +59,8 @@ def cells_of(vecs: np.ndarray, params: EncodeParams, centers: np.ndarray | None
         if centers is None:
             raise ValueError("a centre partition needs its centres")
         return np.stack([nearest_center(vecs, c) for c in centers], 1)
+    if params.partition not in BUILT_IN:
+        return PARTITIONS[params.partition](vecs, params)
     if not params.hash_bits:
         return np.zeros((len(vecs), params.reps), np.int64)
     planes = seeds.planes(params.seed, params.reps, params.hash_bits, params.dim, params.plane_law)
@@ -82,6 +109,20 @@ def _fill(total: np.ndarray, count: np.ndarray, vecs: np.ndarray, code: np.ndarr
     total[empty_bag, empty_cell] = vecs[first[empty_bag, cost.argmin(1)]]
 
 
+def rep_blocks(vecs: np.ndarray, code: np.ndarray, owner: np.ndarray, n: int, params: EncodeParams, centers: np.ndarray | None, document: bool) -> np.ndarray:
+    """Blocks (n, cells, dim) of one repetition before any projection: a query's sums, or a document's means with its empty
+    cells filled."""
+    total, count = _blocks(vecs, code, owner, n, params.cells)
+    if document:
+        if params.doc_block == "mean":
+            # A filled cell holds one vector; the divisor is never below 1.
+            divisor = np.maximum(1, count)[:, :, None]
+            total = np.floor(total / divisor).astype(np.int64) if params.arithmetic == "fixed" else total / divisor.astype(np.float32)
+        if params.fill:
+            _fill(total, count, vecs, code, owner, params, centers)
+    return total
+
+
 def _encode(vecs: np.ndarray, owner: np.ndarray, n: int, params: EncodeParams, centers: np.ndarray | None, document: bool) -> np.ndarray:
     fixed = params.arithmetic == "fixed"
     codes = cells_of(vecs, params, centers)
@@ -89,14 +130,7 @@ def _encode(vecs: np.ndarray, owner: np.ndarray, n: int, params: EncodeParams, c
     out = np.zeros((n, params.width), number_type(params))
     span = params.cells * params.proj_dim
     for rep in range(params.reps):
-        total, count = _blocks(vecs, codes[:, rep], owner, n, params.cells)
-        if document:
-            if params.doc_block == "mean":
-                # A filled cell holds one vector; the divisor is never below 1.
-                divisor = np.maximum(1, count)[:, :, None]
-                total = np.floor(total / divisor).astype(np.int64) if fixed else total / divisor.astype(np.float32)
-            if params.fill:
-                _fill(total, count, vecs, codes[:, rep], owner, params, None if centers is None else centers[rep])
+        total = rep_blocks(vecs, codes[:, rep], owner, n, params, None if centers is None else centers[rep], document)
         if signs is not None:
             total = total @ signs[rep].T
             if not fixed:
@@ -115,6 +149,9 @@ def encode(vecs: np.ndarray, owner: np.ndarray, n: int, params: EncodeParams, si
     blocks are means (or sums, as an ablation) and empty cells are filled if ``params.fill``."""
     if side not in ("query", "document"):
         raise ValueError("side is query or document")
+    if params.arithmetic == "float":
+        # Whole-number vectors meet planes of fractions as floats of their own scale.
+        vecs = vecs.astype(np.float32, copy=False)
     step = max(1, SLICE // (params.cells * params.dim))
     parts = []
     for a in range(0, n, step):
@@ -123,6 +160,9 @@ def encode(vecs: np.ndarray, owner: np.ndarray, n: int, params: EncodeParams, si
     return np.concatenate(parts) if parts else np.zeros((0, params.width), number_type(params))
 
 
+PARTITIONS["axis"] = axis_cells
+
+
 def maxsim(query: np.ndarray, vecs: np.ndarray, starts: np.ndarray, kind: str = "dot") -> np.ndarray:
     """MaxSim of one query bag with every document bag that isn't empty (``starts`` holds their first rows). The
     ``distance`` kind sums each query vector's least squared distance instead."""

@@ -7,6 +7,10 @@ import math
 from dataclasses import asdict, dataclass, replace
 
 
+#: Partitions of space that need no registration (``kernels.register_partition`` adds others).
+BUILT_IN = ("sign", "center")
+
+
 @dataclass(frozen=True)
 class EncodeParams:
     """A set encoding: ``reps`` independent partitions of space, each with ``cells`` blocks of ``proj_dim`` numbers.
@@ -29,8 +33,8 @@ class EncodeParams:
     doc_block: str = "mean"
 
     def __post_init__(self) -> None:
-        if self.partition not in ("sign", "center"):
-            raise ValueError(f"no partition named {self.partition!r}")
+        if self.partition != "sign" and self.n_centers < 1:
+            raise ValueError("a partition other than sign cells needs n_centers")
         if self.plane_law not in ("gaussian", "int12") or self.arithmetic not in ("float", "fixed"):
             raise ValueError("plane_law is gaussian or int12, arithmetic float or fixed")
         if self.arithmetic == "fixed" and self.plane_law != "int12":
@@ -39,12 +43,10 @@ class EncodeParams:
             raise ValueError("doc_block is mean or sum")
         if not 1 <= self.proj_dim <= self.dim or self.reps < 1 or not 0 <= self.hash_bits <= 16:
             raise ValueError("proj_dim lies in 1..dim, reps is at least 1, hash_bits in 0..16")
-        if self.partition == "center" and self.n_centers < 1:
-            raise ValueError("a centre partition needs n_centers")
 
     @property
     def cells(self) -> int:
-        return self.n_centers if self.partition == "center" else 1 << self.hash_bits
+        return 1 << self.hash_bits if self.partition == "sign" else self.n_centers
 
     @property
     def projected(self) -> bool:

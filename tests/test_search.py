@@ -205,6 +205,18 @@ def test_walk_is_bounded_by_its_beam():
     assert graph.walk(far, links, 0, 50)[2] == 50
 
 
+def test_distances_are_the_same_either_way(monkeypatch):
+    points = np.random.default_rng(3).normal(size=(60, 12)).astype(np.float32)
+    whole = graph.Distances(points)
+    links = graph.build_links(points, 6, 20, 1.2, 1)[0]
+    monkeypatch.setattr(graph, "TABLE_BYTES", 0)
+    asked = graph.Distances(points)
+    some = np.array([3, 9, 40])
+    assert asked.all is None and np.allclose(whole.of(5, some), asked.of(5, some), atol=1e-4) and np.allclose(whole.among(some), asked.among(some), atol=1e-4)
+    want = ((points[some] - points[5]) ** 2).sum(1)
+    assert np.allclose(asked.of(5, some), want, atol=1e-4) and (graph.build_links(points, 6, 20, 1.2, 1)[0] == links).mean() > 0.9
+
+
 def test_routed_graph(encoded):
     q, d = encoded
     centers = approx.ivf_centers(d, 4)
