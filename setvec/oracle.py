@@ -456,10 +456,22 @@ SQL: dict[str, str] = {
     "cogrouped_rerank": sql(("maxsim", "mips"), _RERANKED),
     "stream_window_bags": "SELECT user_id, epoch_us(date_trunc('day', ts)) AS day_us, count(*)::BIGINT AS n, sum(('0x' || substr(md5(event_type), 1, 2))::BIGINT)::BIGINT AS s FROM events GROUP BY ALL",
 }
-SQL["flagship"] = sql(
+
+
+def _documents_ranked(where: str = "true") -> str:
+    """Documents by their best chunk's exact score, the whole retrieval by brute force."""
+    return (
+        f"SELECT query_id, rank, doc_id, score FROM (SELECT query_id, doc_id, score, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id)::INT AS rank FROM (SELECT query_id, "
+        f"bag_id // 10000000 AS doc_id, max(score) AS score FROM text_scores GROUP BY ALL) WHERE {where}) WHERE rank <= {K}"
+    )
+
+
+SQL["flagship"] = sql(("text_scores",), _documents_ranked())
+SQL["filtered_retrieval"] = sql(("text_scores",), _documents_ranked("doc_id IN (SELECT doc_id FROM labels WHERE quality = 1 AND toxic = 0)"))
+SQL["text_recall"] = sql(
     ("text_scores",),
-    f"SELECT query_id, rank, doc_id, score FROM (SELECT query_id, doc_id, score, row_number() OVER (PARTITION BY query_id ORDER BY score DESC, doc_id)::INT AS rank FROM (SELECT query_id, bag_id // 10000000 AS doc_id, "
-    f"max(score) AS score FROM text_scores GROUP BY ALL)) WHERE rank <= {K}",
+    f"SELECT n, avg(share) AS recall FROM (SELECT t.query_id, c.n, avg(CASE WHEN r.rank <= c.n THEN 1.0::DOUBLE ELSE 0.0::DOUBLE END) AS share FROM ({SQL['containment_truth']}) t LEFT JOIN ({_documents_ranked()}) r "
+    "ON r.query_id = t.query_id AND r.doc_id = t.doc_id, (VALUES (1), (5), (10)) c(n) GROUP BY ALL) GROUP BY n",
 )
 SQL["stream_sessions"] = SQL["session_bags"]
 SQL["stream_purchases"] = SQL["interval_events"]

@@ -28,6 +28,13 @@ def read_dir(spark: SparkSession, path: str, schema: str, form: str = "parquet",
     return spark.readStream.schema(schema).format(form).option("maxFilesPerTrigger", files).load(path)
 
 
+def rate_tokens(spark: SparkSession, rows: int, dim: int, per_bag: int = 4) -> DataFrame:
+    """A stream of made-up vectors for trials, ``rows`` each batch: bag_id, pos, vec, by the engine's own rate source."""
+    made = spark.readStream.format("rate-micro-batch").option("rowsPerBatch", rows).load()
+    turn = F.transform(F.sequence(F.lit(0), F.lit(dim - 1)), lambda i: F.cos(F.col("value") * (i + 1)).cast("float"))
+    return made.select(F.expr(f"value div {per_bag}").alias("bag_id"), F.expr(f"cast(value % {per_bag} as int)").alias("pos"), turn.alias("vec"))
+
+
 def encode_stream(bags: DataFrame, params: EncodeParams, centers: np.ndarray | None = None) -> DataFrame:
     """Packed bags of a stream to encodings, batch by batch without state."""
     return encode_documents(bags, params, centers)

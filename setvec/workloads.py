@@ -634,19 +634,21 @@ def order_basket_similarity(spark: SparkSession, sf_dir: str) -> DataFrame:
 
 
 def left_out(items: str) -> F.Column:
-    """The sorted set and what is left of it without up to as many members as an alike set may lack: of n members and the
-    other's m they differ in (n + m) / 9 at most, and m is at most 5 n / 4, so in n / 4 at most. Up to three are left out,
-    enough for sets of fewer than 16."""
-    one = f"transform(sequence(0, size({items}) - 1), i -> filter({items}, (x, p) -> p <> i))"
-    two = f"flatten(transform(sequence(0, size({items}) - 2), i -> transform(sequence(i + 1, size({items}) - 1), j -> filter({items}, (x, p) -> p <> i and p <> j))))"
+    """Keys by which alike sets meet: a sorted set, and what is left of it without up to as many members as an alike set may
+    lack. Of n members and the other's m they differ in (n + m) / 9 at most, and m is at most 5 n / 4, so in n / 4 at most:
+    up to three in sets of fewer than 16. Larger sets, and those of 13 and more that may be like them, meet by one of
+    their first members in order, of which two alike sets share one among the first n - ceil(4 n / 5) + 1."""
+    n = f"size({items})"
+    one = f"transform(sequence(0, {n} - 1), i -> filter({items}, (x, p) -> p <> i))"
+    two = f"flatten(transform(sequence(0, {n} - 2), i -> transform(sequence(i + 1, {n} - 1), j -> filter({items}, (x, p) -> p <> i and p <> j))))"
     three = (
-        f"flatten(transform(sequence(0, size({items}) - 3), i -> flatten(transform(sequence(i + 1, size({items}) - 2), j -> transform(sequence(j + 1, size({items}) - 1), "
+        f"flatten(transform(sequence(0, {n} - 3), i -> flatten(transform(sequence(i + 1, {n} - 2), j -> transform(sequence(j + 1, {n} - 1), "
         f"k -> filter({items}, (x, p) -> p <> i and p <> j and p <> k))))))"
     )
     none = "cast(array() as array<array<string>>)"
-    return F.expr(
-        f"if(size({items}) >= 16, raise_error('sets of 16 and more need more left out'), concat(array({items}), if(size({items}) >= 4, {one}, {none}), if(size({items}) >= 8, {two}, {none}), if(size({items}) >= 12, {three}, {none})))"
-    )
+    less = f"concat(array({items}), if({n} >= 4, {one}, {none}), if({n} >= 8, {two}, {none}), if({n} >= 12, {three}, {none}))"
+    first = f"transform(slice({items}, 1, {n} - cast(ceil({n} * 4 / 5) as int) + 1), x -> array('first', x))"
+    return F.expr(f"concat(if({n} < 16, {less}, {none}), if({n} >= 13, {first}, {none}))")
 
 
 # --- further relational forms ----------------------------------------------------------------------------------------

@@ -407,6 +407,39 @@ def test_search_stream_and_running_recall(spark, tmp_path, bags):
     assert none[-1]["running"] == 0.0
 
 
+def test_rate_source_is_encoded_as_it_arrives(spark, tmp_path):
+    """Made-up vectors, one bag each, through the stateless encoder: the same as in a batch."""
+    params = EncodeParams(4, 2, 4, 2)
+    ddl = "bag_id bigint, n int, vecs binary"
+
+    def pack(batches):
+        import pyarrow as pa
+
+        for b in batches:
+            raw = [np.asarray(v, "<f4").tobytes() for v in b.column("vec").to_pylist()]
+            yield pa.record_batch([b.column("bag_id"), pa.array([1] * len(raw), pa.int32()), pa.array(raw, pa.binary())], names=["bag_id", "n", "vecs"])
+
+    bags = ingest.rate_tokens(spark, 8, 4, 1).select("bag_id", "vec").mapInArrow(pack, ddl)
+    run = ingest.encode_stream(bags, params).writeStream.format("parquet").option("path", f"{tmp_path}/out").option("checkpointLocation", f"{tmp_path}/check").start()
+    for _ in range(60):
+        run.awaitTermination(1)
+        if run.lastProgress and run.lastProgress["batchId"] >= 2:
+            break
+    run.stop()
+    got = {r["bag_id"]: bytes(r["enc"]) for r in spark.read.parquet(f"{tmp_path}/out").collect()}
+    vecs = np.array([[np.cos(i * (d + 1)) for d in range(4)] for i in sorted(got)], np.float32)
+    want = kernels.encode(vecs, np.arange(len(vecs)), len(vecs), params, "document")
+    assert len(got) >= 16 and all(np.allclose(np.frombuffer(got[i], "<f4"), w, atol=1e-5) for i, w in zip(sorted(got), want, strict=True))
+
+
+def test_sentences_and_session(spark):
+    from setvec.session import SETTINGS, session
+
+    row = spark.createDataFrame([("Hi there. All is well!",)], "t string").select(text.sentence_words("t")).first()[0]
+    assert row == [["hi", "there"], ["all", "is", "well"]]
+    assert session() is not None and SETTINGS["spark.sql.adaptive.enabled"] == "true"
+
+
 def test_cogrouped_rerank(bags):
     q, d = bags
     near = search.exact_maxsim_topk(q, d, 9, DIM)
