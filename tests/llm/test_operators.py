@@ -437,6 +437,93 @@ def test_quality_odd(spark, odd, empty):
     assert got.score.between(0, 1).all() and got[got.doc_id == 3].score.nunique() == 1
 
 
+def brute_features(text):
+    """The features of one text by loops over its bytes, words and lines."""
+    raw, out, size = (text or "").encode(), set(), quality.SIZE
+
+    def bucket(v, salt):
+        x = (v ^ (salt * 0x9E3779B1 & 0xFFFFFFFF)) * 0x85EBCA6B & 0xFFFFFFFF
+        x ^= x >> 13
+        return (x * 0xC2B2AE35 & 0xFFFFFFFF) >> (32 - quality.BITS)
+
+    kind = lambda b: 97 if 97 <= b <= 122 else 65 if 65 <= b <= 90 else 48 if 48 <= b <= 57 else 233 if b >= 128 else b
+    for i in range(len(raw)):
+        for width in (1, 2, 3):
+            if i + width <= len(raw):
+                out.add(bucket(int.from_bytes(raw[i : i + width], "little"), width))
+        for width in (3, 4, 5):
+            if i + width <= len(raw):
+                v = 0
+                for b in raw[i : i + width]:
+                    v = (v * 257 + kind(b)) & 0xFFFFFFFF
+                out.add(bucket(v, 9 + width))
+    words = re.findall(rb"[^\t\n\v\f\r ]+", raw)
+    same = [a == b for a, b in zip(words, words[1:], strict=False)]
+    again = [a == b for a, b in zip(words, words[2:], strict=False)]
+    lines = raw.split(b"\n")
+    marks = [any(a and b for a, b in zip(same, same[1:], strict=False)), sum(same) > 0.2 * len(same), sum(again) > 0.2 * len(again), len(lines) > 1 and len(set(lines)) < 0.7 * len(lines)]
+    return out | {size - 4 + i for i, m in enumerate(marks) if m}
+
+
+def test_quality_features_equal_brute_force(docs):
+    texts = docs.text.str.slice(0, 700).tolist()[:80] + ["", None, "a", "ab", "x x x", "a b a b a b", "l\nl\nl\nm", "é\x0b é", "same same\n\nsame"]
+    got = list(quality.features(quality.pa.array(texts)))
+    assert [set(g.tolist()) for g in got] == [brute_features(x) for x in texts]
+    assert all((np.diff(g) > 0).all() for g in got)
+
+
+def brute_descent(rows, labels, ratio, cost, rounds, seed):
+    """The same model by loops over dictionaries of weights."""
+    vectors = []
+    for at in rows:
+        length = sum(float(ratio[f]) ** 2 for f in at) ** 0.5
+        vectors.append({f: float(ratio[f]) / max(1e-12, length) for f in at})
+    good = sum(labels) / len(labels)
+    caps = [cost * (0.5 / good if y else 0.5 / (1 - good)) for y in labels]
+    weights, bias, alpha, rng = Counter(), 0.0, [0.0] * len(rows), np.random.default_rng(seed)
+    for _ in range(rounds):
+        for i in rng.permutation(len(rows)):
+            y = 1 if labels[i] else -1
+            gradient = y * (sum(weights[f] * v for f, v in vectors[i].items()) + bias) - 1
+            new = min(max(alpha[i] - gradient / (sum(v * v for v in vectors[i].values()) + 1), 0.0), caps[i])
+            for f, v in vectors[i].items():
+                weights[f] += (new - alpha[i]) * y * v
+            bias += (new - alpha[i]) * y
+            alpha[i] = new
+    return weights, bias
+
+
+def test_quality_model_equals_brute_force(spark):
+    """Counts, ratios, weights and scores of a whole fit by loops."""
+    frame = pd.read_parquet("/root/testdata/sf0.01/documents.parquet").head(220)
+    frame["text"] = frame.text.str.slice(0, 300)
+    labels = pd.read_parquet("/root/testdata/sf0.01/labels.parquet")
+    labels = labels[labels.doc_id.isin(frame.doc_id)]
+    docs, known = spark.createDataFrame(frame), spark.createDataFrame(labels)
+    model = quality.fit(docs, known)
+    both = frame.merge(labels, on="doc_id")
+    both = both[[zlib.crc32(str(i).encode()) % 5 != 0 for i in both.doc_id]].sort_values(["doc_id", "text", "quality"])
+    assert both.quality.nunique() == 2
+    rows, y = [brute_features(x) for x in both.text], both.quality.tolist()
+    count = [Counter(f for r, q in zip(rows, y, strict=True) if q == c for f in r) for c in (0, 1)]
+    total = [sum(count[c].values()) + quality.SIZE for c in (0, 1)]
+    ratio = {f: np.log((count[1][f] + 1) / total[1]) - np.log((count[0][f] + 1) / total[0]) for f in range(quality.SIZE)}
+    some = [*count[0], *count[1], 0, quality.SIZE - 1]
+    assert np.allclose(model.ratio[some], [ratio[f] for f in some], atol=1e-9)
+    fitted = [i for i in range(len(rows)) if i % 5]
+    held = [y[i] for i in range(len(rows)) if i % 5 == 0]
+    if len(set(held)) < 2 or len({y[i] for i in fitted}) < 2:
+        fitted = list(range(len(rows)))
+    weights, bias = brute_descent([rows[i] for i in fitted], [y[i] for i in fitted], ratio, quality.COST, quality.ROUNDS, 5)
+    got = quality.predict(docs, model).toPandas().set_index("doc_id").score
+    for i, text in zip(frame.doc_id[:60], frame.text[:60], strict=True):
+        at = brute_features(text)
+        length = sum(ratio[f] ** 2 for f in at) ** 0.5
+        margin = sum(weights[f] * ratio[f] for f in at) / length + bias
+        want = 1 / (1 + np.exp(-min(30, max(-30, model.slope * margin + model.level))))
+        assert abs(got[i] - want) < 1e-6
+
+
 def test_dual_descent_separates():
     rng = np.random.default_rng(0)
     y = rng.integers(0, 2, 200)
