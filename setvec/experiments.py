@@ -411,8 +411,9 @@ def graph_code_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
     rows = []
     for name, book, own in ways:
         for beam in BEAMS:
-            found, cost = graph.graph_search(q, own, 100, beam, book=book)
-            kept, took = _timed(found)
+            walks, took = _timed(graph.graph_walks(q, own, 100, beam, book=book))
+            kept, cost = graph.ranked(walks, 100)
+            kept = kept.persist()
             recall = [metrics.recall_at(kept, exact.where(F.col("rank") <= c).select("query_id", "doc_id"), [c]).select(F.col("recall").alias(f"recall{c}")) for c in (10, 100)]
             dist = cost.groupBy("query_id").agg(F.sum("n_dist").alias("d")).agg(F.avg("d").alias("n_dist"))
             one = recall[0].join(recall[1], F.lit(True)).join(dist, F.lit(True))
@@ -423,15 +424,15 @@ def graph_code_sweep(spark: SparkSession, sf_dir: str) -> DataFrame:
 # --- end to end -----------------------------------------------------------------------------------------------------
 
 
-def _ours(corpus: Corpus, k: int, candidates: int, index: str = "pq", beam: int | None = None) -> Callable[[], DataFrame]:
+def _ours(corpus: Corpus, index: str = "pq") -> Callable[[int, int], DataFrame]:
     """A search at the one published setting: width 10,240, codes of 256 centres for 8 numbers, close query vectors merged
     from 0.7 on. The index is built and stored before; what is called is the search alone."""
     way = Retriever(frontier(10240, DIM), index, corpus.kind, sample=2000, degree=GRAPH[0], build_beam=GRAPH[1]).fit(corpus.docs)
     tau = round(0.7 * (1 << 40)) if corpus.kind == "fixed" else 0.7
-    return lambda: way.search(corpus.queries, k, candidates, beam, tau)
+    return lambda k, candidates: way.search(corpus.queries, k, candidates, None, tau)
 
 
-def _staged(corpus: Corpus, k: int, candidates: int, n_centers: int = 256) -> Callable[[], DataFrame]:
+def _staged(corpus: Corpus, n_centers: int = 256) -> Callable[[int, int], DataFrame]:
     """The staged engine with its index stored before: tags, and lists partitioned by centroid. Centroids come from all
     vectors of a hash sample of at most 1,024 bags."""
     rows = approx.hash_sample(corpus.docs, 1024).orderBy(F.xxhash64("bag_id"), "bag_id").limit(1024).collect()
@@ -442,10 +443,10 @@ def _staged(corpus: Corpus, k: int, candidates: int, n_centers: int = 256) -> Ca
         centers = np.rint(centers).astype(np.int64)
     tagged = store.stored(baselines.tag_centroids(corpus.docs, centers, DIM, corpus.kind), "tagged")
     lists = store.stored(baselines.postings(tagged), "postings", "centroid")
-    return lambda: baselines.staged_prune(corpus.queries, tagged, centers, k, DIM, 16, 4 * candidates, None, corpus.kind, lists)
+    return lambda k, candidates: baselines.staged_prune(corpus.queries, tagged, centers, k, DIM, 16, 4 * candidates, None, corpus.kind, lists)
 
 
-def compared_over_corpora(spark: SparkSession, sf_dir: str) -> DataFrame:
+def compared_over_corpora(spark: SparkSession, sf_dir: str, cuts: tuple[int, ...] = (100, 1000)) -> DataFrame:
     """Our whole way and the staged engine with one setting on every corpus, both over stored indexes: corpus, way, k,
     recall of the exact k best for k of 100 and 1,000 (all, where a corpus has fewer), milliseconds a query."""
     rows = []
@@ -455,18 +456,19 @@ def compared_over_corpora(spark: SparkSession, sf_dir: str) -> DataFrame:
         n = corpus.queries.count()
         if not n:
             continue
-        truth = store.stored(search.exact_maxsim_topk(corpus.queries, corpus.docs, 1000, DIM, corpus.kind), "truth")
-        for k in (100, 1000):
+        truth = store.stored(search.exact_maxsim_topk(corpus.queries, corpus.docs, max(cuts), DIM, corpus.kind), "truth")
+        ours, base = _ours(corpus), _staged(corpus)
+        for k in cuts:
             wanted = truth.where(F.col("rank") <= k).select("query_id", "doc_id")
-            for way, make_search in (("encodings", _ours(corpus, k, 2 * k)), ("staged", _staged(corpus, k, 2 * k))):
-                found, took = _timed(make_search())
+            for way, run in (("encodings", ours), ("staged", base)):
+                found, took = _timed(run(k, 2 * k))
                 rows.append(metrics.recall_at(found, wanted, [k]).select(F.lit(name).alias("corpus"), F.lit(way).alias("way"), F.lit(k).alias("k"), "recall", F.lit(1000 * took / n).alias("ms")))
     return _all(rows)
 
 
 def comparison_ratios(spark: SparkSession, sf_dir: str) -> DataFrame:
     """Mean and largest ratio over corpora of recall and of time, ours to the staged engine's, for the hundred best."""
-    rows = store.stored(compared_over_corpora(spark, sf_dir).where("k = 100"), "compared")
+    rows = store.stored(compared_over_corpora(spark, sf_dir, (100,)), "compared")
     ours, base = rows.where("way = 'encodings'"), rows.where("way = 'staged'")
     return _all([metrics.compare(ours, base, m).withColumn("measure", F.lit(m)) for m in ("recall", "ms")])
 
@@ -479,7 +481,8 @@ def evaluated_way(spark: SparkSession, sf_dir: str) -> DataFrame:
     n, k, rows = corpus.queries.count(), 100, []
     truth = store.stored(search.exact_maxsim_topk(corpus.queries, corpus.docs, k, DIM).select("query_id", "doc_id"), "truth")
     way = Retriever(frontier(10240, DIM), "graph_pq", sample=2000, shards=spark.sparkContext.defaultParallelism, degree=GRAPH[0], build_beam=GRAPH[1]).fit(corpus.docs)
-    runs = [(b, lambda b=b: way.search(corpus.queries, k, b, b, 0.7)) for b in BEAMS if b >= k] + [(0, _staged(corpus, k, 2 * k))]
+    base = _staged(corpus)
+    runs = [(b, lambda b=b: way.search(corpus.queries, k, b, b, 0.7)) for b in BEAMS if b >= k] + [(0, lambda: base(k, 2 * k))]
     for beam, run in runs:
         found, took = _timed(run())
         rows.append(metrics.recall_at(found, truth, [k]).select(F.lit(beam).alias("beam"), F.col("n").alias("k"), "recall", F.lit(1000 * took / n).alias("ms")))

@@ -236,6 +236,20 @@ def graph_search(
     Given the ``centers`` and ``shards`` that a graph was built with, a query walks only the shards of its ``probes``
     centres of the largest product; a store partitioned by shard isn't read in the others.
     """
+    return ranked(graph_walks(query_enc, graph, k, beam, centers, probes, shards, book, kind), k)
+
+
+def ranked(walks: DataFrame, k: int) -> tuple[DataFrame, DataFrame]:
+    """Lists and costs of ``graph_walks``."""
+    flat = walks.select("query_id", F.explode("hits").alias("h")).select("query_id", "h.doc_id", "h.score")
+    return topk(flat, k), walks.select("query_id", "shard", "n_dist")
+
+
+def graph_walks(
+    query_enc: DataFrame, graph: DataFrame, k: int, beam: int, centers: np.ndarray | None = None, probes: int = 1, shards: int = 1,
+    book: Codebook | None = None, kind: str = "float",
+) -> DataFrame:
+    """The walks themselves, a row for each query and shard: query_id, shard, n_dist, hits."""
     spark = graph.sparkSession
     bounded_bytes(spark)
     ddl = WALKED.format("bigint" if kind == "fixed" else "double")
@@ -281,6 +295,4 @@ def graph_search(
             own_shards = graph.where(F.col("shard").isin(wanted))
         hits = own_shards.select("shard", "n", "entry", "ids", "links", "points").mapInArrow(walking(spark.sparkContext.broadcast((rows, near, book))), ddl)
         out = hits if out is None else out.union(hits)
-    out = out if out is not None else spark.createDataFrame([], ddl)
-    flat = out.select("query_id", F.explode("hits").alias("h")).select("query_id", "h.doc_id", "h.score")
-    return topk(flat, k), out.select("query_id", "shard", "n_dist")
+    return out if out is not None else spark.createDataFrame([], ddl)
