@@ -442,7 +442,8 @@ def _staged(corpus: Corpus, n_centers: int = 256) -> Callable[[int, int], DataFr
     if corpus.kind == "fixed":
         centers = np.rint(centers).astype(np.int64)
     tagged = store.stored(baselines.tag_centroids(corpus.docs, centers, DIM, corpus.kind), "tagged")
-    lists = store.stored(baselines.postings(tagged), "postings", "centroid")
+    # One file for each centroid, not one from every task.
+    lists = store.stored(baselines.postings(tagged).repartition("centroid"), "postings", "centroid")
     return lambda k, candidates: baselines.staged_prune(corpus.queries, tagged, centers, k, DIM, 16, 4 * candidates, None, corpus.kind, lists)
 
 
