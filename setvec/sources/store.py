@@ -10,6 +10,8 @@ import uuid
 from pyspark.sql import DataFrame, SparkSession
 
 _LOCAL: dict[str, str] = {}
+#: How often ``clear`` ran: what was kept before can't be read any more.
+CLEARED = [0]
 _BATCH_BYTES = "spark.sql.execution.arrow.maxBytesPerBatch"
 
 
@@ -44,6 +46,7 @@ def stored(df: DataFrame, tag: str, by: str | None = None) -> DataFrame:
 
 def clear(spark: SparkSession) -> None:
     """Removes all intermediate tables of this application."""
+    CLEARED[0] += 1
     folder = spark._jvm.org.apache.hadoop.fs.Path(own_folder(spark))
     folder.getFileSystem(spark._jsc.hadoopConfiguration()).delete(folder, True)
 
