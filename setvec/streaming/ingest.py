@@ -6,7 +6,6 @@ document keeps its vectors where blocks must also be filled or vectors removed.
 
 from __future__ import annotations
 
-import uuid
 from collections.abc import Callable, Iterator
 
 import numpy as np
@@ -110,13 +109,20 @@ def running_recall(lists: DataFrame, truth: DataFrame, k: int) -> DataFrame:
     return rows.select("batch", "queries", (F.col("r") / F.col("queries")).alias("recall"), (F.sum("r").over(down) / F.sum("queries").over(down)).alias("running"))
 
 
-def finished(stream: DataFrame, mode: str = "append", name: str | None = None) -> DataFrame:
-    """Runs a stream over what is there and returns the rows of a memory table; for tests and small results."""
+def finished(stream: DataFrame, mode: str = "append") -> DataFrame:
+    """Runs a stream over what is there and returns its rows from the shared folder, one folder a batch: no rows pass through
+    the driver. In complete mode the last batch holds all of them."""
     spark = stream.sparkSession
-    name = name or f"stream_{uuid.uuid4().hex}"
-    run = stream.writeStream.format("memory").queryName(name).outputMode(mode).option("checkpointLocation", store.new_path(spark, name)).trigger(availableNow=True).start()
+    out, done = store.new_path(spark, "stream"), []
+
+    def batch(rows: DataFrame, number: int) -> None:
+        rows.write.mode("overwrite").parquet(f"{out}/{number}")
+        done.append(number)
+
+    run = stream.writeStream.foreachBatch(batch).outputMode(mode).option("checkpointLocation", store.new_path(spark, "checkpoint")).trigger(availableNow=True).start()
     run.awaitTermination()
-    return spark.table(name)
+    kept = sorted(set(done))[-1:] if mode == "complete" else sorted(set(done))
+    return spark.read.schema(stream.schema).parquet(*[f"{out}/{n}" for n in kept]) if kept else spark.createDataFrame([], stream.schema)
 
 
 def write_stream(stream: DataFrame, path: str, checkpoint: str):
