@@ -86,9 +86,7 @@ class Retriever:
             if not self.shards:
                 per = 1 if self.coarse is None else len(self.coarse)
                 self.shards = graph.shard_count(-(-docs.count() // per), self.params.width)
-            self.stored = store.stored(graph.graph_build(encoded, self.shards, self.degree, self.build_beam, centers=self.coarse), "graph", "shard")
-            if self.book is not None:
-                self.stored = store.stored(graph.graph_code(self.stored, self.book), "graph", "shard")
+            self.stored = store.stored(graph.graph_build(encoded, self.shards, self.degree, self.build_beam, centers=self.coarse, book=self.book), "graph", "shard")
         return self
 
     def candidates(self, queries: DataFrame, n: int, beam: int | None = None) -> DataFrame:

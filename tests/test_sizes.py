@@ -79,3 +79,23 @@ def test_short_bags_and_gaps_equal_sql(spark, tmp_path, name):
     con.sql(f"create view embeddings as select * from '{path}'")
     got, want = QUERIES[name](spark, str(tmp_path)).toPandas(), con.sql(SQL[name]).df()
     assert rows(got) == rows(want)
+
+
+def test_coded_graphs_store_no_encodings(spark, monkeypatch):
+    """No row that is written holds a shard's encodings, and the codes are those of the graph built on them."""
+    from setvec.operators import encode, graph
+    from setvec.plans.params import EncodeParams
+    from setvec.plans.retriever import Retriever
+    from setvec.sources import store
+
+    rng = np.random.default_rng(5)
+    bags = spark.createDataFrame([(i, 4, rng.normal(size=(4, 16)).astype("<f4").tobytes()) for i in range(120)], "bag_id bigint, n int, vecs binary")
+    written, put = [], store.stored
+    monkeypatch.setattr(store, "stored", lambda df, tag, by=None: written.append((tag, put(df, tag, by))) or written[-1][1])
+    params = EncodeParams(16, 3, 8, 4)
+    way = Retriever(params, "graph_pq", codes=16, shards=2, degree=8, build_beam=16).fit(bags)
+    graphs = [df for tag, df in written if tag == "graph"]
+    assert graphs and all(len(r["points"]) == r["n"] * way.book.code_bytes for df in graphs for r in df.collect())
+    built = graph.graph_build(encode.encode_documents(bags, params), 2, 8, 16)
+    key = lambda df: sorted((r["shard"], bytes(r["ids"]), bytes(r["links"]), bytes(r["points"])) for r in df.collect())
+    assert key(graph.graph_code(built, way.book)) == key(way.stored)
