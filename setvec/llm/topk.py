@@ -184,10 +184,11 @@ def topk(index: DataFrame, shards: int, blocks: DataFrame, k: int = K) -> DataFr
     spread = blocks.select(
         F.explode(F.sequence(F.lit(0), F.lit(shards - 1))).alias("shard"), "dim", F.col("ids").alias("q_ids"), F.col("vectors").alias("q_vectors")
     )
-    # A joined row holds a whole shard: few rows to a batch keep it bounded.
+    # A joined row holds a whole shard: few rows to a batch keep it bounded. Blocks look small before they are dealt to all
+    # shards, so the join is told not to send them through the driver.
     before = bounded_batches(index.sparkSession, 4)
     try:
-        hits = stored(index.join(spread, ["shard", "dim"]).mapInArrow(run, HIT_DDL), "hits")
+        hits = stored(index.join(spread.hint("merge"), ["shard", "dim"]).mapInArrow(run, HIT_DDL), "hits")
     finally:
         restored(index.sparkSession, before)
     rank = F.row_number().over(W.partitionBy("query_id").orderBy(F.col("score").desc(), "vec_id"))

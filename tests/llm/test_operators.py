@@ -149,6 +149,22 @@ def test_topk_ties_bad_vectors_and_small_shards(spark):
     assert set(got.query_id) == set(range(0, 120, 10))
 
 
+def test_impact_topk_sends_no_blocks_to_the_driver(spark, monkeypatch):
+    plans, put = [], topk.stored
+
+    def seen(df, tag):
+        if tag == "hits":
+            df.collect()
+            plans.append(df._jdf.queryExecution().executedPlan().toString())
+        return put(df, tag)
+
+    monkeypatch.setattr(topk, "stored", seen)
+    df = topk.whole_vectors(spark.createDataFrame([(i, [float(i)]) for i in range(40)], "vec_id bigint, embedding array<double>"))
+    index, shards = topk.build_index(df, 8)
+    assert topk.topk(index, shards, topk.query_blocks(df, 8)).count() == 200
+    assert len(plans) == 1 and "Broadcast" not in plans[0]
+
+
 @pytest.mark.parametrize(("most", "kind"), [(90_000, np.int64), (100, np.float64), (1 << 40, object)])
 def test_topk_of_large_components(spark, most, kind):
     """Sums beyond what doubles hold exactly, and bounds beyond 64 bits whose scores still fit."""
