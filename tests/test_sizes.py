@@ -99,3 +99,22 @@ def test_coded_graphs_store_no_encodings(spark, monkeypatch):
     built = graph.graph_build(encode.encode_documents(bags, params), 2, 8, 16)
     key = lambda df: sorted((r["shard"], bytes(r["ids"]), bytes(r["links"]), bytes(r["points"])) for r in df.collect())
     assert key(graph.graph_code(built, way.book)) == key(way.stored)
+
+
+def test_codes_by_joins_make_no_row_of_a_pair(spark, monkeypatch):
+    """Blocks of queries and documents meet; each row of the join is a pair of blocks, and lists equal the scan's."""
+    from setvec.operators import approx
+
+    rng = np.random.default_rng(3)
+    points, asked = rng.integers(-9, 10, (300, 8)).astype("<f4"), rng.integers(-9, 10, (30, 8)).astype("<f4")
+    book = approx.Codebook(points[:20].reshape(20, 2, 4).transpose(1, 0, 2).copy(), 8)
+    enc = lambda x: spark.createDataFrame([(i, r.tobytes()) for i, r in enumerate(x)], "bag_id bigint, enc binary")
+    codes = spark.createDataFrame([(i, g, int(c)) for i, row in enumerate(book.encode(points)) for g, c in enumerate(row)], "doc_id bigint, g int, code int")
+    queries = spark.createDataFrame([(i, d, float(x)) for i, row in enumerate(asked) for d, x in enumerate(row)], "query_id bigint, dim int, x double")
+    centers = spark.createDataFrame([(c, 4 * g + i, float(x)) for g, of in enumerate(book.centers) for c, row in enumerate(of) for i, x in enumerate(row)], "code int, dim int, center double")
+    monkeypatch.setattr(approx, "BLOCK_QUERIES", 8, raising=False)
+    monkeypatch.setattr(approx, "BLOCK_DOCS", 100, raising=False)
+    got = approx.pq_search_by_joins(queries, codes, centers, 4, 7)
+    want = approx.pq_search(enc(asked), approx.pq_encode(enc(points), book), book, 7)
+    assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+    assert "doc_ids" in got._jdf.queryExecution().executedPlan().toString()
