@@ -118,3 +118,52 @@ def test_codes_by_joins_make_no_row_of_a_pair(spark, monkeypatch):
     want = approx.pq_search(enc(asked), approx.pq_encode(enc(points), book), book, 7)
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
     assert "doc_ids" in got._jdf.queryExecution().executedPlan().toString()
+
+
+@pytest.mark.parametrize(("form", "tau"), [("sign", None), ("trigram", 0.7)])
+def test_words_get_their_vectors_where_they_are_scored(spark, monkeypatch, form, tau):
+    """Lists equal those of joined vectors, also by several blocks of queries; no vectors of documents are shuffled."""
+    from setvec.functions import text
+
+    rng = np.random.default_rng(2)
+    words = lambda n: [f"w{x}" for x in rng.permutation(300)[:n]]
+    ddl = "bag_id bigint, words array<string>"
+    docs = spark.createDataFrame([(i, words(i % 9)) for i in range(90)], ddl)
+    asked = text.bags_of_words(spark.createDataFrame([(i, words(6)) for i in range(10)] + [(10, [])], ddl), form)
+    pairs = spark.createDataFrame([(q, d) for q in range(12) for d in range(95) if (q + d) % 3], "query_id bigint, doc_id bigint")
+    kind = "sign" if form == "sign" else "float"
+    want = {(r["query_id"], r["rank"]): r for r in search.rerank(pairs, asked, text.bags_of_words(docs, form), 5, 64, kind, tau).collect()}
+    monkeypatch.setattr(search.query_blocks, "__defaults__", (4000,))
+    for mode in ("per_query", "spread"):
+        near = search.rerank(pairs, asked, docs, 5, 64, kind, tau, mode, form=form)
+        got = {(r["query_id"], r["rank"]): r for r in near.collect()}
+        assert got.keys() == want.keys() and all(abs(got[x]["score"] - want[x]["score"]) < 1e-5 for x in want)
+        assert "vecs" not in near._jdf.queryExecution().executedPlan().toString()
+
+
+def test_throughput_of_merging_keeps_no_vectors(spark, monkeypatch):
+    from setvec import experiments as X
+
+    written, put = [], X.store.stored
+    monkeypatch.setattr(X.store, "stored", lambda df, tag, by=None: written.append((tag, df.columns)) or put(df, tag, by))
+    before = spark._jsc.sc().getPersistentRDDs().size()
+    assert X.carve_throughput(spark, SF).count() == 4
+    assert spark._jsc.sc().getPersistentRDDs().size() == before
+    assert ("words", ["bag_id", "words"]) in written
+
+
+def test_bags_of_words_come_in_bounded_batches(spark, monkeypatch):
+    from setvec.functions import text
+
+    rows = spark.createDataFrame([(i, [f"w{i}_{j}" for j in range(i % 40)]) for i in range(300)], "bag_id bigint, words array<string>").coalesce(1)
+    whole = text.bags_of_words(rows)
+    monkeypatch.setattr(text, "BATCH_WORDS", 100, raising=False)
+    kept: list = []
+    fake = type("Rows", (), {"select": lambda self, *_: self, "mapInArrow": lambda self, run, ddl: kept.append(run)})()
+    text.bags_of_words(fake)
+    batch = rows.toArrow().combine_chunks().to_batches()[0]
+    out = list(kept[0](iter([batch])))
+    sizes = [sum(b.column("n").to_pylist()) for b in out]
+    assert max(sizes) < 140 and sum(sizes) == sum(i % 40 for i in range(300))
+    want = {r["bag_id"]: bytes(r["vecs"]) for r in whole.collect()}
+    assert {i: v for b in out for i, v in zip(b.column("bag_id").to_pylist(), b.column("vecs").to_pylist(), strict=True)} == want
