@@ -184,3 +184,67 @@ def test_staged_engine_makes_no_rows_of_listed_pairs(spark):
     assert 0 < listed.count() < docs.count() * queries.count()
     want = search.rerank(listed, queries, docs, 3, 64, "fixed")
     assert sorted(map(tuple, got.collect())) == sorted(map(tuple, want.collect()))
+
+
+@pytest.mark.parametrize("more", [{}, {"proj_dim": 8}, {"final_dim": 24}, {"fill": False, "doc_block": "sum"}, {"partition": "axis", "n_centers": 6, "hash_bits": 0}])
+@pytest.mark.parametrize("side", ["document", "query"])
+def test_mapped_vectors_give_the_same_blocks(more, side):
+    """Repeated vectors, empty bags and one cell of hundreds of vectors."""
+    from setvec.plans.params import EncodeParams
+
+    params = EncodeParams(**{"dim": 8, "hash_bits": 3, "proj_dim": 4, "reps": 3} | more)
+    rng = np.random.default_rng(5)
+    distinct = rng.normal(size=(40, 8)).astype(np.float32)
+    sizes = np.array([0, 3, 500, 1, 0, 20])
+    which, owner = rng.integers(0, 40, sizes.sum()), np.repeat(np.arange(6), sizes)
+    which[10:300] = 7
+    want = kernels._encode(distinct[which], owner, 6, params, None, side == "document")
+    assert np.allclose(kernels.encode(distinct[which], owner, 6, params, side), want, rtol=1e-4, atol=1e-4)
+    assert np.allclose(kernels.encode_distinct(distinct, which, owner, 6, params, side), want, rtol=1e-4, atol=1e-4)
+
+
+def _texts(spark, n, seed=3):
+    rng = np.random.default_rng(seed)
+    words = np.array([f"w{i}" for i in range(400)])
+    docs = [(i, " ".join(rng.choice(words, int(m)))) for i, m in enumerate(rng.integers(1, 600, n))]
+    docs += [(n, None), (n + 1, " .,! "), (n + 2, docs[0][1])]
+    asked = [(i, " ".join(docs[3 * i][1].split()[:30])) for i in range(6)] + [(6, "")]
+    return spark.createDataFrame(docs, "doc_id bigint, text string").repartition(5), spark.createDataFrame(asked, "item_id bigint, text string")
+
+
+def test_documents_are_searched_in_one_pass(spark, monkeypatch):
+    """No vector leaves the task that makes it, and each query's floor lets through what is asked for, or is lowered."""
+    from setvec.functions import text as T
+    from setvec.operators import chunked
+    from setvec.plans.params import EncodeParams
+
+    docs, items = _texts(spark, 300)
+    queries, params = T.bags_of_words(T.items(items)), EncodeParams(64, 3, 8, 4)
+    bags = T.bags_of_words(T.numbered_chunks(T.chunks(docs.where("text is not null"))))
+    exact = search.exact_maxsim_topk(queries, bags, 1 << 20, 64, "sign").selectExpr("query_id", "doc_id div 10000000 AS doc_id", "score")
+    want = search.topk(exact.groupBy("query_id", "doc_id").agg({"score": "max"}).withColumnRenamed("max(score)", "score"), 5)
+    whole = chunked.search_documents(queries, docs.where("text is not null"), 5, params, None, 1 << 20)
+    assert sorted(map(tuple, whole.collect())) == sorted(map(tuple, want.collect()))
+    monkeypatch.setattr(chunked, "SAMPLE", 256)
+    monkeypatch.setattr(chunked, "LETTERS", 64)
+    seen = []
+    real = chunked._pass
+    monkeypatch.setattr(chunked, "_pass", lambda docs, asked, *a: seen.append([x[3] for x in asked]) or real(docs, asked, *a))
+    some = chunked.search_documents(queries, docs.where("text is not null"), 5, params, None, 40)
+    assert "vecs" not in some._jdf.queryExecution().toString()
+    assert max(seen[0]) > float("-inf")
+    got = some.toPandas()
+    assert (got.groupby("query_id").size() == 5).all() and got.query_id.nunique() == 7
+    best = want.toPandas()
+    assert (got[got["rank"] == 1].set_index("query_id").score == best[best["rank"] == 1].set_index("query_id").score).all()
+    # A thousand documents are never settled by forty chunks, so floors fall until none is left.
+    seen.clear()
+    every = chunked.search_documents(queries, docs.where("text is not null"), 1000, params, None, 40)
+    assert len(seen) > 1 and every.groupBy("query_id").count().where("count <> 301").isEmpty()
+
+
+def test_flagship_joins_no_vectors(spark):
+    from setvec import workloads as WL
+
+    plan = WL.flagship(spark, SF)._jdf.queryExecution().toString()
+    assert "vecs" not in plan and "Join" not in plan
