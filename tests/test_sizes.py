@@ -248,3 +248,14 @@ def test_flagship_joins_no_vectors(spark):
 
     plan = WL.flagship(spark, SF)._jdf.queryExecution().toString()
     assert "vecs" not in plan and "Join" not in plan
+
+
+def test_filtered_documents_are_joined_once(spark):
+    """The filter is written once; what is searched afterwards joins and shuffles neither texts nor vectors."""
+    from setvec import workloads as WL
+
+    rows = WL.filtered_retrieval(spark, SF)
+    plan = rows._jdf.queryExecution().toString()
+    assert "vecs" not in plan and "Join" not in plan and "documents.parquet" not in plan
+    good = {r[0] for r in WL.filtered_documents(spark, SF).select("doc_id").collect()}
+    assert {r["doc_id"] for r in rows.collect()} <= good
