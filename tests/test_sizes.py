@@ -259,3 +259,9 @@ def test_filtered_documents_are_joined_once(spark):
     assert "vecs" not in plan and "Join" not in plan and "documents.parquet" not in plan
     good = {r[0] for r in WL.filtered_documents(spark, SF).select("doc_id").collect()}
     assert {r["doc_id"] for r in rows.collect()} <= good
+
+
+def test_recall_of_documents_joins_no_vectors(spark):
+    from setvec import workloads as WL
+
+    assert "vecs" not in WL.text_recall(spark, SF)._jdf.queryExecution().toString()
