@@ -265,3 +265,44 @@ def test_recall_of_documents_joins_no_vectors(spark):
     from setvec import workloads as WL
 
     assert "vecs" not in WL.text_recall(spark, SF)._jdf.queryExecution().toString()
+
+
+@pytest.mark.parametrize("more", [{}, {"proj_dim": 8}, {"final_dim": 24}, {"fill": False, "doc_block": "sum"}, {"partition": "axis", "n_centers": 6, "hash_bits": 0}])
+def test_products_without_whole_encodings(more, monkeypatch):
+    """A repetition of a few bags at a time gives the products of whole encodings; bags may be empty."""
+    from setvec.plans.params import EncodeParams
+
+    monkeypatch.setattr(kernels, "AT_ONCE", 4)
+    params = EncodeParams(**{"dim": 8, "hash_bits": 3, "proj_dim": 4, "reps": 3} | more)
+    rng = np.random.default_rng(6)
+    distinct, sizes = rng.normal(size=(40, 8)).astype(np.float32), np.array([0, 3, 90, 1, 0, 20, 2, 5, 0])
+    which, owner = rng.integers(0, 40, sizes.sum()), np.repeat(np.arange(9), sizes)
+    queries = rng.normal(size=(5, params.width)).astype(np.float32)
+    want = queries @ kernels._encode(distinct[which], owner, 9, params, None, True).T
+    assert np.allclose(kernels.scored(queries, distinct, which, owner, 9, params), want, rtol=1e-4, atol=1e-3)
+
+
+def test_empty_cells_take_the_nearest_code():
+    """Of codes that differ in the fewest bits the smallest place, also where the nearest differs in all bits."""
+    from setvec.plans.params import EncodeParams
+
+    params = EncodeParams(dim=4, hash_bits=4, proj_dim=4, reps=1)
+    points = np.arange(20, dtype=np.float32).reshape(5, 4)
+    for code in ([15, 15, 15, 15, 15], [3, 0, 5, 9, 9], [7, 11, 13, 14, 0]):
+        code, out = np.array(code), np.zeros((16, 4), np.float32)
+        kernels._put_blocks(out, 0, 16, 1, points, code, np.arange(5), np.zeros(5, np.int64), params, True)
+        for cell in set(range(16)) - set(code.tolist()):
+            assert (out[cell] == points[min(range(5), key=lambda i: (bin(int(code[i]) ^ cell).count("1"), i))]).all()
+    assert all(len(set(x.tolist())) == len(x) for x in kernels._by_distance(6))
+
+
+def test_documents_are_drawn_before_they_are_split(spark, monkeypatch):
+    from setvec.operators import chunked
+
+    docs, _ = _texts(spark, 600)
+    docs = docs.where("text is not null")
+    every = {r[0] for r in chunked.sampled_chunks(docs, 1).select("bag_id").collect()}
+    monkeypatch.setattr(chunked, "WITHIN", 2)
+    some = {r[0] for r in chunked.sampled_chunks(docs, 8).select("bag_id").collect()}
+    assert some < every and 0.05 < len(some) / len(every) < 0.25
+    assert len({b // 10_000_000 for b in some}) < 0.5 * len({b // 10_000_000 for b in every})
