@@ -306,3 +306,42 @@ def test_documents_are_drawn_before_they_are_split(spark, monkeypatch):
     some = {r[0] for r in chunked.sampled_chunks(docs, 8).select("bag_id").collect()}
     assert some < every and 0.05 < len(some) / len(every) < 0.25
     assert len({b // 10_000_000 for b in some}) < 0.5 * len({b // 10_000_000 for b in every})
+
+
+def test_schemes_are_compared_where_chunks_are_encoded(spark, monkeypatch):
+    """Neither encodings nor codes of chunks are written; winners and lists are those of the scans of stored tables."""
+    from setvec import experiments as X
+    from setvec import workloads as WL
+    from setvec.operators import approx, encode, schemes
+    from setvec.sources import store
+
+    tags, real = [], store.stored
+    monkeypatch.setattr(store, "stored", lambda df, tag, by=None: tags.append(tag) or real(df, tag, by))
+    monkeypatch.setattr(X, "SCHEMES", ((16, 8),))
+    assert X.code_schemes(spark, SF).count() == 6
+    assert "queries" in tags and not {"encodings", "codes"} & set(tags)
+    corpus, params = X.items_over_chunks(spark, SF), X.EncodeParams(64, 3, 8, 4)
+    q, d = (real(x, "encodings") for x in X._encoded(corpus, params))
+    book = approx.pq_train(d, params.width, 16, 8, n=0)
+    docs = WL.spread(X.tables.load(spark, SF, "documents").where("text is not null").select("doc_id", "text"), "doc_id")
+    found = real(schemes.scan_schemes(q.join(corpus.queries.select("bag_id", "vecs"), "bag_id"), docs, [None, book], 10, params), "found")
+    assert set(map(tuple, schemes.winners(found).collect())) == set(map(tuple, search.exact_winners(corpus.queries, corpus.docs, 64, "sign").collect()))
+    for at, want in enumerate((search.mips_dense(q, d, 10, params), approx.pq_search(q, approx.pq_encode(d, book), book, 10))):
+        got = search.topk(found.where(f"scheme = {at} and score is not null").select("query_id", "doc_id", "score"), 10).toPandas().set_index(["query_id", "rank"]).sort_index()
+        assert np.allclose(got.score, want.toPandas().set_index(["query_id", "rank"]).sort_index().score, rtol=1e-3, atol=1e-3)
+    assert found.where("seconds > 0").select("scheme").distinct().count() == 2
+
+
+def test_codebooks_of_schemes_are_those_of_each(spark):
+    from setvec.operators import approx
+
+    rng = np.random.default_rng(8)
+    rows = spark.createDataFrame([(i, bytearray(rng.normal(size=72).astype("<f4").tobytes())) for i in range(60)], "bag_id bigint, enc binary")
+    both = approx.pq_train_schemes(rows, 72, [(16, 8), (4, 16)])
+    for book, (codes, group) in zip(both, ((16, 8), (4, 16)), strict=True):
+        one = approx.pq_train(rows, 72, codes, group, n=0)
+        assert book.centers.shape == one.centers.shape == (-(-72 // group), codes, group) and (book.centers == one.centers).all()
+        x = rng.normal(size=(300, 72)).astype(np.float32)
+        near = np.stack([kernels.nearest_center(approx._grouped(x, group)[:, g], book.centers[g]) for g in range(len(book.centers))], 1)
+        assert (book.unpacked(book.encode(x)) == near).mean() > 0.999
+        assert (book.decode(book.encode(x)) == np.concatenate([book.centers[g][near[:, g]] for g in range(len(near[0]))], 1)[:, :72]).mean() > 0.999
