@@ -345,3 +345,32 @@ def test_codebooks_of_schemes_are_those_of_each(spark):
         near = np.stack([kernels.nearest_center(approx._grouped(x, group)[:, g], book.centers[g]) for g in range(len(book.centers))], 1)
         assert (book.unpacked(book.encode(x)) == near).mean() > 0.999
         assert (book.decode(book.encode(x)) == np.concatenate([book.centers[g][near[:, g]] for g in range(len(near[0]))], 1)[:, :72]).mean() > 0.999
+
+
+def test_graphs_are_walked_where_they_are_built(spark, monkeypatch):
+    """Neither encodings nor graphs are written, every chunk is in one shard, and a beam over whole shards gives dense lists."""
+    from setvec import experiments as X
+    from setvec.operators import approx, encode, schemes
+    from setvec.sources import store
+
+    docs, items = _texts(spark, 60)
+    long = spark.createDataFrame([(900, " ".join(f"v{i % 700}" for i in range(5000)))], "doc_id bigint, text string")
+    docs = docs.where("text is not null").unionByName(long)
+    bags, params = X.T.bags_of_words(X.T.numbered_chunks(X.T.chunks(docs))), X.EncodeParams(64, 3, 8, 4)
+    q, d = (store.stored(f(x, params, kind="sign"), "encodings") for f, x in ((encode.encode_queries, X.T.bags_of_words(X.T.items(items).where("size(words) > 0"))), (encode.encode_documents, bags)))
+    book = approx.pq_train(d, params.width, 16, 8, n=0)
+    found = store.stored(schemes.walk_schemes(q, docs, 3, [None, book], [1000], 20, params, 8, 16), "walks")
+    n = d.count()
+    assert found.groupBy("query_id", "way").agg({"n_dist": "sum"}).where(f"`sum(n_dist)` <> {n}").isEmpty() and found.groupBy("way").count().count() == 3
+    hits = found.selectExpr("query_id", "way", "explode(arrays_zip(doc_ids, scores)) AS h").selectExpr("query_id", "way", "h.doc_ids AS doc_id", "h.scores AS score")
+    dense = search.mips_dense(q, d, 20, params).toPandas().set_index(["query_id", "rank"]).sort_index()
+    coded = approx.pq_search(q, approx.pq_encode(d, book), book, 20).toPandas().set_index(["query_id", "rank"]).sort_index()
+    for way, want in ((schemes.EXACT, dense), (0, dense), (1, coded)):
+        got = search.topk(hits.where(f"way = {way}").drop("way"), 20).toPandas().set_index(["query_id", "rank"]).sort_index()
+        assert len(got) == len(want) and np.allclose(got.score, want.score, rtol=1e-3, atol=1e-3), way
+    tags, real = [], store.stored
+    monkeypatch.setattr(store, "stored", lambda df, tag, by=None: tags.append(tag) or real(df, tag, by))
+    monkeypatch.setattr(X, "BEAMS", (16,))
+    monkeypatch.setattr(X, "SCHEMES", ((16, 8),))
+    assert X.graph_code_sweep(spark, SF).count() == 2
+    assert "walks" in tags and not {"encodings", "graph"} & set(tags)
