@@ -374,3 +374,24 @@ def test_graphs_are_walked_where_they_are_built(spark, monkeypatch):
     monkeypatch.setattr(X, "SCHEMES", ((16, 8),))
     assert X.graph_code_sweep(spark, SF).count() == 2
     assert "walks" in tags and not {"encodings", "graph"} & set(tags)
+
+
+def test_queries_of_a_grid_are_dealt_in_tiles(spark, monkeypatch):
+    """A task holds the lists of a tile of queries alone, and they are those of all queries at once and of the dense scan."""
+    from setvec import experiments as X
+
+    corpus, bits, projs, reps = X.vector_bags(spark, SF), (2, 4), (8, 64), (1, 3)
+    grid = lambda: search.mips_grid(corpus.queries, corpus.docs, 3, X.EncodeParams(64, 4, 64, 3), bits, projs, reps, corpus.kind)
+    key = ["query_id", "cells", "proj", "reps", "rank", "doc_id"]
+    want = sorted(map(tuple, grid().select(key).collect()))
+    monkeypatch.setattr(search, "GRID_QUERIES", 5)
+    got = grid()
+    assert "hashpartitioning(tile" in got._jdf.queryExecution().executedPlan().toString()
+    assert sorted(map(tuple, got.select(key).collect())) == want
+    params = X.EncodeParams(64, 4, 8, 3)
+    dense = search.mips_dense(*X._encoded(corpus, params), 3, params).select("query_id", "rank", "doc_id")
+    assert sorted((r[0], r[4], r[5]) for r in want if r[1:4] == (16, 8, 3)) == sorted(map(tuple, dense.collect()))
+    n = corpus.docs.count()
+    tiles, rows = search.tiled(corpus.docs, 5)
+    parts = rows.groupBy(search.F.spark_partition_id().alias("part"), "tile").count().collect()
+    assert len({r["part"] for r in parts}) == len(tiles) == 5 and {r["count"] for r in parts} == {n}
