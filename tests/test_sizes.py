@@ -395,3 +395,37 @@ def test_queries_of_a_grid_are_dealt_in_tiles(spark, monkeypatch):
     tiles, rows = search.tiled(corpus.docs, 5)
     parts = rows.groupBy(search.F.spark_partition_id().alias("part"), "tile").count().collect()
     assert len({r["part"] for r in parts}) == len(tiles) == 5 and {r["count"] for r in parts} == {n}
+
+
+def test_throughput_encodes_chunks_where_they_are_scanned(spark, monkeypatch):
+    """No encoding of a chunk becomes a row, and only candidates' words are stored; lists and words are those of whole tables."""
+    from setvec import experiments as X
+    from setvec.functions import text
+    from setvec.operators import chunked
+    from setvec.sources import store
+
+    docs, items = _texts(spark, 60)
+    long = spark.createDataFrame([(900, " ".join(f"v{i % 700}" for i in range(3000)))], "doc_id bigint, text string")
+    docs = docs.where("text is not null").select("doc_id", "text").unionByName(long)
+    asked, params = text.bags_of_words(text.items(items), "trigram"), X.EncodeParams(64, 4, 8, 3)
+    q = store.stored(X.encode.encode_queries(asked, params), "queries")
+    rows = text.numbered_chunks(text.chunks(docs)).select("bag_id", "words")
+    want = search.mips_dense(q, X.encode.encode_documents(text.bags_of_words(rows, "trigram"), params), 5, params).toPandas().set_index(["query_id", "rank"]).sort_index()
+    near = store.stored(chunked.scan_chunks(q, docs, 5, params, "trigram"), "near")
+    got = near.toPandas().set_index(["query_id", "rank"]).sort_index()
+    assert len(got) == len(want) and np.allclose(got.score, want.score, rtol=1e-4, atol=1e-4)
+    own = {r["bag_id"]: r["words"] for r in chunked.words_of(near, docs).collect()}
+    every = {r["bag_id"]: r["words"] for r in rows.collect()}
+    assert own.keys() == {r["doc_id"] for r in near.collect()} and all(every[b] == w for b, w in own.items())
+    monkeypatch.setattr(X.encode, "encode_documents", lambda *a, **b: 1 / 0)
+    assert X.carve_throughput(spark, SF).where("qps > 0").count() == 4
+
+
+def test_vectors_of_trigrams_at_once_are_those_of_each():
+    import pyarrow as pa
+
+    from setvec.functions import text
+
+    words = ["a", "ab", "abc", "straße", "日本語", "x" * 200, "aaaaaaaa", *(f"wort{i}" for i in range(300))]
+    want = np.stack([np.frombuffer(text.word_trigrams(w), "<f4") for w in words])
+    assert (text.trigram_vectors(pa.array(words)) == want).all() and text.trigram_vectors(pa.array([], pa.string())).shape == (0, 64)
