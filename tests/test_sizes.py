@@ -426,6 +426,7 @@ def test_vectors_of_trigrams_at_once_are_those_of_each():
 
     from setvec.functions import text
 
-    words = ["a", "ab", "abc", "straße", "日本語", "x" * 200, "aaaaaaaa", *(f"wort{i}" for i in range(300))]
+    words = ["a", "", "ab", "abc", "straße", "日本語", "𝒳y", "x" * 200, "y" * 31, "z" * 33, "aaaaaaaa", *(f"wort{i}" for i in range(300))]
     want = np.stack([np.frombuffer(text.word_trigrams(w), "<f4") for w in words])
+    assert (text.trigram_vectors(pa.array([""])) == want[1:2]).all()
     assert (text.trigram_vectors(pa.array(words)) == want).all() and text.trigram_vectors(pa.array([], pa.string())).shape == (0, 64)
